@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from factorclust.llm import dominance_packing, rendezvous, suffix_decontam, token_arrow
+from factorclust.llm import cross_parsing, dominance_packing, license_diagonals, onebit_ann, rendezvous, suffix_decontam, token_arrow, warc_derivatives
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -29,11 +30,26 @@ def query(f: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession
     return f
 
 
+@query
+def op1_onebit_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return onebit_ann.nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
+
+
 @query
 def op2_arrow_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_arrow.round_trip(table(spark, sf_dir, "documents"), tokenizer())
 
 
+@query
+def op4_license_diagonals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_diagonals.scan(table(spark, sf_dir, "documents"))
+
+
+@query
+def op5_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc_derivatives.build(table(spark, sf_dir, "pages"))
+
+
 @query
 def op6_suffix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_decontam.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("longest_match")
@@ -60,6 +76,11 @@ from d left join covered c using (doc_id) left join named n using (doc_id)
 """
 
 
+@query
+def op8_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cross_parsing.identify(table(spark, sf_dir, "documents")).drop("bits")
+
+
 @query
 def op9_rendezvous_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rendezvous.place(table(spark, sf_dir, "documents"))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from factorclust.llm import cross_parsing, dominance_packing, license_diagonals, onebit_ann, rendezvous, suffix_decontam, token_arrow, warc_derivatives
+from factorclust.llm import chosen_path, cross_parsing, dominance_packing, license_diagonals, onebit_ann, rendezvous, suffix_decontam, token_arrow, warc_derivatives
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -40,6 +40,11 @@ def op2_arrow_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_arrow.round_trip(table(spark, sf_dir, "documents"), tokenizer())
 
 
+@query
+def op3_chosen_path_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chosen_path.join(table(spark, sf_dir, "documents"))
+
+
 @query
 def op4_license_diagonals(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_diagonals.scan(table(spark, sf_dir, "documents"))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from factorclust.llm import chosen_path, cross_parsing, dominance_packing, license_diagonals, onebit_ann, rendezvous, suffix_decontam, token_arrow, warc_derivatives
+from factorclust.llm import chosen_path, cross_parsing, dominance_packing, edit_join, license_diagonals, onebit_ann, rendezvous, suffix_decontam, token_arrow, warc_derivatives
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -81,6 +81,11 @@ from d left join covered c using (doc_id) left join named n using (doc_id)
 """
 
 
+@query
+def op7_edit_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return edit_join.dedup(table(spark, sf_dir, "documents")).select("doc_id", "text", "n_lines", "n_removed")
+
+
 @query
 def op8_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cross_parsing.identify(table(spark, sf_dir, "documents")).drop("bits")

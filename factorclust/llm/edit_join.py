@@ -24,7 +24,9 @@ from factorclust.llm.shared import components, cut
 
 THRESHOLD, LEAST = 1, 16
 #: Letters that are counted before a pair is verified; each count is kept modulo 256.
-COUNTED = "etaoinsr"
+COUNTED = "etaoin"
+#: Distinct candidate lines up to which their ids are broadcast to the scan of the texts (8 MB); more are shuffled.
+BROADCAST_IDS = 1_000_000
 _LAST = (1 << 63) - 1
 
 
@@ -41,22 +43,24 @@ def _key(length: Column, i: int, piece: Column) -> Column:
     return F.xxhash64(length, F.lit(i), piece)
 
 
-def index_keys(line: Column, length: Column, threshold: int) -> Column:
-    return F.array(*[_key(length, i, F.substring(line, at + 1, n)) for i, (at, n) in enumerate(segments(length, threshold + 1))])
+def index_keys(line: Column, length: Column, threshold: int) -> list[Column]:
+    return [_key(length, i, F.substring(line, at + 1, n)) for i, (at, n) in enumerate(segments(length, threshold + 1))]
 
 
-def probe_keys(line: Column, length: Column, threshold: int) -> Column:
-    """(key, lengths differ) of all substrings that may be a segment of a line not longer than this one."""
+def _shifts(threshold: int) -> list[tuple[int, int, int]]:
+    """(characters less, segment, shift): where a segment of a line not longer than this one may stand in it."""
+    return [(less, i, shift) for less in range(threshold + 1) for i in range(threshold + 1) for shift in range(max(-i, less - threshold + i), min(i, less + threshold - i) + 1)]
+
+
+def probe_keys(line: Column, length: Column, threshold: int) -> list[Column]:
+    """Keys of all substrings that may be such a segment, in the order of _shifts; null outside the line."""
+    at = {less: list(segments(length - less, threshold + 1)) for less in range(threshold + 1)}
     out = []
-    for less in range(threshold + 1):
-        of = length - less
-        for i, (at, n) in enumerate(segments(of, threshold + 1)):
-            right = threshold - i
-            for shift in range(max(-i, less - right), min(i, less + right) + 1):
-                begin = at + shift
-                key = F.when((begin >= 0) & (begin + n <= length), _key(of.cast("int"), i, F.substring(line, begin + 1, n)))
-                out.append(F.struct(key.alias("key"), F.lit(less > 0).alias("longer")))
-    return F.array(*out)
+    for less, i, shift in _shifts(threshold):
+        start, n = at[less][i]
+        begin = start + shift
+        out.append(F.when((begin >= 0) & (begin + n <= length), _key((length - less).cast("int"), i, F.substring(line, begin + 1, n))))
+    return out
 
 
 def letter_counts(line: Column) -> Column:
@@ -78,11 +82,16 @@ def counts_apart(a: Column, b: Column) -> Column:
 
 
 def edit_distance(pattern: Column, text: Column, threshold: int) -> Column:
-    """The edit distance of two arrays of characters, or null above the threshold.
+    """The edit distance of two strings, or null above the threshold.
 
     Field e of the state has a bit for each diagonal of the band that e edits reach; a character of the text
-    moves all diagonals at once. The arrays are used many times, so they should be columns.
+    moves all diagonals at once. Both strings are split once, as the variable of a lambda.
     """
+    both = F.array(F.struct(F.split(pattern, "").alias("p"), F.split(text, "").alias("t")))
+    return F.transform(both, lambda s: _distance(s["p"], s["t"], threshold))[0]
+
+
+def _distance(pattern: Column, text: Column, threshold: int) -> Column:
     width = 2 * threshold + 1
     full = F.lit((1 << width) - 1).cast("long")
     m, n = F.size(pattern), F.size(text)
@@ -102,11 +111,12 @@ def edit_distance(pattern: Column, text: Column, threshold: int) -> Column:
             new.append(r)
         return F.struct(*[x.alias(f"r{e}") for e, x in enumerate(new)])
 
-    end = F.aggregate(F.when(n > 0, F.sequence(F.lit(0), n - 1)).otherwise(F.array().cast("array<int>")), start, step)
-    # the bit of the diagonal where both are used up
-    last = m - n + threshold
-    reached = [F.when(_bit_at(end[f"r{e}"], last, width), F.lit(e)) for e in range(threshold + 1)]
-    return F.coalesce(*reached)
+    last = m - n + threshold  # the diagonal where both strings are used up
+
+    def reached(end: Column) -> Column:
+        return F.coalesce(*[F.when(_bit_at(end[f"r{e}"], last, width), F.lit(e)) for e in range(threshold + 1)])
+
+    return F.aggregate(F.when(n > 0, F.sequence(F.lit(0), n - 1)).otherwise(F.array().cast("array<int>")), start, step, reached)
 
 
 def _bit_at(value: Column, at: Column, width: int) -> Column:
@@ -125,19 +135,29 @@ def lines_of(rows: DataFrame) -> DataFrame:
 
 
 def similar(lines: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) -> DataFrame:
-    """(a, b): ids of distinct lines at most ``threshold`` edits apart, each pair once."""
-    distinct = lines.select("id", "line").groupBy("id").agg(F.first("line").alias("line"))
+    """(a, b): ids of distinct lines at most ``threshold`` edits apart, each pair once.
+
+    The keys are made where the lines are read, so the join moves numbers; texts are read again for the
+    lines of the pairs that are left to verify.
+    """
+    parts, probes = threshold + 1, len(_shifts(threshold))
     length = F.char_length("line")
-    long = distinct.where(length >= max(least, threshold + 1)).select("id", "line", length.alias("n"))
-    counts = letter_counts(F.col("line"))
-    index = long.select(F.col("id").alias("a"), counts.alias("ca"), F.explode(index_keys(F.col("line"), F.col("n"), threshold)).alias("key"))
-    probe = long.select(F.col("id").alias("b"), counts.alias("cb"), F.explode(probe_keys(F.col("line"), F.col("n"), threshold)).alias("p"))
+    long = lines.where(length >= max(least, threshold + 1)).select("id", "line", length.alias("n"))
+    index_at, probe_at = index_keys(F.col("line"), F.col("n"), threshold), probe_keys(F.col("line"), F.col("n"), threshold)
+    keyed = long.select("id", letter_counts(F.col("line")).alias("counts"), *[k.alias(f"k{i}") for i, k in enumerate(index_at)], *[k.alias(f"p{i}") for i, k in enumerate(probe_at)]).distinct()
+    index = keyed.select(F.col("id").alias("a"), F.col("counts").alias("ca"), F.explode(F.array(*[f"k{i}" for i in range(parts)])).alias("key"))
+    longer = [less > 0 for less, _, _ in _shifts(threshold)]
+    probe = keyed.select(F.col("id").alias("b"), F.col("counts").alias("cb"), F.explode(F.array(*[F.struct(F.col(f"p{i}").alias("key"), F.lit(longer[i]).alias("longer")) for i in range(probes)])).alias("p"))
     probe = probe.select("b", "cb", F.col("p.key").alias("key"), F.col("p.longer").alias("longer")).where("key is not null")
     near = (F.col("longer") | (F.col("a") < F.col("b"))) & (counts_apart(F.col("ca"), F.col("cb")) <= 2 * threshold)
-    pairs = index.join(probe, (index["key"] == probe["key"]) & near).select("a", "b").distinct()
-    chars = lambda name, to: distinct.select(F.col("id").alias(name), F.col("line").alias(to))
-    both = pairs.join(chars("a", "la"), "a").join(chars("b", "lb"), "b").select("a", "b", F.split("la", "").alias("pa"), F.split("lb", "").alias("pb"))
-    return both.where(edit_distance(F.col("pa"), F.col("pb"), threshold).isNotNull()).select("a", "b")
+    pairs = cut(index.join(probe, (index["key"] == probe["key"]) & near).select("a", "b").distinct(), "pairs")
+    ids = pairs.select(F.col("a").alias("want")).union(pairs.select("b")).distinct()
+    some = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    wanted = lines.join(F.broadcast(ids) if some else ids, lines["id"] == ids["want"], "left_semi")
+    texts = cut(wanted.groupBy("id").agg(F.first("line").alias("line")), "candidate-lines")
+    chars = lambda name, to: texts.select(F.col("id").alias(name), F.col("line").alias(to))
+    both = pairs.join(chars("a", "la"), "a").join(chars("b", "lb"), "b")
+    return both.where(edit_distance(F.col("la"), F.col("lb"), threshold).isNotNull()).select("a", "b")
 
 
 def removed(rows: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) -> DataFrame:
@@ -162,7 +182,7 @@ def dedup(documents: DataFrame, threshold: int = THRESHOLD, least: int = LEAST)
     lines = F.split(text, "\n", -1)
     stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__gone"))
     left = F.when(F.col("__gone").isNull(), text).otherwise(F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n"))
-    found = documents.withColumn("__row", key).join(gone, "__row", "left")
+    found = documents.withColumn("__row", key).hint("merge").join(gone, "__row", "left")
     return found.select(
         *[left.alias("text") if c == "text" else F.col(f"`{c}`") for c in documents.columns],
         F.when(text.isNull(), 0).otherwise(F.size(lines)).cast("long").alias("n_lines"), F.coalesce(F.size("__gone"), F.lit(0)).cast("long").alias("n_removed"),

@@ -4,7 +4,7 @@ A document's set is the hashes of its runs of SHINGLE words (one run where it ha
 one record. Each record is embedded as one token for each of BINS ranges of the hashes, the least hash in
 it; two records share a token with the probability of their Jaccard similarity. A run chooses a sequence
 of token positions: records that share the first chosen token share a bucket, buckets above LEAF records
-are split by the next chosen token, down to ``depth``; small buckets are compared by brute force on the
+are split by the next chosen tokens, down to the last of LEVELS; small buckets are compared by brute force on the
 embedding, with slack. The number of runs follows from the recall asked for. What is still large at the
 last level is kept together as it is. The links found only say which records belong in one candidate class.
 
@@ -30,7 +30,9 @@ from factorclust.llm import words as W
 from factorclust.llm.shared import components, cut
 
 SHINGLE, SIMILARITY = 5, 0.8
-BINS, LEAF, DEPTH = 128, 96, 4
+BINS, LEAF = 128, 96
+#: Tokens chosen at each level of a run.
+LEVELS = (1, 2)
 #: Share of pairs at the threshold that the runs find, even where buckets are split down to the last level.
 RECALL = 0.998
 #: How far below the threshold the embedding may estimate a pair: some five standard errors of BINS draws.
@@ -78,16 +80,19 @@ def embed(u: np.ndarray, bins: int = BINS) -> np.ndarray:
     return np.where(have, np.maximum(1, value & np.uint64(0xFFFFFFFF)), 0).astype(np.uint32)
 
 
-def path_keys(sketch: np.ndarray, positions: np.ndarray) -> np.ndarray:
-    """Keys of the buckets of one record, runs by levels; an empty range takes the next token round the ring."""
+def path_keys(sketch: np.ndarray, positions: np.ndarray, levels: tuple[int, ...] = LEVELS) -> np.ndarray:
+    """Keys of the buckets of one record, runs by LEVELS; an empty range takes the next token round the ring."""
     n = len(sketch)
     have = np.flatnonzero(sketch)
     nearest = have[np.searchsorted(have, np.arange(n)) % len(have)]
     token = sketch[nearest].astype(np.uint64)[positions]
-    keys = np.zeros(positions.shape, np.uint64)
+    keys = np.zeros((len(positions), len(levels)), np.uint64)
     key = W.mix(np.arange(1, len(positions) + 1, dtype=np.uint64))
-    for level in range(positions.shape[1]):
-        key = W.mix(key * np.uint64(0x9E3779B97F4A7C15) + token[:, level])
+    at = 0
+    for level, n in enumerate(levels):
+        for _ in range(n):
+            key = W.mix(key * np.uint64(0x9E3779B97F4A7C15) + token[:, at])
+            at += 1
         keys[:, level] = key
     return keys.view(np.int64)
 
@@ -213,15 +218,16 @@ def exact_links(table: pa.Table, similarity: float, k: int) -> Iterator[pa.Recor
         yield pa.RecordBatch.from_arrays([pa.array(sets[at], pa.int64()), pa.array(links, pa.int64()), pa.array(sets[at][root], pa.int64())], names=["set", "links", "root"])
 
 
-def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL, depth: int = DEPTH, leaf: int = LEAF) -> DataFrame:
+def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL, levels: tuple[int, ...] = LEVELS, leaf: int = LEAF) -> DataFrame:
     """(a, b) links that connect each candidate class of the records (set, sketch)."""
-    positions = chosen_positions(runs_for(recall, similarity, depth), depth, BINS)
+    positions = chosen_positions(runs_for(recall, similarity, sum(levels)), sum(levels), BINS)
+    depth = len(levels)
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            per = [path_keys(np.frombuffer(s, np.uint32), positions).ravel() for s in b.column(1).to_pylist()]
+            per = [path_keys(np.frombuffer(s, np.uint32), positions, levels).ravel() for s in b.column(1).to_pylist()]
             flat = np.concatenate([*per, np.zeros(0, np.int64)])
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1) * positions.size, pa.int32()), pa.array(flat))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1) * len(positions) * depth, pa.int32()), pa.array(flat))
             yield pa.RecordBatch.from_arrays([b.column(0), lists], names=["set", "keys"])
 
     keyed = cut(records.select("set", "sketch").mapInArrow(keys, "set long, keys array<long>"), "paths")
@@ -258,7 +264,8 @@ def classes(rows: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE) -
     size = cand.join(records.select(F.col("set").alias("node"), "n", "row", "copies"), "node")
     blocks = size.groupBy("comp").agg(F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK_RECORDS, F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
     member = size.join(blocks, "comp").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    texts = rows.select(F.col("row"), "text").join(member, "row")
+    # always shuffled: were few candidates broadcast, small inputs would have another plan than large ones
+    texts = rows.select(F.col("row"), "text").hint("merge").join(member, "row")
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     met = texts.withColumn("other", other).select(
         F.xxhash64("comp", F.least("block", "other"), F.greatest("block", "other")).alias("group"), "block", (F.col("block") != F.col("other")).alias("cross"), F.col("node").alias("set"), "copies", "text",
@@ -289,5 +296,5 @@ def keep_first(documents: DataFrame, similarity: float = SIMILARITY) -> DataFram
     first = found.where(F.col("doc_id") == F.col("class_id")).groupBy("class_id").agg(F.min("row").alias("__row")).select("__row")
     keep = first.unionByName(found.where("doc_id is null").select(F.col("row").alias("__row")).distinct())
     key = F.xxhash64(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    kept = documents.withColumn("__row", key).join(keep, "__row", "left_semi")
+    kept = documents.withColumn("__row", key).hint("merge").join(keep, "__row", "left_semi")
     return kept.dropDuplicates(["__row"]).select(*[F.col(f"`{c}`") for c in documents.columns])

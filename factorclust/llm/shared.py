@@ -44,6 +44,11 @@ def _clean() -> None:
             return
 
 
+def bounded_batches(spark: SparkSession, limit: str = "8m") -> None:
+    """Arrow batches of at most about this size, whatever the length of the texts (a setting of the running session)."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", limit)
+
+
 def cut(df: DataFrame, what: str = "cut") -> DataFrame:
     """Writes ``df`` as a table in the shared folder and reads it again: later stages restart from it."""
     path = fresh_path(df.sparkSession, what)

@@ -101,3 +101,37 @@ def op9_rendezvous_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op10_dominance_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dominance_packing.pack(table(spark, sf_dir, "documents"), tokenizer())
+
+
+ORACLES["op3_chosen_path_join"] = f"""
+with recursive d as (select doc_id, {SQL_WORDS.format(text="text")} as w from documents where text is not null),
+s as (select distinct doc_id, array_to_string(w[i:i + 4], ' ') as g from (select doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) as i from d where len(w) > 0)),
+n as (select doc_id, count(*) as n from s group by doc_id),
+p as (select a.doc_id as a, b.doc_id as b, count(*) as c from s a join s b on a.g = b.g and a.doc_id <> b.doc_id group by 1, 2),
+l as materialized (select p.a, p.b from p join n x on x.doc_id = p.a join n y on y.doc_id = p.b where p.c >= 0.8 * (x.n + y.n - p.c) - 1e-9),
+r as (select a, b from l union select r.a, l.b from r join l on l.a = r.b),
+m as (select a, min(b) as least from r group by a), k as (select a, count(*) as links from l group by a)
+select t.doc_id, least(t.doc_id, coalesce(m.least, t.doc_id)) as class_id, coalesce(k.links, 0)::BIGINT as n_links, coalesce(n.n, 0)::BIGINT as n_shingles
+from documents t left join n on n.doc_id = t.doc_id left join m on m.a = t.doc_id left join k on k.a = t.doc_id
+"""
+
+ORACLES["op7_edit_line_dedup"] = """
+with recursive ea as (select doc_id, unnest(range(1, len(string_split(text, chr(10))) + 1)) as pos, string_split(text, chr(10)) as ls from documents),
+lines as materialized (select doc_id, pos, ls[pos] as raw, trim(ls[pos], ' ') as line from ea),
+u as materialized (select distinct line, length(line) as n from lines where length(line) >= 16),
+c as (select a.line as a, b.line as b from u a join u b on b.n = a.n and left(b.line, a.n // 2) = left(a.line, a.n // 2) and a.line < b.line
+      union select a.line, b.line from u a join u b on b.n = a.n and right(b.line, a.n - a.n // 2) = right(a.line, a.n - a.n // 2) and a.line < b.line
+      union select a.line, b.line from u a join u b on b.n = a.n + 1 and left(b.line, a.n // 2) = left(a.line, a.n // 2)
+      union select a.line, b.line from u a join u b on b.n = a.n + 1 and right(b.line, a.n - a.n // 2) = right(a.line, a.n - a.n // 2)),
+e as materialized (select a, b from c where case when length(a) = length(b)
+      then len(list_filter(list_zip(string_split(a, ''), string_split(b, '')), lambda x: x[1] <> x[2])) <= 1
+      else len(list_filter(range(0, length(a) + 1), lambda i: left(a, i) = left(b, i) and right(a, length(a) - i) = right(b, length(a) - i))) > 0 end),
+bo as materialized (select a, b from e union select b, a from e),
+r as (select a, b from bo union select r.a, bo.b from r join bo on bo.a = r.b),
+kl as (select a as line, least(a, min(b)) as name from r group by a),
+named as (select l.*, coalesce(k.name, l.line) as name from lines l left join kl k on k.line = l.line),
+ranked as (select *, line = '' or row_number() over (partition by name order by doc_id, pos) = 1 as stays from named)
+select d.doc_id, case when d.text is null then null else coalesce(string_agg(k.raw, chr(10) order by k.pos) filter (where k.stays), '') end as text,
+       count(k.pos) as n_lines, count(*) filter (where not k.stays) as n_removed
+from documents d left join ranked k on k.doc_id = d.doc_id group by d.doc_id, d.text
+"""

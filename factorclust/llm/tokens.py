@@ -1,4 +1,10 @@
-"""Byte-level BPE ids of whole texts, with a bounded cache of the ids of words."""
+"""Byte-level BPE ids of whole texts, with a compact memory of the ids of words.
+
+A single space between two other characters that aren't white space always starts a pre-token, and so does
+a line's end between such characters. So a text may be cut there without changing an id: its pieces are
+hashed in NumPy, known pieces are looked up in one sorted table, and only new ones go to the library, many
+in one string. Texts with other white space, or white space in a row, go to the library as they are.
+"""
 
 from __future__ import annotations
 
@@ -7,12 +13,14 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 
-#: Words whose ids a worker remembers; some 200 bytes each.
-REMEMBERED = 600_000
+from factorclust.llm.words import _power, mix
+
+#: Pieces a worker remembers, some 30 bytes each.
+REMEMBERED = 4_000_000
 #: Characters encoded at once; longer texts are cut where the pre-tokenizer cuts anyway.
 LONGEST = 200_000
-#: Unknown words encoded in one string.
-TOGETHER = 64
+#: Unknown pieces encoded in one string; characters of texts looked at together.
+TOGETHER, BATCH = 256, 1 << 20
 END_ID = 0
 
 _DOUBLE = re.compile(r"\s\s")
@@ -20,13 +28,63 @@ _SAFE = re.compile(r"(?<=\S) (?=\S)")
 _loaded: dict[str, Encoder] = {}
 
 
-class Encoder:
-    """Ids of texts, each followed by END_ID, as packed integers of ``dtype``.
+def _plainly_spaced(text: str) -> bool:
+    """True if no white space stands beside other white space or at an end; a quick look that settles most texts."""
+    if text[0] in " \n" or text[-1] in " \n":
+        return False
+    flat = text.replace("\n", "_") if "\n" in text else text
+    if flat.isprintable() and "  " not in text and "\n\n" not in text and " \n" not in text and "\n " not in text:
+        return True
+    return "\0" not in text and not _DOUBLE.search(text)
+
+
+class Memory:
+    """A sorted table of hashes with, for each, where its ids stand in a pool; new rows are merged in by and by."""
+
+    def __init__(self, dtype: np.dtype):
+        self.dtype = dtype
+        self.clear()
+
+    def clear(self) -> None:
+        self.runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        self.pool = np.zeros(1 << 16, self.dtype)
+        self.used = 0
+
+    def __len__(self) -> int:
+        return sum(len(r[0]) for r in self.runs)
+
+    def find(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(known, start, length) of each hash."""
+        known = np.zeros(len(h), bool)
+        start, length = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64)
+        for keys, starts, lengths in self.runs:
+            at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+            hit = keys[at] == h
+            start[hit], length[hit] = starts[at[hit]], lengths[at[hit]]
+            known |= hit
+        return known, start, length
+
+    def add(self, h: np.ndarray, ids: list[bytes]) -> None:
+        """Rows for sorted hashes that aren't there yet."""
+        if len(self) + len(h) > REMEMBERED:
+            self.clear()
+        flat = np.frombuffer(b"".join(ids), self.dtype)
+        length = np.array([len(x) for x in ids], np.int64) // self.dtype.itemsize
+        if self.used + len(flat) > len(self.pool):
+            self.pool = np.concatenate([self.pool, np.zeros(max(len(flat), len(self.pool) // 2), self.dtype)])
+        self.pool[self.used : self.used + len(flat)] = flat
+        run = (h, (self.used + np.cumsum(length) - length).astype(np.uint32), length.astype(np.uint16))
+        self.used += len(flat)
+        while self.runs and len(self.runs[-1][0]) <= 2 * len(run[0]):
+            old = self.runs.pop()
+            keys = np.concatenate([old[0], run[0]])
+            order = np.argsort(keys, kind="stable")
+            run = tuple(np.concatenate([a, b])[order] for a, b in zip(old, run, strict=True))
+        self.runs.append(run)
 
-    A single space between two other characters that aren't white space always starts a pre-token, so
-    a text may be cut there without changing an id, and the ids of " word" can be remembered. Texts with
-    doubled white space go to the library whole, cut at such spaces only where they are very long.
-    """
+
+class Encoder:
+    """Ids of texts, each followed by END_ID, as integers of ``dtype``."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -34,14 +92,18 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
-        self.dtype = np.dtype(np.uint16 if max(vocab.values()) < 1 << 16 else np.uint32)
-        self.end = np.array([END_ID], self.dtype).tobytes()
-        self.spaced = np.zeros(max(vocab.values()) + 1, bool)  # ids of tokens that begin with a space
+        most = max(vocab.values())
+        self.dtype = np.dtype(np.uint16 if most < 1 << 16 else np.uint32)
+        self.end = np.array([END_ID], self.dtype)
+        # ids of tokens that begin with a space, and with a line's end
+        self.spaced, self.broken = np.zeros(most + 1, bool), np.zeros(most + 1, bool)
         self.spaced[[i for token, i in vocab.items() if token.startswith("Ġ")]] = True
-        self.words: dict[str, bytes] = {}
+        self.broken[[i for token, i in vocab.items() if token.startswith("Ċ")]] = True
+        self.memory = Memory(self.dtype)
 
-    def _plain(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
+    def _plain(self, text: str) -> np.ndarray:
+        parts = [np.array(self.tokenizer.encode(p, add_special_tokens=False).ids, self.dtype) for p in self._pieces(text) if p]
+        return np.concatenate([*parts, self.end])
 
     def _pieces(self, text: str) -> Iterator[str]:
         at = 0
@@ -53,57 +115,81 @@ class Encoder:
             at = cut.start()
         yield text[at:]
 
-    def _learn(self, words: list[str]) -> None:
+    def _learn(self, words: list[str]) -> list[bytes]:
+        """The ids of new pieces: of " word", or of "\\nword" as it is."""
+        out: dict[str, bytes] = {}
+        self._encode([w for w in words if w[0] != "\n"], " ", self.spaced, out)
+        self._encode([w for w in words if w[0] == "\n"], "", self.broken, out)
+        return [out[w] for w in words]
+
+    def _encode(self, words: list[str], before: str, begins: np.ndarray, out: dict[str, bytes]) -> None:
+        """Many pieces in one string; each begins with a token that ``begins`` tells from all others in it."""
+        step = self.dtype.itemsize
         rows = [words[i : i + TOGETHER] for i in range(0, len(words), TOGETHER)]
-        for row, found in zip(rows, self.tokenizer.encode_batch_fast([" " + " ".join(row) for row in rows], add_special_tokens=False), strict=True):
+        for row, found in zip(rows, self.tokenizer.encode_batch_fast([before + before.join(row) for row in rows], add_special_tokens=False), strict=True):
             ids = np.array(found.ids, self.dtype)
-            at = np.flatnonzero(self.spaced[ids])
-            packed, step = ids.tobytes(), self.dtype.itemsize
-            edges = [*(at * step).tolist(), len(packed)]
+            packed = ids.tobytes()
+            edges = (np.flatnonzero(begins[ids]) * step).tolist()
+            edges.append(len(packed))
             for word, lo, hi in zip(row, edges[:-1], edges[1:], strict=True):
-                self.words[word] = packed[lo:hi]
-
-    def raw_many(self, texts: Iterable[str | None]) -> list[bytes]:
-        plans: list = []
-        missing: set[str] = set()
-        for text in texts:
-            if not text or _DOUBLE.search(text) or text[-1] == " ":
-                plans.append(text or "")
-            else:
-                parts = text.split(" ")
-                plans.append(parts)
-                missing.update(set(parts[1:]).difference(self.words))
-        if len(self.words) + len(missing) > REMEMBERED:
-            self.words.clear()
-            missing = set().union(*(p[1:] for p in plans if isinstance(p, list)))
-        self._learn(list(missing))
-        known = self.words.__getitem__
-        out = []
-        for p in plans:
-            if isinstance(p, str):
-                ids = [*map(self._plain, self._pieces(p))] if p else []
-            else:
-                ids = [self._plain(p[0]) if p[0] else b"", *map(known, p[1:])]
-            out.append(b"".join([*ids, self.end]))
-        for word in missing:
-            if "\n" in word:
-                del self.words[word]
-        return out
-
-    def encode_many(self, texts: Iterable[str | None], together: int = 1 << 20) -> Iterator[np.ndarray]:
-        """Ids of each text in turn; about ``together`` characters are held at once."""
+                out[word] = packed[lo:hi]
+
+    def _together(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of plainly spaced texts; the first word of each is looked up as that of a line."""
+        flat = b"\0".join([b"\n" + t.encode("utf-8", "surrogatepass") for t in texts])
+        data = np.frombuffer(flat, np.uint8)
+        gap = (data == 0x20) | (data == 0)
+        line = data == 0x0A
+        start = ~gap
+        start[1:] &= gap[:-1] | line[1:]
+        last = ~gap
+        last[:-1] &= gap[1:] | line[1:]
+        s, e = np.flatnonzero(start), np.flatnonzero(last)
+        up, down = _power(max(len(data), (1 << 20) + 4096))
+        sums = np.zeros(len(data) + 1, np.uint64)
+        np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=sums[1:])
+        h = mix((sums[e + 1] - sums[s]) * down[s] + (e - s).astype(np.uint64))
+        distinct, first, which = np.unique(h, return_index=True, return_inverse=True)
+        known, at, length = self.memory.find(distinct)
+        for again in (False, True):
+            if known.all():
+                break
+            if again:  # rows went for want of room
+                self.memory.clear()
+                known[:] = False
+            new = np.flatnonzero(~known)
+            lo, hi = s[first[new]].tolist(), (e[first[new]] + 1).tolist()
+            self.memory.add(distinct[new], self._learn([flat[a:b].decode("utf-8", "surrogatepass") for a, b in zip(lo, hi, strict=True)]))
+            known, at, length = self.memory.find(distinct)
+        begin = np.flatnonzero(np.concatenate([[True], data[s[1:] - 1] == 0]))  # each text's first piece
+        at, length = at[which], length[which]
+        at[begin] += 1  # without the line's end
+        length[begin] -= 1
+        ends = np.cumsum(length)
+        ids = self.memory.pool[np.repeat(at - ends + length, length) + np.arange(ends[-1])]
+        cuts = np.concatenate([ends[begin] - length[begin], ends[-1:]]).tolist()
+        return [np.concatenate([ids[a:b], self.end]) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+
+    def encode_many(self, texts: Iterable[str | None]) -> Iterator[np.ndarray]:
+        """Ids of each text in turn; about BATCH characters are held at once."""
         held: list[str | None] = []
         size = 0
         for text in texts:
             held.append(text)
             size += len(text or "")
-            if size >= together:
-                yield from (np.frombuffer(x, self.dtype) for x in self.raw_many(held))
+            if size >= BATCH:
+                yield from self._lot(held)
                 held, size = [], 0
-        yield from (np.frombuffer(x, self.dtype) for x in self.raw_many(held))
+        yield from self._lot(held)
+
+    def _lot(self, texts: list[str | None]) -> Iterator[np.ndarray]:
+        easy = [bool(t) and len(t) <= 2 * BATCH and _plainly_spaced(t) for t in texts]
+        ready = iter(self._together([t for t, plain in zip(texts, easy, strict=True) if plain]) if any(easy) else ())
+        for t, plain in zip(texts, easy, strict=True):
+            yield next(ready) if plain else self._plain(t) if t else self.end
 
     def encode(self, text: str | None) -> np.ndarray:
-        return np.frombuffer(self.raw_many([text])[0], self.dtype)
+        return next(self._lot([text]))
 
 
 def encoder(path: str) -> Encoder:

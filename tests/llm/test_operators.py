@@ -76,9 +76,10 @@ def test_token_ids_equal_the_library(vocab):
 
 def test_forgetting_words_changes_nothing(vocab, monkeypatch):
     monkeypatch.setattr(tokens, "REMEMBERED", 20)
+    monkeypatch.setattr(tokens, "BATCH", 400)
     texts = [prose(80, s) for s in range(6)]
     e = tokens.Encoder(vocab)
-    assert [x.tolist() for x in e.encode_many(texts, 400)] == [x.tolist() for x in tokens.encoder(vocab).encode_many(texts)]
+    assert [x.tolist() for x in e.encode_many(texts)] == [x.tolist() for x in tokens.encoder(vocab).encode_many(texts)]
 
 
 # --- shared -----------------------------------------------------------------------------------------------------

@@ -5,7 +5,7 @@ from __future__ import annotations
 import importlib
 from types import ModuleType
 
-MODULES = ("pieces", "formulation", "fits", "surround", "scalars", "streams")
+MODULES = ("pieces", "formulation", "fits", "variants", "surround", "scalars", "streams")
 
 
 def load() -> ModuleType:

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from factorclust.llm import words as W
-from factorclust.llm.shared import components, cut
+from factorclust.llm.shared import components, cut, tidy
 
 SHINGLE, SIMILARITY = 5, 0.8
 BINS, LEAF = 128, 96
@@ -109,7 +109,7 @@ def describe(rows: DataFrame) -> DataFrame:
                 sketches.append(embed(u).tobytes() if len(u) else b"")
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(ids, pa.int64()), pa.array(sketches, pa.binary())], names=["row", "doc_id", "n", "set", "sketch"])
 
-    return rows.mapInArrow(run, "row long, doc_id long, n long, set long, sketch binary")
+    return rows.mapInArrow(tidy(run), "row long, doc_id long, n long, set long, sketch binary")
 
 
 def grouped(key: int, work: Callable[[pa.Table], Iterator[pa.RecordBatch]]):
@@ -230,7 +230,7 @@ def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float
             lists = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1) * len(positions) * depth, pa.int32()), pa.array(flat))
             yield pa.RecordBatch.from_arrays([b.column(0), lists], names=["set", "keys"])
 
-    keyed = cut(records.select("set", "sketch").mapInArrow(keys, "set long, keys array<long>"), "paths")
+    keyed = cut(records.select("set", "sketch").mapInArrow(tidy(keys), "set long, keys array<long>"), "paths")
     every = F.explode(F.sequence(F.lit(0), F.lit(len(positions) - 1)))
     nodes = keyed.withColumn("run", every).select("set", "run", F.element_at("keys", F.col("run") * depth + 1).alias("path"))
     leaves: DataFrame | None = None
@@ -251,7 +251,7 @@ def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float
             ends = rest.groupBy("path").agg(F.min("set").alias("b"))
             links = rest.join(ends, "path").select(F.col("set").alias("a"), "b").distinct()
     least = similarity - SLACK
-    pairs = leaves.join(records.select("set", "sketch"), "set").select("path", "set", "sketch").repartition("path").sortWithinPartitions("path").mapInArrow(grouped(0, lambda t: brute_force_buckets(t, least)), "a long, b long")
+    pairs = leaves.join(records.select("set", "sketch"), "set").select("path", "set", "sketch").repartition("path").sortWithinPartitions("path").mapInArrow(tidy(grouped(0, lambda t: brute_force_buckets(t, least))), "a long, b long")
     return pairs if links is None else pairs.unionByName(links)
 
 
@@ -271,7 +271,7 @@ def classes(rows: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE) -
         F.xxhash64("comp", F.least("block", "other"), F.greatest("block", "other")).alias("group"), "block", (F.col("block") != F.col("other")).alias("cross"), F.col("node").alias("set"), "copies", "text",
     )
     # the group of a pair of blocks holds both blocks; rows of either name it
-    exact = cut(met.repartition("group").sortWithinPartitions("group", "set").mapInArrow(grouped(0, lambda t: exact_links(t, similarity, k)), "set long, links long, root long"), "links")
+    exact = cut(met.repartition("group").sortWithinPartitions("group", "set").mapInArrow(tidy(grouped(0, lambda t: exact_links(t, similarity, k))), "set long, links long, root long"), "links")
     linked = exact.groupBy("set").agg(F.sum("links").alias("links"))
     joined = components(exact.select(F.col("set").alias("a"), F.col("root").alias("b"))).withColumnRenamed("node", "set")
     whole = records.select("set", "least", "copies").join(linked, "set", "left").join(joined, "set", "left").withColumn("comp", F.coalesce("comp", "set"))

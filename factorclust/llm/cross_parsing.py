@@ -20,13 +20,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from factorclust.llm.shared import crc_mod
+from factorclust.llm.shared import crc_mod, tidy
 
 #: Bounds of the fit: characters of labelled text a language, rows they may come from, languages, distinct letters.
 SAMPLE_CHARS, SAMPLE_ROWS, LANGUAGES, LETTERS = 32_000, 64, 1_000, 250
 SEGMENT = 1024
 #: Symbols parsed side by side.
-TOGETHER = 1 << 22
+TOGETHER = 1 << 20
 UNDETERMINED = "und"
 
 _letters: list[np.ndarray] = []
@@ -228,7 +228,7 @@ def identify(documents: DataFrame, samples: tuple[tuple[str, str], ...] | None =
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *[pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.string(), pa.float64(), pa.float64()))]], names=["doc_id", "held_out", "lang_pred", "score", "bits"])
 
     rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), is_held_out(folds=folds).alias("held_out"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, bits double")
+    return rows.mapInArrow(tidy(run), "doc_id long, held_out boolean, lang_pred string, score double, bits double")
 
 
 def keep_identified(documents: DataFrame, samples: tuple[tuple[str, str], ...] | None = None) -> DataFrame:
@@ -240,4 +240,4 @@ def keep_identified(documents: DataFrame, samples: tuple[tuple[str, str], ...] |
         for b in batches:
             yield b.filter(pa.array([lang != UNDETERMINED for lang, _, _ in predict(b.column(at).to_pylist())], pa.bool_()))
 
-    return documents.mapInArrow(run, documents.schema)
+    return documents.mapInArrow(tidy(run), documents.schema)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from factorclust.llm.shared import cut, gapless
+from factorclust.llm.shared import cut, gapless, tidy
 from factorclust.llm.tokens import encoder
 
 ROOM = 2048
@@ -206,7 +206,7 @@ def pieces(documents: DataFrame, tokenizer: str, room: int = ROOM) -> DataFrame:
                     at = to
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 5, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def pack(documents: DataFrame, tokenizer: str, room: int = ROOM) -> DataFrame:

@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from factorclust.llm import words as W
+from factorclust.llm.shared import tidy
 
 #: Words of a rolling hash; difference of diagonals that are merged; share of votes and of words a notice needs.
 GRAM, NEIGHBOUR, VOTES, SHARE = 2, 3, 0.5, 0.8
@@ -77,7 +78,7 @@ def _grams(documents: DataFrame, k: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([keys.slice(done, n), lists], names=["key", "grams"])
                 done += n
 
-    return documents.mapInArrow(run, "key long, grams array<long>")
+    return documents.mapInArrow(tidy(run), "key long, grams array<long>")
 
 
 def _ordered_share(have: list[bytes], want: list[bytes]) -> tuple[float, int]:
@@ -143,4 +144,4 @@ def scan(documents: DataFrame, templates: Sequence[Template] = TEMPLATES, k: int
             types = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.float64())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 8, types, strict=True)], names=["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score"])
 
-    return rows.join(by_doc, "key", "left").select("doc_id", "text", "spans").mapInArrow(verify, "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")
+    return rows.join(by_doc, "key", "left").select("doc_id", "text", "spans").mapInArrow(tidy(verify), "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")

@@ -49,6 +49,24 @@ def bounded_batches(spark: SparkSession, limit: str = "8m") -> None:
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", limit)
 
 
+def tidy(run):
+    """A function of Arrow batches that gives freed memory back to the system at the end of a task; workers live on."""
+
+    def tidied(batches):
+        import ctypes
+
+        import pyarrow as pa
+
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        except (OSError, AttributeError):  # another C library
+            return
+
+    return tidied
+
+
 def cut(df: DataFrame, what: str = "cut") -> DataFrame:
     """Writes ``df`` as a table in the shared folder and reads it again: later stages restart from it."""
     path = fresh_path(df.sparkSession, what)

@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from factorclust.llm import words as W
+from factorclust.llm.shared import tidy
 
 WINDOW = 13
 #: Words of a shard; longer documents are sorted in stretches that overlap by a window.
@@ -248,7 +249,7 @@ def matches(documents: DataFrame, benchmark: DataFrame, window: int = WINDOW) ->
                 names=["doc_id", "n_words", "hits", "items", "longest"],
             )
 
-    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, _RAW)
+    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), _RAW)
 
 
 def report(documents: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20) -> DataFrame:
@@ -287,5 +288,5 @@ def decontaminate(documents: DataFrame, benchmark: DataFrame, window: int = WIND
                 keep[row] = not (len(h) and share * len(h) >= words[row])
             yield batch.filter(pa.array(keep))
 
-    return documents.mapInArrow(run, documents.schema)
+    return documents.mapInArrow(tidy(run), documents.schema)
 

@@ -22,7 +22,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from factorclust.llm.shared import cut, fresh_path
+from factorclust.llm.shared import cut, fresh_path, tidy
 from factorclust.llm.tokens import encoder
 
 LENGTH = 2048
@@ -152,7 +152,7 @@ def write(documents: DataFrame, tokenizer: str, to: str, length: int = LENGTH, s
         scheme = to[: len(to) - len(top)] if to.endswith(top) else ""
         yield pa.RecordBatch.from_pydict({"shard": [shard], "uri": [f"{scheme}{stem}.arrow"], "docs": [docs], "tokens": [tokens]})
 
-    manifest = cut(dealt.mapInArrow(run, "shard long, uri string, docs long, tokens long"), "manifest")
+    manifest = cut(dealt.mapInArrow(tidy(run), "shard long, uri string, docs long, tokens long"), "manifest")
     # one row a file
     return manifest.withColumn("start", F.sum("tokens").over(Window.orderBy("shard")) - F.col("tokens"))
 
@@ -179,7 +179,7 @@ def read(manifest: DataFrame) -> DataFrame:
                         yield pa.RecordBatch.from_arrays([b.column(0), starts, b.column(2), pa.array(crcs, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
     n = max(int(manifest.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
-    return manifest.select("uri", "start").repartition(n).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return manifest.select("uri", "start").repartition(n).mapInArrow(tidy(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def round_trip(documents: DataFrame, tokenizer: str, length: int = LENGTH) -> DataFrame:

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import itertools
 import json
+import tempfile
 import time
 import uuid
 from collections.abc import Iterator, Sequence
@@ -276,13 +277,17 @@ def _cut(state: DataFrame, folder: str) -> DataFrame:
     return state.sparkSession.read.parquet(path)
 
 
+_own: dict[str, str] = {}
+
+
 def state_folder(spark: SparkSession) -> str:
+    """Where states are cut to: below spark.checkpoint.dir, or a folder of our own where that is unset (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        import tempfile
-
-        root = f"file://{tempfile.mkdtemp(prefix='factorclust-')}"
-        spark.conf.set("spark.checkpoint.dir", root)
+        app = spark.sparkContext.applicationId
+        if app not in _own:
+            _own[app] = f"file://{tempfile.mkdtemp(prefix='factorclust-')}"
+        root = _own[app]
     return f"{root.rstrip('/')}/factorclust-states"
 
 

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from factorclust.functions import theory, vectors
-from factorclust.operators import checks, init, kernel, lloyd, metrics, normalize, rounding, run_costs, solver
+from factorclust.operators import checks, init, kernel, lloyd, metrics, normalize, paired, rounding, run_costs, solver
 from factorclust.operators.kernel import Config
 from factorclust.plans import workloads
 from factorclust.plans.pieces import CFG, D, R, K, SIGMA, run_steps
@@ -179,3 +179,15 @@ def carried_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register("select vec_id as id, round(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[]), 6) as n from embeddings")
 def vector_energy(spark: SparkSession, sf_dir: str) -> DataFrame:
     return from_embeddings(spark, sf_dir).select("id", F.round(vectors.norm2(F.col("x")), 6).alias("n"))
+
+
+@register("select true as same")
+def nfk_paired(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Points and state in two bucketed tables: the trace of the local loop."""
+    p = planted(spark, sf_dir, 2.0)
+    ids, x, _ = local(spark, sf_dir, 2.0)
+    cfg = Config(k=10, max_iter=3)
+    far, near = paired.fit(p.select("id", "x"), cfg, buckets=2, tile_rows=128), solver.fit_local(x, cfg, ids)
+    same = max(abs(a[c] - b[c]) for a, b in zip(far.trace, near.trace, strict=True) for c in ("move", "feas")) < 1e-8
+    paired.drop_tables(spark)
+    return spark.createDataFrame([(bool(same),)], "same boolean")

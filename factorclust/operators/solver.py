@@ -271,10 +271,15 @@ def add_up(state: DataFrame, d: int, r: int) -> Sums:
     return Sums.unpack(v, d, r)
 
 
-def _cut(state: DataFrame, folder: str) -> DataFrame:
+def _cut(state: DataFrame, folder: str) -> tuple[DataFrame, str]:
     path = f"{folder}/{uuid.uuid4().hex}"
     state.write.parquet(path)
-    return state.sparkSession.read.parquet(path)
+    return state.sparkSession.read.parquet(path), path
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
 _own: dict[str, str] = {}
@@ -304,25 +309,29 @@ def fit_distributed(points: DataFrame, cfg: Config, tile_rows: int = TILE_ROWS,
         raise ValueError("all points are equal")
     driver = Driver(cfg, n, d)
     if resume is None:
-        state = _cut(build_tiles(points, mean, sigma, cfg, tile_rows, partitions), folder)
+        state, path = _cut(build_tiles(points, mean, sigma, cfg, tile_rows, partitions), folder)
         control: Control | None = driver.first(add_up(state, d, cfg.r))
     else:
         driver.trace = list(resume.trace)
         driver.dual_updates = resume.trace[-1]["dual_updates"] if resume.trace else 0
-        state, control = resume.state, _control_of(resume, driver, d)
+        state, control, path = resume.state, _control_of(resume, driver, d), None
     scale, cached = control.scale, None
     while control is not None:
         began = time.perf_counter()
         new = sweep(state, control, d, cfg.r)
         t = len(driver.trace) + 1
-        new = _cut(new, folder) if t % cut_every == 0 else new.persist(level)
+        new, new_path = _cut(new, folder) if t % cut_every == 0 else (new.persist(level), None)
         s = add_up(new, d, cfg.r)
         nxt = driver.advance(s, time.perf_counter() - began)
         if driver.status == "breakdown":
             break
         if cached is not None:
             cached.unpersist()
-        cached = new if t % cut_every else None
+        cached = None if new_path else new
+        if new_path:  # nothing reads the cut before it any more
+            if path:
+                _delete(spark, path)
+            path = new_path
         state, scale, control = new, driver.scale, nxt
     return Model(state, scale, driver.gram, driver.trace, driver.status, cfg, mean, sigma, driver.bound_ok)
 

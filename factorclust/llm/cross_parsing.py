@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from factorclust.llm.shared import crc_mod, tidy
+from factorclust.llm.shared import FORGET, crc_mod, tidy
 
 #: Bounds of the fit: characters of labelled text a language, rows they may come from, languages, distinct letters.
 SAMPLE_CHARS, SAMPLE_ROWS, LANGUAGES, LETTERS = 32_000, 64, 1_000, 250
@@ -31,6 +31,7 @@ UNDETERMINED = "und"
 
 _letters: list[np.ndarray] = []
 _built: dict[tuple, Parser] = {}
+FORGET.append(_built.clear)
 
 
 def is_letter() -> np.ndarray:

@@ -5,20 +5,26 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+_own: dict[str, str] = {}
 _made: list[tuple[object, object]] = []
+#: Called at the end of a task: tables that are cheap to make again.
+FORGET: list[Callable[[], None]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors share: spark.checkpoint.dir, or one of our own where that is unset (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        root = f"file://{tempfile.mkdtemp(prefix='factorclust-')}"
-        spark.conf.set("spark.checkpoint.dir", root)
-        _remember(spark, root)
+        app = spark.sparkContext.applicationId
+        if app not in _own:
+            _own[app] = f"file://{tempfile.mkdtemp(prefix='factorclust-')}"
+            _remember(spark, _own[app])
+        root = _own[app]
     return root.rstrip("/")
 
 
@@ -44,7 +50,7 @@ def _clean() -> None:
             return
 
 
-def bounded_batches(spark: SparkSession, limit: str = "8m") -> None:
+def bounded_batches(spark: SparkSession, limit: str = "4m") -> None:
     """Arrow batches of at most about this size, whatever the length of the texts (a setting of the running session)."""
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", limit)
 
@@ -58,6 +64,8 @@ def tidy(run):
         import pyarrow as pa
 
         yield from run(batches)
+        for forget in FORGET:
+            forget()
         pa.default_memory_pool().release_unused()
         try:
             ctypes.CDLL("libc.so.6").malloc_trim(0)
@@ -79,13 +87,13 @@ def crc_mod(key: str, n: int) -> Column:
     return F.pmod(F.crc32(F.col(key).cast("string")), F.lit(n))
 
 
-def gapless(df: DataFrame, group: list[str], order: list[str], out: str, parts: int = 256) -> DataFrame:
+def gapless(df: DataFrame, group: list[str], order: list[str], out: str, parts: int = 256, spread: Column | None = None) -> DataFrame:
     """Numbers the rows of each group from 0 without gaps, in no stated order.
 
-    A group may hold any share of all rows, so it is dealt into ``parts`` by a hash of ``order``; each
-    part is numbered by itself and starts where the parts before it end. ``df`` is read twice.
+    A group may hold any share of all rows, so it is dealt into ``parts`` by a hash of ``order`` (or by
+    ``spread``); each part is numbered by itself and starts where the parts before it end. ``df`` is read twice.
     """
-    dealt = df.withColumn("__part", F.pmod(F.xxhash64(*order), F.lit(parts)).cast("int"))
+    dealt = df.withColumn("__part", F.pmod(F.xxhash64(*order) if spread is None else spread, F.lit(parts)).cast("int"))
     sizes = dealt.groupBy(*group, "__part").agg(F.count(F.lit(1)).alias("__n"))
     before = F.sum("__n").over(Window.partitionBy(*group).orderBy("__part")) - F.col("__n")
     starts = sizes.select(*[F.col(g).alias(f"__g{i}") for i, g in enumerate(group)], F.col("__part").alias("__p"), before.alias("__before"))

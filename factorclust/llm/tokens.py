@@ -8,6 +8,7 @@ in one string. Texts with other white space, or white space in a row, go to the
 
 from __future__ import annotations
 
+import os
 import re
 from collections.abc import Iterable, Iterator
 
@@ -20,7 +21,9 @@ REMEMBERED = 4_000_000
 #: Characters encoded at once; longer texts are cut where the pre-tokenizer cuts anyway.
 LONGEST = 200_000
 #: Unknown pieces encoded in one string; characters of texts looked at together.
-TOGETHER, BATCH = 256, 1 << 20
+TOGETHER, BATCH = 256, 1 << 18
+#: Such strings encoded in one call; what the library returns takes some 40 times the ids.
+STRINGS = 32
 END_ID = 0
 
 _DOUBLE = re.compile(r"\s\s")
@@ -87,6 +90,7 @@ class Encoder:
     """Ids of texts, each followed by END_ID, as integers of ``dtype``."""
 
     def __init__(self, path: str):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are parallel already; threads would each keep memory
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -126,13 +130,15 @@ class Encoder:
         """Many pieces in one string; each begins with a token that ``begins`` tells from all others in it."""
         step = self.dtype.itemsize
         rows = [words[i : i + TOGETHER] for i in range(0, len(words), TOGETHER)]
-        for row, found in zip(rows, self.tokenizer.encode_batch_fast([before + before.join(row) for row in rows], add_special_tokens=False), strict=True):
-            ids = np.array(found.ids, self.dtype)
-            packed = ids.tobytes()
-            edges = (np.flatnonzero(begins[ids]) * step).tolist()
-            edges.append(len(packed))
-            for word, lo, hi in zip(row, edges[:-1], edges[1:], strict=True):
-                out[word] = packed[lo:hi]
+        for k in range(0, len(rows), STRINGS):
+            some = rows[k : k + STRINGS]
+            for row, found in zip(some, self.tokenizer.encode_batch_fast([before + before.join(row) for row in some], add_special_tokens=False), strict=True):
+                ids = np.array(found.ids, self.dtype)
+                packed = ids.tobytes()
+                edges = (np.flatnonzero(begins[ids]) * step).tolist()
+                edges.append(len(packed))
+                for word, lo, hi in zip(row, edges[:-1], edges[1:], strict=True):
+                    out[word] = packed[lo:hi]
 
     def _together(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of plainly spaced texts; the first word of each is looked up as that of a line."""
@@ -145,7 +151,7 @@ class Encoder:
         last = ~gap
         last[:-1] &= gap[1:] | line[1:]
         s, e = np.flatnonzero(start), np.flatnonzero(last)
-        up, down = _power(max(len(data), (1 << 20) + 4096))
+        up, down = _power(max(len(data), BATCH + (1 << 17)))
         sums = np.zeros(len(data) + 1, np.uint64)
         np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=sums[1:])
         h = mix((sums[e + 1] - sums[s]) * down[s] + (e - s).astype(np.uint64))

@@ -12,10 +12,13 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
+from factorclust.llm.shared import FORGET
+
 #: Bytes looked at together; bounds the memory of the arrays below.
 CHUNK = 1 << 20
 _BASE = 0x9E3779B97F4A7C15
 _powers: list[np.ndarray] = []
+FORGET.append(_powers.clear)
 
 
 def _table() -> np.ndarray:

@@ -38,7 +38,7 @@ RECALL = 0.998
 #: How far below the threshold the embedding may estimate a pair: some five standard errors of BINS draws.
 SLACK = 0.18
 #: Records and shingles of a block of a large class.
-BLOCK_RECORDS, BLOCK_SHINGLES = 512, 1_000_000
+BLOCK_RECORDS, BLOCK_SHINGLES = 192, 500_000
 #: Characters shingled at once.
 TOGETHER = 1 << 20
 

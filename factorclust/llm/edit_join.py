@@ -27,6 +27,8 @@ THRESHOLD, LEAST = 1, 16
 COUNTED = "etaoin"
 #: Distinct candidate lines up to which their ids are broadcast to the scan of the texts (8 MB); more are shuffled.
 BROADCAST_IDS = 1_000_000
+#: A class is hot with more than one line in so many.
+HOT = 10_000
 _LAST = (1 << 63) - 1
 
 
@@ -166,10 +168,17 @@ def removed(rows: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) ->
     labels = components(similar(lines, threshold, least))
     places = lines.select("row", "doc", "at", "id")
     classed = cut(places.join(labels, places["id"] == labels["node"], "left").select("row", "doc", "at", F.coalesce("comp", "id").alias("class")), "places")
-    owners = classed.groupBy("class").agg(F.min("doc").alias("owner"), F.count(F.lit(1)).alias("n")).where("n > 1").select("class", "owner")
-    copies = classed.join(owners, "class")
-    first = copies.where(F.col("doc") == F.col("owner")).groupBy("class").agg(F.min("at").alias("first"))
-    goes = copies.join(first, "class").where((F.col("doc") != F.col("owner")) | (F.col("at") != F.col("first")))
+    owners = cut(classed.groupBy("class").agg(F.min("doc").alias("owner"), F.count(F.lit(1)).alias("n")).where("n > 1"), "owners")
+    # classes with more than one in HOT lines: fewer than HOT, so their rows need no shuffle; the others are small
+    total = classed.count()
+    hot = owners.where(F.col("n") * HOT > total).select("class", "owner")
+    cold = owners.where(F.col("n") * HOT <= total).select("class", "owner")
+    hot_copies = classed.join(F.broadcast(hot), "class")
+    hot_first = hot_copies.where("doc = owner").groupBy("class").agg(F.min("at").alias("first"))
+    cold_copies = classed.join(F.broadcast(hot.select("class")), "class", "left_anti").join(cold, "class")
+    cold_first = cold_copies.where("doc = owner").groupBy("class").agg(F.min("at").alias("first"))
+    copies = hot_copies.join(F.broadcast(hot_first), "class").unionByName(cold_copies.join(cold_first, "class"))
+    goes = copies.where((F.col("doc") != F.col("owner")) | (F.col("at") != F.col("first")))
     return goes.groupBy("row").agg(F.collect_set("at").alias("gone"))  # no more than a document's own lines
 
 

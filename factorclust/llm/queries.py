@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from factorclust.functions import portable
 from factorclust.llm import chosen_path, cross_parsing, dominance_packing, edit_join, license_diagonals, onebit_ann, rendezvous, suffix_decontam, token_arrow, warc_derivatives
 from factorclust.llm.shared import bounded_batches
 
@@ -135,3 +136,19 @@ select d.doc_id, case when d.text is null then null else coalesce(string_agg(k.r
        count(k.pos) as n_lines, count(*) filter (where not k.stays) as n_removed
 from documents d left join ranked k on k.doc_id = d.doc_id group by d.doc_id, d.text
 """
+
+
+def _shard_sql(shards: int) -> str:
+    """The shard with the largest draw (all weights are equal); the smaller one of equals."""
+    draws = ", ".join(f"('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null') || '/{i}'), 1, 13))::BIGINT" for i in range(shards))
+    return f"(list_position([{draws}], list_max([{draws}])) - 1)::INTEGER"
+
+
+ORACLES["op9_rendezvous_sharding"] = f"""
+with t as (select list(v order by k) as tbl from (select k, list_reduce(list_prepend(k, range(8)), lambda c, i: case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end) as v from (select unnest(range(256)) as k))),
+b as (select doc_id, hex(encode(coalesce(text, ''))) as h, octet_length(encode(coalesce(text, ''))) as n from documents),
+l as (select doc_id, n, list_transform(range(n), lambda i: ('0x' || h[2 * i + 1 : 2 * i + 2])::BIGINT) as bytes from b),
+p as (select doc_id, (n + 1)::BIGINT as size, xor(list_reduce(list_prepend(4294967295::BIGINT, bytes), lambda c, x: xor(c >> 8, tbl[xor(c & 255, x) + 1])), 4294967295::BIGINT) as text_crc32,
+      {_shard_sql(8)} as shard, {_shard_sql(9)} as grown_shard, {portable.mix_sql("coalesce(doc_id, 0)", 0, 0)} % 256 as part from l, t)
+select doc_id, size, text_crc32, 'key' as law, shard, row_number() over (partition by shard order by part, doc_id) - 1 as slot, grown_shard from p
+"""

@@ -13,10 +13,13 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from factorclust.functions import portable
 from factorclust.llm.shared import gapless
 
 #: Hex digits of the digest that are used, and the scale that makes them a number below 1.
 DIGITS, SCALE = 13, float(1 << 52)
+#: Parts of a shard that are numbered by themselves.
+PARTS = 256
 
 
 def draw(key: Column, shard: int) -> Column:
@@ -54,5 +57,5 @@ def place(documents: DataFrame, shards: int = 8, weights: Sequence[float] | None
         shard_of(F.col("doc_id"), weights).alias("shard"),
         shard_of(F.col("doc_id"), [*weights, weights[-1]]).alias("grown_shard"),
     )
-    placed = gapless(rows, ["shard"], ["doc_id"], "slot")
+    placed = gapless(rows, ["shard"], ["doc_id"], "slot", PARTS, portable.mix(F.coalesce("doc_id", F.lit(0)), 0, 0))
     return placed.select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard")

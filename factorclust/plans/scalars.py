@@ -120,3 +120,19 @@ def gram_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A grouped-aggregate pandas function beside the built-in aggregates, for small groups."""
     first_sum = F.pandas_udf(_first_sum, "double", F.PandasUDFType.GROUPED_AGG)
     return from_embeddings(spark, sf_dir).agg(first_sum("x").alias("s")).select(F.lit("vec_sum").alias("name"), r6(F.col("s")).alias("v"))
+
+
+_NEAR = "e as (select vec_id as id, label, j, embedding[j + 1]::DOUBLE as v from embeddings, (select unnest(range(64)) as j)), m as (select label, j, avg(v) as v from e group by label, j)"
+
+
+@register(f"with {_NEAR}, d as (select e.id, m.label as c, round(sum((e.v - m.v) * (e.v - m.v)), 12) as d from e join m using (j) group by e.id, m.label) select id, c as cluster from (select *, row_number() over (partition by id order by d, c) as rn from d) where rn = 1")
+def assign_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Nearest class mean by the vectorised function."""
+    import numpy as np
+
+    from factorclust.functions.udfs import assign_nearest
+    from factorclust.operators.partition import means
+
+    p = from_embeddings(spark, sf_dir)
+    m = np.array([r["mean"] for r in means(p, "truth").orderBy("truth").collect()])  # ten rows
+    return p.select("id", assign_nearest(m)("x").alias("cluster"))

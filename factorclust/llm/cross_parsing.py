@@ -26,7 +26,7 @@ from factorclust.llm.shared import FORGET, crc_mod, tidy
 SAMPLE_CHARS, SAMPLE_ROWS, LANGUAGES, LETTERS = 32_000, 64, 1_000, 250
 SEGMENT = 1024
 #: Symbols parsed side by side.
-TOGETHER = 1 << 20
+TOGETHER = 1 << 19
 UNDETERMINED = "und"
 
 _letters: list[np.ndarray] = []

@@ -50,7 +50,7 @@ def _clean() -> None:
             return
 
 
-def bounded_batches(spark: SparkSession, limit: str = "4m") -> None:
+def bounded_batches(spark: SparkSession, limit: str = "2m") -> None:
     """Arrow batches of at most about this size, whatever the length of the texts (a setting of the running session)."""
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", limit)
 

@@ -27,7 +27,7 @@ from factorclust.llm.shared import tidy
 
 WINDOW = 13
 #: Words of a shard; longer documents are sorted in stretches that overlap by a window.
-SHARD = 1 << 20
+SHARD = 1 << 18
 #: Words of the benchmark that one pass searches for, which bounds what is broadcast; more take more passes.
 BLOCK = 4_000_000
 

@@ -14,9 +14,10 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 
+from factorclust.llm.shared import FORGET
 from factorclust.llm.words import _power, mix
 
-#: Pieces a worker remembers, some 30 bytes each.
+#: Pieces a task remembers, some 30 bytes each.
 REMEMBERED = 4_000_000
 #: Characters encoded at once; longer texts are cut where the pre-tokenizer cuts anyway.
 LONGEST = 200_000
@@ -29,6 +30,7 @@ END_ID = 0
 _DOUBLE = re.compile(r"\s\s")
 _SAFE = re.compile(r"(?<=\S) (?=\S)")
 _loaded: dict[str, Encoder] = {}
+FORGET.append(_loaded.clear)  # an encoder takes a hundred MB, which the tasks of other stages may need
 
 
 def _plainly_spaced(text: str) -> bool:
@@ -199,7 +201,7 @@ class Encoder:
 
 
 def encoder(path: str) -> Encoder:
-    """One encoder a worker and file."""
+    """One encoder a task and file."""
     if path not in _loaded:
         _loaded[path] = Encoder(path)
     return _loaded[path]

@@ -39,8 +39,6 @@ RECALL = 0.998
 SLACK = 0.18
 #: Records and shingles of a block of a large class.
 BLOCK_RECORDS, BLOCK_SHINGLES = 192, 500_000
-#: Characters shingled at once.
-TOGETHER = 1 << 20
 
 
 def runs_for(recall: float, similarity: float, depth: int) -> int:

@@ -17,8 +17,8 @@ import numpy as np
 from factorclust.llm.shared import FORGET
 from factorclust.llm.words import _power, mix
 
-#: Pieces a task remembers, some 30 bytes each.
-REMEMBERED = 4_000_000
+#: Pieces a task remembers, some 30 bytes each, and the ids of all of them.
+REMEMBERED, HELD = 4_000_000, 1 << 25
 #: Characters encoded at once; longer texts are cut where the pre-tokenizer cuts anyway.
 LONGEST = 200_000
 #: Unknown pieces encoded in one string; characters of texts looked at together.
@@ -71,14 +71,14 @@ class Memory:
 
     def add(self, h: np.ndarray, ids: list[bytes]) -> None:
         """Rows for sorted hashes that aren't there yet."""
-        if len(self) + len(h) > REMEMBERED:
+        if len(self) + len(h) > REMEMBERED or self.used > HELD:
             self.clear()
         flat = np.frombuffer(b"".join(ids), self.dtype)
         length = np.array([len(x) for x in ids], np.int64) // self.dtype.itemsize
         if self.used + len(flat) > len(self.pool):
             self.pool = np.concatenate([self.pool, np.zeros(max(len(flat), len(self.pool) // 2), self.dtype)])
         self.pool[self.used : self.used + len(flat)] = flat
-        run = (h, (self.used + np.cumsum(length) - length).astype(np.uint32), length.astype(np.uint16))
+        run = (h, (self.used + np.cumsum(length) - length).astype(np.uint32), length.astype(np.uint32))
         self.used += len(flat)
         while self.runs and len(self.runs[-1][0]) <= 2 * len(run[0]):
             old = self.runs.pop()

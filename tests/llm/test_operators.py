@@ -82,6 +82,19 @@ def test_forgetting_words_changes_nothing(vocab, monkeypatch):
     assert [x.tolist() for x in e.encode_many(texts)] == [x.tolist() for x in tokens.encoder(vocab).encode_many(texts)]
 
 
+def test_pieces_of_more_than_65535_ids_are_whole(vocab):
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(vocab)
+    plain.encode_special_tokens = True
+    r = random.Random(3)
+    run = "".join(r.choices("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", k=150_000))
+    texts = [run, f"a {run[::-1]} b", "".join(chr(r.randint(0x4E00, 0x9FA5)) for _ in range(40_000)), "a b"]
+    for text, ids in zip(texts, tokens.Encoder(vocab).encode_many(texts), strict=True):
+        want = plain.encode(text, add_special_tokens=False).ids + [0]
+        assert ids.tolist() == want and (text == "a b" or len(want) > 65_536)
+
+
 # --- shared -----------------------------------------------------------------------------------------------------
 
 

@@ -2,10 +2,11 @@
 
 A document's set is the hashes of its runs of SHINGLE words (one run where it has fewer). Equal sets are
 one record. Each record is embedded as one token for each of BINS ranges of the hashes, the least hash in
-it; two records share a token with the probability of their Jaccard similarity. A run chooses a sequence
-of token positions: records that share the first chosen token share a bucket, buckets above LEAF records
-are split by the next chosen tokens, down to the last of LEVELS; small buckets are compared by brute force on the
-embedding, with slack. The number of runs follows from the recall asked for. What is still large at the
+it, and each run draws a sequence of tokens of its own: the least hash of the whole set under an order that
+only this draw has, so that two records share each draw with the probability of their Jaccard similarity,
+however few shingles they have. Records that share the first draw of a run share a bucket, buckets above LEAF
+records are split by the next draws, down to the last of LEVELS; small buckets are compared by brute force on
+the embedding, with slack. The number of runs follows from the recall asked for. What is still large at the
 last level is kept together as it is. The links found only say which records belong in one candidate class.
 
 Candidate classes are then joined exactly, on whole sets: a class is one group, or, if it is large, one
@@ -39,6 +40,8 @@ RECALL = 0.998
 SLACK = 0.18
 #: Records and shingles of a block of a large class.
 BLOCK_RECORDS, BLOCK_SHINGLES = 192, 500_000
+#: Shingles whose draws are made at once.
+AT_ONCE = 4096
 
 
 def runs_for(recall: float, similarity: float, depth: int) -> int:
@@ -46,10 +49,9 @@ def runs_for(recall: float, similarity: float, depth: int) -> int:
     return math.ceil(math.log(1 - recall) / math.log(1 - similarity**depth))
 
 
-def chosen_positions(runs: int, depth: int, bins: int, seed: int = 11) -> np.ndarray:
-    """The token positions each run chooses, level by level; no run repeats one."""
-    draw = np.random.default_rng(seed)
-    return np.stack([draw.permutation(bins)[:depth] for _ in range(runs)])
+def chosen_orders(runs: int, depth: int, seed: int = 11) -> np.ndarray:
+    """A number for the order of each draw, runs by depth; no two draws share one."""
+    return W.mix(np.arange(1, runs * depth + 1, dtype=np.uint64) + np.uint64(seed << 32)).reshape(runs, depth)
 
 
 def shingle_sets(texts: pa.Array, k: int = SHINGLE) -> Iterator[np.ndarray]:
@@ -78,14 +80,15 @@ def embed(u: np.ndarray, bins: int = BINS) -> np.ndarray:
     return np.where(have, np.maximum(1, value & np.uint64(0xFFFFFFFF)), 0).astype(np.uint32)
 
 
-def path_keys(sketch: np.ndarray, positions: np.ndarray, levels: tuple[int, ...] = LEVELS) -> np.ndarray:
-    """Keys of the buckets of one record, runs by LEVELS; an empty range takes the next token round the ring."""
-    n = len(sketch)
-    have = np.flatnonzero(sketch)
-    nearest = have[np.searchsorted(have, np.arange(n)) % len(have)]
-    token = sketch[nearest].astype(np.uint64)[positions]
-    keys = np.zeros((len(positions), len(levels)), np.uint64)
-    key = W.mix(np.arange(1, len(positions) + 1, dtype=np.uint64))
+def path_keys(u: np.ndarray, orders: np.ndarray, levels: tuple[int, ...] = LEVELS) -> np.ndarray:
+    """Keys of the buckets of one record's shingle hashes, runs by LEVELS."""
+    flat = orders.ravel()
+    token = np.full(len(flat), np.iinfo(np.uint64).max)
+    for lo in range(0, len(u), AT_ONCE):
+        token = np.minimum(token, W.mix(u[lo : lo + AT_ONCE, None] ^ flat).min(0))
+    token = token.reshape(orders.shape)
+    keys = np.zeros((len(orders), len(levels)), np.uint64)
+    key = W.mix(np.arange(1, len(orders) + 1, dtype=np.uint64))
     at = 0
     for level, n in enumerate(levels):
         for _ in range(n):
@@ -95,19 +98,23 @@ def path_keys(sketch: np.ndarray, positions: np.ndarray, levels: tuple[int, ...]
     return keys.view(np.int64)
 
 
-def describe(rows: DataFrame) -> DataFrame:
-    """(row, doc_id, text) -> row, doc_id, n shingles, set (a hash of the whole set), sketch."""
+def describe(rows: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL) -> DataFrame:
+    """(row, doc_id, text) -> row, doc_id, n shingles, set (a hash of the whole set), sketch, keys of its buckets by run and level."""
+    orders = chosen_orders(runs_for(recall, similarity, sum(LEVELS)), sum(LEVELS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            n, ids, sketches = [], [], []
+            n, ids, sketches, keys = [], [], [], []
             for u in shingle_sets(b.column(2)):
                 n.append(len(u))
                 ids.append(int(W.mix(np.array([W.mix(u).sum(), len(u)], np.uint64))[0].astype(np.int64)) if len(u) else 0)
                 sketches.append(embed(u).tobytes() if len(u) else b"")
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(ids, pa.int64()), pa.array(sketches, pa.binary())], names=["row", "doc_id", "n", "set", "sketch"])
+                keys.append(path_keys(u, orders).ravel() if len(u) else np.zeros(0, np.int64))
+            ends = np.cumsum([0, *map(len, keys)])
+            lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate([*keys, np.zeros(0, np.int64)])))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(ids, pa.int64()), pa.array(sketches, pa.binary()), lists], names=["row", "doc_id", "n", "set", "sketch", "keys"])
 
-    return rows.mapInArrow(tidy(run), "row long, doc_id long, n long, set long, sketch binary")
+    return rows.mapInArrow(tidy(run), "row long, doc_id long, n long, set long, sketch binary, keys array<long>")
 
 
 def grouped(key: int, work: Callable[[pa.Table], Iterator[pa.RecordBatch]]):
@@ -216,20 +223,11 @@ def exact_links(table: pa.Table, similarity: float, k: int) -> Iterator[pa.Recor
         yield pa.RecordBatch.from_arrays([pa.array(sets[at], pa.int64()), pa.array(links, pa.int64()), pa.array(sets[at][root], pa.int64())], names=["set", "links", "root"])
 
 
-def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL, levels: tuple[int, ...] = LEVELS, leaf: int = LEAF) -> DataFrame:
-    """(a, b) links that connect each candidate class of the records (set, sketch)."""
-    positions = chosen_positions(runs_for(recall, similarity, sum(levels)), sum(levels), BINS)
-    depth = len(levels)
-
-    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            per = [path_keys(np.frombuffer(s, np.uint32), positions, levels).ravel() for s in b.column(1).to_pylist()]
-            flat = np.concatenate([*per, np.zeros(0, np.int64)])
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1) * len(positions) * depth, pa.int32()), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([b.column(0), lists], names=["set", "keys"])
-
-    keyed = cut(records.select("set", "sketch").mapInArrow(tidy(keys), "set long, keys array<long>"), "paths")
-    every = F.explode(F.sequence(F.lit(0), F.lit(len(positions) - 1)))
+def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL, leaf: int = LEAF) -> DataFrame:
+    """(a, b) links that connect each candidate class of the records (set, sketch, keys)."""
+    runs, depth = runs_for(recall, similarity, sum(LEVELS)), len(LEVELS)
+    keyed = records.select("set", "keys")
+    every = F.explode(F.sequence(F.lit(0), F.lit(runs - 1)))
     nodes = keyed.withColumn("run", every).select("set", "run", F.element_at("keys", F.col("run") * depth + 1).alias("path"))
     leaves: DataFrame | None = None
     links: DataFrame | None = None
@@ -255,9 +253,9 @@ def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float
 
 def classes(rows: DataFrame, similarity: float = SIMILARITY, k: int = SHINGLE) -> DataFrame:
     """(row, doc_id, text) -> row, doc_id, class_id (its least doc_id), n_links (other documents at the threshold), n_shingles."""
-    told = cut(describe(rows), "sets")
+    told = cut(describe(rows, similarity), "sets")
     some = told.where("doc_id is not null and n > 0")
-    records = cut(some.groupBy("set", "n", "sketch").agg(F.min("row").alias("row"), F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("copies")), "records")
+    records = cut(some.groupBy("set", "n", "sketch", "keys").agg(F.min("row").alias("row"), F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("copies")), "records")
     cand = cut(components(candidates(records, similarity)), "candidates")
     size = cand.join(records.select(F.col("set").alias("node"), "n", "row", "copies"), "node")
     blocks = size.groupBy("comp").agg(F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK_RECORDS, F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))

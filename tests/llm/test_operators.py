@@ -276,6 +276,29 @@ def test_classes_equal_brute_force(spark):
     assert chosen_path.join(frame(spark, [])).count() == 0
 
 
+@pytest.mark.parametrize("common,union", [(4, 5), (8, 10), (16, 20), (40, 50), (200, 250)])
+def test_sparse_sets_share_paths_as_often_as_claimed(common, union):
+    runs = chosen_path.runs_for(chosen_path.RECALL, 0.8, sum(chosen_path.LEVELS))
+    orders = chosen_path.chosen_orders(runs, sum(chosen_path.LEVELS))
+    rng = np.random.default_rng(union)
+    missed = 0
+    for _ in range(4000):
+        u = rng.integers(0, 1 << 63, union, dtype=np.uint64) * np.uint64(2)
+        a, b = (chosen_path.path_keys(np.sort(x), orders)[:, -1] for x in (u[:common], u))
+        missed += not (a == b).any()
+    assert missed <= 16  # 0.4%; 0.16% are expected
+
+
+def test_short_hot_documents_meet_as_claimed(spark):
+    line = "one two three four five six seven eight"
+    texts = [line, *[f"{line} w{i}" for i in range(1000)]]
+    got = {r.doc_id: r for r in chosen_path.join(frame(spark, texts)).collect()}
+    # by brute force each of the thousand shares 4 of 5 shingles with the line, and 4 of 6 with the others
+    met = sum(got[i].class_id == 0 and got[i].n_links == 1 for i in range(1, 1001))
+    assert met >= 995 and got[0].n_links == met
+    assert all(got[i].n_links <= 1 for i in range(1, 1001))
+
+
 def test_rows_without_doc_id_stay_and_columns_may_clash(spark):
     df = spark.createDataFrame([(None, "a b c d e f", 1), (None, None, 2), (3, "a b c d e f", 3)], "doc_id long, text string, row long")
     got = chosen_path.join(df).collect()

@@ -17,9 +17,9 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of lines at most an edit apart the first one stays; documents that have no line left go."""
+    """Of lines at most one, two or three edits apart, by their length, the first one stays; documents that have no line left go."""
     bounded_batches(spark)
-    found = edit_join.dedup(docs)
+    found = edit_join.dedup(docs, edit_join.GROWN)
     empty = (F.col("n_removed") > 0) & (F.trim("text") == "")
     length = F.char_length("text").cast("long")
     return found.where(~F.coalesce(empty, F.lit(False))).select(*[F.when(F.col("n_removed") > 0, length).otherwise(F.col("n_chars")).alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns])

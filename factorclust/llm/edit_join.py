@@ -16,6 +16,7 @@ all go is empty. Tables without rows give no rows; extra columns are kept as the
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -23,6 +24,9 @@ from pyspark.sql import functions as F
 from factorclust.llm.shared import components, cut
 
 THRESHOLD, LEAST = 1, 16
+#: Thresholds that grow with the length of the shorter line: (least length, edits).
+GROWN = ((16, 1), (64, 2), (128, 3))
+Threshold = int | tuple[tuple[int, int], ...]
 #: Letters that are counted before a pair is verified; each count is kept modulo 256.
 COUNTED = "etaoin"
 #: Distinct candidate lines up to which their ids are broadcast to the scan of the texts (8 MB); more are shuffled.
@@ -136,18 +140,32 @@ def lines_of(rows: DataFrame) -> DataFrame:
     return each.select("row", "doc", "at", line.alias("line")).where("line <> ''").withColumn("id", F.xxhash64("line"))
 
 
-def similar(lines: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) -> DataFrame:
+def similar(lines: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST) -> DataFrame:
     """(a, b): ids of distinct lines at most ``threshold`` edits apart, each pair once.
 
+    Where thresholds are given by length, each class of lengths is joined at its own, with longer lines too.
+    """
+    if isinstance(threshold, int):
+        return _similar(lines, threshold, least, None)
+    ends = [at for at, _ in threshold[1:]] + [None]
+    found = [_similar(lines, edits, max(least, at), end) for (at, edits), end in zip(threshold, ends, strict=True) if end is None or end > least]
+    return reduce(DataFrame.unionByName, found)
+
+
+def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> DataFrame:
+    """Pairs whose shorter line has ``least`` characters or more, and less than ``end``.
+
     The keys are made where the lines are read, so the join moves numbers; texts are read again for the
     lines of the pairs that are left to verify.
     """
     parts, probes = threshold + 1, len(_shifts(threshold))
     length = F.char_length("line")
-    long = lines.where(length >= max(least, threshold + 1)).select("id", "line", length.alias("n"))
+    fits = length >= max(least, threshold + 1)
+    long = lines.where(fits if end is None else fits & (length < end + threshold)).select("id", "line", length.alias("n"))
     index_at, probe_at = index_keys(F.col("line"), F.col("n"), threshold), probe_keys(F.col("line"), F.col("n"), threshold)
-    keyed = long.select("id", letter_counts(F.col("line")).alias("counts"), *[k.alias(f"k{i}") for i, k in enumerate(index_at)], *[k.alias(f"p{i}") for i, k in enumerate(probe_at)]).distinct()
-    index = keyed.select(F.col("id").alias("a"), F.col("counts").alias("ca"), F.explode(F.array(*[f"k{i}" for i in range(parts)])).alias("key"))
+    keyed = long.select("id", "n", letter_counts(F.col("line")).alias("counts"), *[k.alias(f"k{i}") for i, k in enumerate(index_at)], *[k.alias(f"p{i}") for i, k in enumerate(probe_at)]).distinct()
+    shorter = keyed if end is None else keyed.where(F.col("n") < end)
+    index = shorter.select(F.col("id").alias("a"), F.col("counts").alias("ca"), F.explode(F.array(*[f"k{i}" for i in range(parts)])).alias("key"))
     longer = [less > 0 for less, _, _ in _shifts(threshold)]
     probe = keyed.select(F.col("id").alias("b"), F.col("counts").alias("cb"), F.explode(F.array(*[F.struct(F.col(f"p{i}").alias("key"), F.lit(longer[i]).alias("longer")) for i in range(probes)])).alias("p"))
     probe = probe.select("b", "cb", F.col("p.key").alias("key"), F.col("p.longer").alias("longer")).where("key is not null")
@@ -162,7 +180,7 @@ def similar(lines: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) ->
     return both.where(edit_distance(F.col("la"), F.col("lb"), threshold).isNotNull()).select("a", "b")
 
 
-def removed(rows: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) -> DataFrame:
+def removed(rows: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST) -> DataFrame:
     """(row, gone): the places of the lines that go from each document, where there are any."""
     lines = lines_of(rows)
     labels = components(similar(lines, threshold, least))
@@ -182,7 +200,7 @@ def removed(rows: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) ->
     return goes.groupBy("row").agg(F.collect_set("at").alias("gone"))  # no more than a document's own lines
 
 
-def dedup(documents: DataFrame, threshold: int = THRESHOLD, least: int = LEAST) -> DataFrame:
+def dedup(documents: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST) -> DataFrame:
     """The documents with the text their first lines leave, and n_lines, n_removed."""
     text = F.col("text").cast("string")
     key = F.xxhash64(F.col("doc_id").cast("long"), text)

@@ -433,6 +433,28 @@ def test_similar_lines_equal_brute_force(spark, threshold):
     assert got == want
 
 
+def test_thresholds_grow_with_the_length(spark):
+    r = random.Random(4)
+    lines = set()
+    for n in (20, 61, 63, 64, 65, 125, 127, 128, 160):
+        x = "".join(r.choice("abcdefgh é") for _ in range(n - 2))
+        lines.add(f"<{x}>")
+        for _ in range(6):
+            b = list(x)
+            for _ in range(r.randint(1, 4)):
+                k = r.randrange(len(b))
+                b[k : k + r.randint(0, 1)] = [r.choice(["", "a", "z"])]
+            lines.add("<" + "".join(b) + ">")
+    lines = sorted(lines)
+    df = spark.createDataFrame([(0, 0, i, x) for i, x in enumerate(lines)], "row long, doc long, at int, line string").withColumn("id", F.xxhash64("line"))
+    name = {x.id: x.line for x in df.collect()}
+    got = sorted(tuple(sorted((name[p.a], name[p.b]))) for p in edit_join.similar(df, edit_join.GROWN).collect())
+    edits = lambda n: max(e for at, e in edit_join.GROWN if n >= at)
+    apart = {(a, b): distance(a, b) for a in lines for b in lines if a < b and abs(len(a) - len(b)) <= 3}
+    assert got == sorted(p for p, d in apart.items() if d <= edits(min(map(len, p))))
+    assert any(apart[p] == 3 for p in got)
+
+
 def test_only_first_lines_stay(spark):
     texts = ["first line of all documents\nunique one here\n\nshort", "first line of all document\nshort\n\nother text stays here", None, "", "first line of all documents", "  short  \nshort"]
     got = {r.doc_id: r for r in edit_join.dedup(frame(spark, texts)).collect()}

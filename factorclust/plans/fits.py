@@ -104,10 +104,14 @@ def workload_boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register()
 def relaxation_methods(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The other relaxations on a slice of planted points, which the convex one bounds to small n."""
-    p = planted(spark, sf_dir, 2.0).where("id < 120 and truth < 4")
-    runs = solver.fit_grouped(p, [{"method": m, "k": 4, "seed": 0} for m in ("nfk", "plain_nfk", "spectral", "nmf", "sdp_small", "sampled_lloyd", "floor")])
-    return metrics.score_runs(runs, solver.local_points(p).truth.to_numpy()).drop("seconds")
+    """The other methods on all planted points; only the convex relaxation, of n x n numbers, on a slice of them."""
+    p = planted(spark, sf_dir, 2.0)
+    few = p.where("id < 120 and truth < 4")
+    scored = []
+    for points, k, methods in ((p, 10, ("nfk", "plain_nfk", "spectral", "nmf", "sampled_lloyd", "floor")), (few, 4, ("sdp_small",))):
+        runs = solver.fit_grouped(points, [{"method": m, "k": k, "seed": 0} for m in methods])
+        scored.append(metrics.score_runs(runs, solver.local_points(points).truth.to_numpy()).drop("seconds").withColumn("n", F.lit(points.count())))
+    return scored[0].unionByName(scored[1])
 
 
 @register()

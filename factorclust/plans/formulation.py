@@ -130,6 +130,15 @@ def gram_upper(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "i long, j long, v double").select("i", "j", r6(F.col("v")).alias("v"))
 
 
+@register(f"with {LONG}, m as (select j, avg(v) as m from e group by j), c as (select id, j, v - m as v from e join m using (j)) select a.j as i, b.j as j, round(sum(a.v * b.v), 6) + 0.0 as v from c a join c b on a.id = b.id and a.j <= b.j group by a.j, b.j")
+def gram_upper_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The second moment of all columns."""
+    p = from_embeddings(spark, sf_dir)
+    g = normalize.gram_matrix(p, normalize.column_stats(p)["mean"])
+    rows = [(i, j, float(g[i, j])) for i in range(len(g)) for j in range(i, len(g))]
+    return spark.createDataFrame(rows, "i long, j long, v double").select("i", "j", r6(F.col("v")).alias("v"))
+
+
 _POWER = f"with {LONG}, m as (select j, avg(v) as m from e group by j), c as materialized (select id, j, v - m as v from e join m using (j)), v0 as (select j, 1 / sqrt(64.0) as v from m)" + "".join(
     f", p{t} as materialized (select id, sum(c.v * w.v) as v from c join v{t} w using (j) group by id), w{t} as materialized (select j, sum(c.v * p.v) as v from c join p{t} p using (id) group by j), v{t + 1} as materialized (select j, v / sqrt((select sum(v * v) from w{t})) as v from w{t})" for t in range(3)
 )
@@ -156,6 +165,12 @@ def unit_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
     return p.select("id", F.posexplode("x").alias("j", "v")).select("id", F.col("j").cast("long"), r6(F.col("v")).alias("v"))
 
 
+@register("with h as (select vec_id as id, j, embedding[j + 1]::DOUBLE as v, j // 32 as half from embeddings, (select unnest(range(64)) as j)), n as (select id, half, sqrt(sum(v * v)) as n from h group by id, half) select h.id, h.j, round(h.v / n.n, 6) + 0.0 as v from h join n on n.id = h.id and n.half = h.half")
+def unit_bands_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = half_bands(from_embeddings(spark, sf_dir))
+    return p.select("id", F.posexplode("x").alias("j", "v")).select("id", F.col("j").cast("long"), r6(F.col("v")).alias("v"))
+
+
 # --- measures ---------------------------------------------------------------------------------------------------
 
 _TABLE = f"t as (select (vec_id % {K})::INTEGER as cluster, label, count(*) as n from embeddings group by 1, 2)"

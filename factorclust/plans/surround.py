@@ -43,6 +43,8 @@ def join_assign_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
 register_sql("join_left_labels", "select d.doc_id, d.lang, l.quality from {documents} d left join {labels} l on d.doc_id = l.doc_id", ("documents", "labels"))
 register_sql("join_full_labels", "select d.doc_id as a, l.doc_id as b from (select * from {documents} where doc_id % 2 = 0) d full join (select * from {labels} where doc_id % 3 = 0) l on d.doc_id = l.doc_id", ("documents", "labels"))
 register_sql("join_right_labels", "select d.doc_id as a, l.doc_id as b, l.toxic from (select * from {documents} where doc_id % 2 = 0) d right join {labels} l on d.doc_id = l.doc_id", ("documents", "labels"))
+register_sql("join_full_labels_whole", "select d.doc_id as a, l.doc_id as b from {documents} d full join {labels} l on d.doc_id = l.doc_id", ("documents", "labels"))
+register_sql("join_right_labels_whole", "select d.doc_id as a, l.doc_id as b, l.toxic from {documents} d right join {labels} l on d.doc_id = l.doc_id", ("documents", "labels"))
 register_sql("join_semi_labelled", "select doc_id, n_chars from {documents} d where exists (select 1 from {labels} l where l.doc_id = d.doc_id)", ("documents", "labels"))
 register_sql("join_anti_unlabelled", "select doc_id, n_chars from {documents} d where not exists (select 1 from {labels} l where l.doc_id = d.doc_id)", ("documents", "labels"))
 
@@ -219,6 +221,11 @@ def reshape_explode(spark: SparkSession, sf_dir: str) -> DataFrame:
     return from_embeddings(spark, sf_dir).where("id < 50").select("id", F.posexplode("x").alias("j", "v")).withColumn("j", F.col("j").cast("long"))
 
 
+@register("select vec_id as id, j, embedding[j + 1]::DOUBLE as v from embeddings, (select unnest(range(64)) as j)")
+def reshape_explode_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return from_embeddings(spark, sf_dir).select("id", F.posexplode("x").alias("j", "v")).withColumn("j", F.col("j").cast("long"))
+
+
 @register("select label, count(*) as n, min(vec_id) as first_id, sum(vec_id)::BIGINT as ids from embeddings group by label")
 def reshape_collect(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ids of a label as a sorted array, then read back."""

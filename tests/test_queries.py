@@ -41,6 +41,12 @@ def test_query(name, spark, small, con):
     assert sorted(tuple(shown(r[c]) for c in sorted(names)) for r in rows) == want
 
 
+def test_relaxations_see_all_planted_points(spark, small):
+    n = spark.read.parquet(f"{small}/embeddings.parquet").count()
+    seen = {r.method: r.n for r in REGISTRY.QUERIES["relaxation_methods"](spark, small).collect()}
+    assert {m: seen[m] for m in ("plain_nfk", "spectral", "nmf", "sampled_lloyd")} == dict.fromkeys(("plain_nfk", "spectral", "nmf", "sampled_lloyd"), n) and seen["sdp_small"] < 120
+
+
 def test_split_valid_tells_why(spark):
     inf, nan = float("inf"), float("nan")
     df = spark.createDataFrame([(1, [1.0, 2.0]), (2, None), (3, [1.0]), (4, [1.0, nan]), (5, [inf, 1.0]), (6, [None, 1.0])], "id long, x array<double>")

@@ -47,6 +47,24 @@ def test_relaxations_see_all_planted_points(spark, small):
     assert {m: seen[m] for m in ("plain_nfk", "spectral", "nmf", "sampled_lloyd")} == dict.fromkeys(("plain_nfk", "spectral", "nmf", "sampled_lloyd"), n) and seen["sdp_small"] < 120
 
 
+def test_distributed_query_has_no_cap_of_its_own(spark, small, monkeypatch):
+    """The whole fit takes minutes, so only what the query asks for is looked at."""
+    from factorclust.operators import solver
+    from factorclust.operators.kernel import Config
+
+    asked = []
+
+    def fit(points, cfg, **more):
+        asked.append((points.count(), cfg.max_iter))
+        raise StopIteration
+
+    monkeypatch.setattr(solver, "fit_distributed", fit)
+    monkeypatch.setattr(solver, "local_points", lambda *a: pytest.fail("points were gathered"))
+    with pytest.raises(StopIteration):
+        REGISTRY.QUERIES["nfk_distributed"](spark, small)
+    assert asked == [(spark.read.parquet(f"{small}/embeddings.parquet").count(), Config(k=10).max_iter)]
+
+
 def test_split_valid_tells_why(spark):
     inf, nan = float("inf"), float("nan")
     df = spark.createDataFrame([(1, [1.0, 2.0]), (2, None), (3, [1.0]), (4, [1.0, nan]), (5, [inf, 1.0]), (6, [None, 1.0])], "id long, x array<double>")

@@ -3,7 +3,8 @@
 A single space between two other characters that aren't white space always starts a pre-token, and so does
 a line's end between such characters. So a text may be cut there without changing an id: its pieces are
 hashed in NumPy, known pieces are looked up in one sorted table, and only new ones go to the library, many
-in one string. Texts with other white space, or white space in a row, go to the library as they are.
+in one string. Texts with other white space, white space in a row, or the string of a special token, go to
+the library as they are: it makes one id of such a string, as the library does by default.
 """
 
 from __future__ import annotations
@@ -35,7 +36,7 @@ FORGET.append(_loaded.clear)  # an encoder takes a hundred MB, which the tasks o
 
 def _plainly_spaced(text: str) -> bool:
     """True if no white space stands beside other white space or at an end; a quick look that settles most texts."""
-    if text[0] in " \n" or text[-1] in " \n":
+    if text[0].isspace() or text[-1].isspace():
         return False
     flat = text.replace("\n", "_") if "\n" in text else text
     if flat.isprintable() and "  " not in text and "\n\n" not in text and " \n" not in text and "\n " not in text:
@@ -96,7 +97,6 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
         most = max(vocab.values())
         self.dtype = np.dtype(np.uint16 if most < 1 << 16 else np.uint32)
@@ -106,9 +106,15 @@ class Encoder:
         self.spaced[[i for token, i in vocab.items() if token.startswith("Ġ")]] = True
         self.broken[[i for token, i in vocab.items() if token.startswith("Ċ")]] = True
         self.memory = Memory(self.dtype)
+        added = [re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.special = re.compile("|".join(added)) if added else None
+
+    def _has_special(self, text: str) -> bool:
+        return self.special is not None and self.special.search(text) is not None
 
     def _plain(self, text: str) -> np.ndarray:
-        parts = [np.array(self.tokenizer.encode(p, add_special_tokens=False).ids, self.dtype) for p in self._pieces(text) if p]
+        cuts = [text] if self._has_special(text) else self._pieces(text)  # a special token may take the white space beside it
+        parts = [np.array(self.tokenizer.encode(p, add_special_tokens=False).ids, self.dtype) for p in cuts if p]
         return np.concatenate([*parts, self.end])
 
     def _pieces(self, text: str) -> Iterator[str]:
@@ -191,7 +197,7 @@ class Encoder:
         yield from self._lot(held)
 
     def _lot(self, texts: list[str | None]) -> Iterator[np.ndarray]:
-        easy = [bool(t) and len(t) <= 2 * BATCH and _plainly_spaced(t) for t in texts]
+        easy = [bool(t) and len(t) <= 2 * BATCH and _plainly_spaced(t) and not self._has_special(t) for t in texts]
         ready = iter(self._together([t for t, plain in zip(texts, easy, strict=True) if plain]) if any(easy) else ())
         for t, plain in zip(texts, easy, strict=True):
             yield next(ready) if plain else self._plain(t) if t else self.end

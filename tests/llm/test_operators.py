@@ -9,11 +9,14 @@ import zlib
 
 import numpy as np
 import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from factorclust.llm import chosen_path, cross_parsing, dominance_packing, edit_join, license_diagonals, onebit_ann, rendezvous, shared, suffix_decontam, token_arrow, tokens, warc_derivatives, words
 
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+_library: dict = {}
 FOLD = str.maketrans({chr(65 + i): chr(97 + i) for i in range(26)})
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -68,12 +71,30 @@ def test_token_ids_equal_the_library(vocab):
     from tokenizers import Tokenizer
 
     plain = Tokenizer.from_file(vocab)
-    plain.encode_special_tokens = True
-    texts = [*EDGES, " a", "a ", "a  b\n c", "x\ny z", "\nabc", "a\n", "he's 9\n9 9", "<|endoftext|> x", "w,\n\"q\" r", prose(50)] * 2
+    texts = [*EDGES, " a", "a ", "a  b\n c", "x\ny z", "\nabc", "a\n", "he's 9\n9 9", "<|endoftext|> x", "hello <|endoftext|> world", "a<|endoftext|>\nb  c", " <|endoftext|>", "<|endoftext| >", "w,\n\"q\" r", prose(50)] * 2
     for text, ids in zip(texts, tokens.encoder(vocab).encode_many(texts), strict=True):
         assert ids.tolist() == plain.encode(text or "", add_special_tokens=False).ids + [0]
 
 
+def han(n, seed=0):
+    r = random.Random(seed)
+    return "".join(chr(r.randint(0x4E00, 0x9FA5)) for _ in range(n))
+
+
+SPACED = st.lists(st.sampled_from([" ", "  ", "\n", "\t", "\r\n", "\u00a0", "\x00", "a", "Bc", "'s", "12", "é", "漢字", "🙂", "<|endoftext|>", "<|", "Ġ", "…", "x" * 50]), max_size=30).map("".join)
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.one_of(SPACED, st.text(max_size=40).filter(lambda t: not any(0xD800 <= ord(c) < 0xE000 for c in t))), min_size=1, max_size=6))
+def test_ids_of_any_texts_equal_an_untouched_library(texts):
+    from tokenizers import Tokenizer
+
+    path = pytest.importorskip("public_tokenizers").path("byte_bpe_50k.json")
+    _library.setdefault(path, Tokenizer.from_file(path))
+    for text, ids in zip(texts, tokens.encoder(path).encode_many(texts), strict=True):
+        assert ids.tolist() == _library[path].encode(text, add_special_tokens=False).ids + [0]
+
+
 def test_forgetting_words_changes_nothing(vocab, monkeypatch):
     monkeypatch.setattr(tokens, "REMEMBERED", 20)
     monkeypatch.setattr(tokens, "BATCH", 400)
@@ -86,10 +107,9 @@ def test_pieces_of_more_than_65535_ids_are_whole(vocab):
     from tokenizers import Tokenizer
 
     plain = Tokenizer.from_file(vocab)
-    plain.encode_special_tokens = True
     r = random.Random(3)
     run = "".join(r.choices("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", k=150_000))
-    texts = [run, f"a {run[::-1]} b", "".join(chr(r.randint(0x4E00, 0x9FA5)) for _ in range(40_000)), "a b"]
+    texts = [run, f"a {run[::-1]} b", han(40_000), han(70_000, 1) + " y", run * 2, "a b"]
     for text, ids in zip(texts, tokens.Encoder(vocab).encode_many(texts), strict=True):
         want = plain.encode(text, add_special_tokens=False).ids + [0]
         assert ids.tolist() == want and (text == "a b" or len(want) > 65_536)
@@ -137,9 +157,14 @@ def test_neighbours_equal_brute_force(spark):
 
 def test_arrow_files_round_trip(spark, vocab):
     texts = [*EDGES, *[prose(400, s) for s in range(20)], prose(3000, 5)]
+    from tokenizers import Tokenizer
+
+    texts += ["hello <|endoftext|> world", han(45_000, 2), "x " + "Zm9v" * 30_000]
+    plain = Tokenizer.from_file(vocab)
     got = token_arrow.round_trip(frame(spark, texts), vocab, length=64).orderBy("doc_id").collect()
     at = 0
-    for r, ids in zip(got, tokens.encoder(vocab).encode_many(texts), strict=True):
+    for r, text in zip(got, texts, strict=True):
+        ids = np.array([*plain.encode(text or "", add_special_tokens=False).ids, 0])
         assert (r.start, r.n_tokens, r.ids_crc32) == (at, len(ids), zlib.crc32(ids.astype("<u4").tobytes()))
         at += len(ids)
     assert token_arrow.round_trip(frame(spark, []), vocab).count() == 0

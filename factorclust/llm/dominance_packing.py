@@ -3,7 +3,8 @@
 Token counts are whole numbers up to the length of a sequence, so any corpus is an instance of at most
 ``room`` distinct sizes with counts. The reduction fixes sets that hold the largest open size and provably
 dominate every other set with it; best fit with falling sizes places the remainder. Both work on whole
-runs of equal bins, so the plan has a few rows for each distinct size, however many documents there are;
+runs of equal bins, so the plan has a few rows for each distinct size, however many documents there are (a
+choice of the reduction is repeated until a count falls so low that it may change);
 the documents are then matched to the plan by their number among the pieces of their size.
 
 A null or empty text has its end id alone. Documents above ``room`` tokens are cut; the piece that takes
@@ -25,6 +26,8 @@ from factorclust.llm.shared import cut, gapless, tidy
 from factorclust.llm.tokens import encoder
 
 ROOM = 2048
+#: Pieces of a size beyond which one more changes no choice of the reduction.
+STEADY = 4
 
 
 @dataclass
@@ -79,7 +82,7 @@ def dominating(left: np.ndarray, size: int, room: int) -> tuple[int, ...] | None
     """What to put beside one piece of ``size``, taken from ``left`` (without it), if provably no choice is better.
 
     A set beats another if each piece of the other can be exchanged for a piece of its own that is at least
-    as large, several for one where their sum isn't larger.
+    as large, several for one where their sum isn't larger. Of a size with many pieces only the first three count.
     """
     rest = room - size
     below = _largest_at_most(left)
@@ -136,9 +139,10 @@ def reduce_instance(counts: np.ndarray, plan: Plan) -> np.ndarray:
                 need: dict[int, int] = {size: 1}
                 for x in beside:
                     need[x] = need.get(x, 0) + 1
-                # an exact partner and an empty choice stay right as counts fall; other sets are fixed one by one
-                steady = not beside or size + beside[0] == room
-                times = min(int(left[x]) // n for x, n in need.items()) if steady else 1
+                # the choice depends on counts up to STEADY only, so it holds while those taken from stay as many
+                times = max(1, min((int(left[x]) - STEADY) // n for x, n in need.items()))
+                if not beside or size + beside[0] == room:  # these stay right to the last piece
+                    times = min(int(left[x]) // n for x, n in need.items())
                 run = plan.open(times)
                 for x in (size, *beside):
                     plan.put(x, run)
@@ -190,8 +194,8 @@ def make_plan(counts: dict[int, int], room: int = ROOM) -> Plan:
     return plan
 
 
-def pieces(documents: DataFrame, tokenizer: str, room: int = ROOM) -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32 of every piece of every document; one narrow pass."""
+def pieces(documents: DataFrame, tokenizer: str, room: int = ROOM, with_ids: bool = False) -> DataFrame:
+    """doc_id, piece, start, length, ids_crc32 of every piece of every document, and its ids if asked for; one narrow pass."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         code = encoder(tokenizer)
@@ -202,17 +206,20 @@ def pieces(documents: DataFrame, tokenizer: str, room: int = ROOM) -> DataFrame:
                 at = 0
                 for k in range(-(-len(ids) // room)):
                     to = len(ids) % room or room if k == 0 else at + room
-                    rows.append((doc, k, at, to - at, zlib.crc32(ids[at:to].tobytes())))
+                    rows.append((doc, k, at, to - at, zlib.crc32(ids[at:to].tobytes()), *([ids[at:to].astype(np.int32)] if with_ids else [])))
                     at = to
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 5, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * len(types), types, strict=True)], names=names)
 
-    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "doc_id long, piece int, start long, length long, ids_crc32 long")
+    types = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), *([pa.list_(pa.int32())] if with_ids else []))
+    names = ["doc_id", "piece", "start", "length", "ids_crc32", *(["ids"] if with_ids else [])]
+    schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if with_ids else "")
+    return documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), schema)
 
 
-def pack(documents: DataFrame, tokenizer: str, room: int = ROOM) -> DataFrame:
-    """Pieces with sequence_id (from 0) and offset (gapless from 0 in a sequence)."""
+def pack(documents: DataFrame, tokenizer: str, room: int = ROOM, with_ids: bool = False) -> DataFrame:
+    """Pieces with sequence_id (from 0) and offset (gapless from 0 in a sequence), and their ids if asked for."""
     spark = documents.sparkSession
-    cuts = cut(pieces(documents, tokenizer, room), "pieces")
+    cuts = cut(pieces(documents, tokenizer, room, with_ids), "pieces")
     counts = {r.length: r.n for r in cuts.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}  # room rows at most
     plan = make_plan(counts, room)
     steps = spark.createDataFrame(plan.rows or [(0, 0, 0, 0, 0, 1)], "p_size long, p_from long, p_bins long, p_first long, p_offset long, p_rounds long")
@@ -221,7 +228,13 @@ def pack(documents: DataFrame, tokenizer: str, room: int = ROOM) -> DataFrame:
     at = F.col("nth") - F.col("p_from")
     bins = F.greatest(F.col("p_bins"), F.lit(1))
     return numbered.join(F.broadcast(steps), inside).select(
-        "doc_id", "piece", "start", "length", "ids_crc32",
+        *cuts.columns,
         (F.col("p_first") + at % bins).alias("sequence_id"),
         (F.col("p_offset") + F.floor(at / bins).cast("long") * F.col("length")).alias("offset"),
     )
+
+
+def sequences(packed: DataFrame) -> DataFrame:
+    """sequence_id, ids (all its pieces, in place), starts (where each piece begins) of pieces packed with their ids; a group has ``room`` ids at most."""
+    one = packed.groupBy("sequence_id").agg(F.array_sort(F.collect_list(F.struct("offset", "ids"))).alias("all"))
+    return one.select("sequence_id", F.flatten(F.transform("all", lambda p: p["ids"])).alias("ids"), F.transform("all", lambda p: p["offset"]).alias("starts"))

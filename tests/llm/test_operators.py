@@ -240,6 +240,38 @@ def test_reduction_keeps_an_optimum(seed):
     assert plan.fixed_bins + best(rest) == best(items)
 
 
+@pytest.mark.parametrize("seed", range(6))
+def test_the_plan_does_not_grow_with_the_counts(seed):
+    r = random.Random(seed)
+    room = 2048
+    sizes = [[1500, 500], [1500, 540, 7], [900, 700, 400, 10], r.sample(range(1, room), 12), r.sample(range(600, room), 300), list(range(1, room + 1))][seed]
+    rows = {n: len(dominance_packing.make_plan({s: n + s % 7 for s in sizes}, room).rows) for n in (1_000, 1_000_000, 1_000_000_000)}
+    assert rows[1_000_000_000] <= 40 * len(sizes) + 40 and rows[1_000_000_000] <= rows[1_000] + 40 * len(sizes)
+
+
+def test_repeating_a_choice_changes_nothing(monkeypatch):
+    for seed in range(30):
+        r = random.Random(seed)
+        room = r.choice([12, 30, 64])
+        counts = {s: r.randint(1, 40) for s in r.sample(range(1, room + 1), r.randint(2, 9))}
+        fast = dominance_packing.make_plan(counts, room)
+        with monkeypatch.context() as m:
+            m.setattr(dominance_packing, "STEADY", 1 << 40)  # one choice at a time
+            slow = dominance_packing.make_plan(counts, room)
+        assert (fast.bins, fast.fixed_bins) == (slow.bins, slow.fixed_bins)
+
+
+def test_sequences_hold_the_ids_of_their_pieces(spark, vocab):
+    texts = [*EDGES, prose(3000, 1, 300)]
+    packed = dominance_packing.pack(frame(spark, texts), vocab, room=64, with_ids=True)
+    rows = packed.collect()
+    seqs = {r.sequence_id: r for r in dominance_packing.sequences(packed).collect()}
+    for i, ids in enumerate(tokens.encoder(vocab).encode_many(texts)):
+        mine = sorted((r for r in rows if r.doc_id == i), key=lambda r: r.piece)
+        assert [x for r in mine for x in seqs[r.sequence_id].ids[r.offset : r.offset + r.length]] == ids.tolist()
+    assert all(len(r.ids) <= 64 for r in seqs.values()) and sum(len(r.ids) for r in seqs.values()) == sum(r.length for r in rows)
+
+
 def test_documents_are_packed_whole(spark, vocab):
     texts = [*EDGES, *[prose(500, s) for s in range(15)], prose(9000, 3, 900)]
     got = dominance_packing.pack(frame(spark, texts), vocab).toPandas()

@@ -535,19 +535,69 @@ def test_line_dedup_is_native(spark):
 # --- op8 --------------------------------------------------------------------------------------------------------
 
 
-def test_phrases_equal_brute_force():
-    p = cross_parsing.Parser({"a": "the cat sat on the mat", "b": "le chat était sur le tapis", "c": ""})
-    for t in ("the chat sat", "éé xyz 12 the", prose(30)):
-        code, begin = cross_parsing.normalise([t])
-        s = "".join(map(chr, code))
-        for k, sample in enumerate(("the cat sat on the mat", "le chat était sur le tapis", "")):
-            n = i = 0
-            while i < len(s):
-                m = 0
-                while i + m < len(s) and s[i : i + m + 1] in sample:
-                    m += 1
-                i, n = i + max(1, m), n + 1
-            assert p.phrases(code, begin)[0][k] == n
+def phrases_of(text, sample):
+    n = i = 0
+    while i < len(text):
+        m = 0
+        while i + m < len(text) and text[i : i + m + 1] in sample:
+            m += 1
+        i, n = i + max(1, m), n + 1
+    return n
+
+
+@pytest.mark.parametrize("segment,dense", [(1024, 1 << 24), (7, 1 << 24), (5, 300), (16, 1)])
+def test_phrases_equal_brute_force(monkeypatch, segment, dense):
+    monkeypatch.setattr(cross_parsing, "SEGMENT", segment)
+    monkeypatch.setattr(cross_parsing, "DENSE", dense)
+    samples = {"a": "the cat sat on the mat", "b": "le chat était sur le tapis aaa", "z": han(400, 1)}
+    p = cross_parsing.Parser({**samples, "c": "", "d": "12"})
+    texts = ["the chat sat", "éé xyz 12 the", None, prose(30), "a" * 100, han(300, 1) + han(50, 2), "the cat sat on the mat " * 9, "x", "ab" * 60 + "the cat"]
+    code, begin = cross_parsing.normalise(texts)
+    got = p.phrases(code, begin)
+    assert p.languages == ["a", "b", "z"]
+    for i in range(len(texts)):
+        s = "".join(map(chr, code[begin[i] : begin[i + 1]]))
+        assert got[i].tolist() == [phrases_of(s, v) for v in samples.values()], texts[i]
+
+
+@pytest.fixture(scope="module")
+def learned(spark, small):
+    return dict(cross_parsing.learn(spark.read.parquet(f"{small}/documents.parquet")))
+
+
+@pytest.mark.parametrize("sample", ["", "12345", "zz", "hello", "a e i o u", "the of and"])
+def test_a_tiny_sample_wins_nothing(learned, spark, small, sample):
+    d = spark.read.parquet(f"{small}/documents.parquet").where("crc32(string(doc_id)) % 5 = 0 and length(text) > 200").select("text", "lang").limit(60).collect()
+    p = cross_parsing.Parser({**learned, "tiny": sample})
+    got = p.predict([r.text for r in d])
+    assert sum(g[0] == r.lang for g, r in zip(got, d, strict=True)) >= 0.98 * len(d)
+
+
+def test_many_letters_and_unequal_samples(learned):
+    zh, ja = han(32_000, 1), "".join(c + "のはをに"[i % 4] for i, c in enumerate(han(8_000, 1)))
+    p = cross_parsing.Parser({**learned, "zh": zh, "ja": ja, "short": learned["en"][:600]})
+    got = p.predict([zh[500:900], ja[300:700], learned["fr"][2000:2600], zh[31_000:31_050]])
+    assert [g[0] for g in got] == ["zh", "ja", "fr", "zh"] and all(g[3] for g in got)
+
+
+def test_many_languages_stay_within_the_table(monkeypatch):
+    monkeypatch.setattr(cross_parsing, "DENSE", 20_000)
+    samples = {f"l{i:03d}": prose(900, i, 900).replace("b", chr(0x400 + i)) for i in range(40)}
+    p = cross_parsing.Parser(samples)
+    assert p.width == 2 and len(p.keys) > 0
+    assert [g[0] for g in p.predict([v[100:400] for v in samples.values()])] == list(samples)
+
+
+def test_noise_is_of_no_language(spark, small):
+    r = random.Random(1)
+    noise = " ".join("".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(r.randint(3, 9))) for _ in range(400))
+    d = spark.read.parquet(f"{small}/documents.parquet")
+    more = spark.createDataFrame([(10**9, noise, None, "s", 1), (10**9 + 1, han(2_000), None, "s", 1), (10**9 + 2, "casa", None, "s", 1), (10**9 + 3, "Xq", None, "s", 1)], SCHEMA)
+    kept = {x.doc_id for x in cross_parsing.keep_identified(d.unionByName(more)).select("doc_id").collect()}
+    assert not {10**9, 10**9 + 1} & kept and {10**9 + 2, 10**9 + 3} <= kept
+    assert len(kept) == 2 + d.where(F.col("text").rlike(r"\p{L}")).count()
+    unlabelled = d.withColumn("lang", F.lit(None).cast("string"))
+    assert cross_parsing.keep_identified(unlabelled).count() == d.where(F.col("text").rlike(r"\p{L}")).count()
 
 
 def test_languages_are_told_on_held_out_rows(spark, small):
@@ -562,6 +612,7 @@ def test_texts_without_letters_are_undetermined(spark):
     got = {r.doc_id: r.lang_pred for r in cross_parsing.identify(df).collect()}
     assert got[2] == got[3] == got[4] == "und" and got[5] == "en"
     assert {r.doc_id for r in cross_parsing.keep_identified(df).collect()} == set(range(12)) - {2, 3, 4}
+    assert cross_parsing.keep_identified(df.withColumn("lang", F.lit(None).cast("string"))).count() == 9
     assert {r.lang_pred for r in cross_parsing.identify(df.withColumn("lang", F.lit(None).cast("string"))).collect()} == {"und"}
 
 

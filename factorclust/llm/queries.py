@@ -38,6 +38,15 @@ def op1_onebit_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return onebit_ann.nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
 
 
+ORACLES["op1_onebit_neighbours"] = """
+with e as materialized (select row_number() over () as rn, vec_id, embedding::DOUBLE[] as v from embeddings
+     where vec_id is not null and len(embedding) > 0 and len(list_filter(embedding, lambda x: x is not null and isfinite(x))) = len(embedding) and len(list_filter(embedding, lambda x: x <> 0)) > 0),
+p as (select q.rn, q.vec_id as query_id, c.vec_id, sqrt(list_sum(list_transform(list_zip(q.v, c.v), lambda x: (x[1] - x[2]) * (x[1] - x[2])))) as score from e q join e c on len(q.v) = len(c.v) and q.rn <> c.rn where q.vec_id % 100 = 0),
+r as (select *, row_number() over (partition by rn order by score, vec_id) as rank from p)
+select query_id, rank::INTEGER as rank, vec_id, score from r where rank <= 10
+"""
+
+
 @query
 def op2_arrow_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_arrow.round_trip(table(spark, sf_dir, "documents"), tokenizer())

@@ -152,6 +152,35 @@ def test_neighbours_equal_brute_force(spark):
     assert onebit_ann.nearest(df.where("vec_id < 4"), F.col("vec_id") == 0).count() == 3
 
 
+def test_repeated_rows_widths_and_clashing_names(spark):
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((60, 9)).astype(np.float32)
+    rows = [(i, v.tolist(), 7) for i, v in enumerate(x)]
+    rows += [rows[0], (0, x[5].tolist(), 1), (None, x[1].tolist(), 1)]  # an id seen three times, two rows of them equal
+    rows += [(200 + i, [float(i + 1), 1.0, float(i % 3)], 2) for i in range(15)] + [(400, [1.0], 1)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, row int")
+    got = onebit_ann.nearest(df, F.col("vec_id") % 100 == 0)
+    live = [(i, np.array(v)) for i, v, _ in rows if i is not None]
+    want = []
+    for a, (i, v) in enumerate(live):
+        if i % 100 == 0:
+            near = sorted((float(np.sqrt(((v - w) ** 2).sum())), j) for b, (j, w) in enumerate(live) if b != a and len(w) == len(v))[:10]
+            want += [(i, r, j, round(s, 9)) for r, (s, j) in enumerate(near, 1)]
+    assert sorted((r.query_id, r.rank, r.vec_id, round(r.score, 9)) for r in got.collect()) == sorted(want)
+
+
+@pytest.mark.parametrize("d", [3, 64, 100])
+def test_bounds_hold_and_codes_are_bits(d):
+    rng = np.random.default_rng(d)
+    x, q = rng.standard_normal((400, d)) + 0.3, rng.standard_normal((20, d))
+    mean, turn = x.mean(0), onebit_ann.rotation(d, 1)
+    codes, length, inner = onebit_ann.encode(x, mean, turn)
+    assert codes.dtype == np.uint64 and codes.shape == (400, -(-d // 64))
+    low, high = onebit_ann.bounds(codes, length, inner, onebit_ann.Queries(q, mean, turn), slice(None), 3.0)
+    true = ((q[:, None, :] - x[None, :, :]) ** 2).sum(2)
+    assert ((low <= true) & (true <= high)).mean() > 0.99
+
+
 # --- op2, op10 --------------------------------------------------------------------------------------------------
 
 

@@ -3,10 +3,16 @@
 Each derived record has an id of its own, refers to the response it comes from (WARC-Refers-To), keeps its
 target URI, date and payload digest, and carries the digest of its own block. The metadata block is JSON
 with the source's record and HTTP headers, title and links; the conversion block is the visible text.
-Records are written to gzip members in files of the shared folder, read again and returned.
+Responses and derived records are written to gzip members in two files a partition in the shared folder, so
+every reference resolves; the derived ones are read again and returned.
 
-A page without a URL gets urn:page:<page_id> as its target; null html is an empty payload. Repeated rows
-give repeated records with equal ids. An empty table gives no records; extra columns aren't read.
+Pages are read in one pass, whatever is wrong with them: a ``<`` that no letter, ``/``, ``!`` or ``?`` follows is
+text; an unfinished tag or comment takes the rest of the page, and so does an open script, style or title;
+other hidden elements without an end only lose their tag.
+
+A page without a URL gets urn:page:<page_id> as its target; null html is an empty payload. An id is made of the
+page and the place of its response in the archive, so repeated rows, and pages that share id and URL, have
+records of their own. An empty table gives no records; extra columns aren't read.
 """
 
 from __future__ import annotations
@@ -32,11 +38,14 @@ from factorclust.llm.shared import cut, fresh_path
 CAPTURED = "2024-01-01T00:00:00Z"
 _SPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")  # fixed value: the name space of URLs
 
-_HIDDEN = re.compile(r"<!--.*?-->|<(script|style|noscript|template|head)\b[^>]*>.*?</\1\s*>", re.S | re.I)
-_BREAK = re.compile(r"</?(?:p|div|br|li|ul|ol|h[1-6]|tr|table|section|article|nav|header|footer|blockquote|pre)\b[^>]*>", re.I)
-_TAG = re.compile(r"<[^>]*>")
-_TITLE = re.compile(r"<title[^>]*>(.*?)</title\s*>", re.S | re.I)
-_LINK = re.compile(r"""<a\b[^>]*?\bhref\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.I)
+#: Elements whose content isn't shown, those of them that hold no tags, and those that begin a line.
+HIDDEN = frozenset("script style noscript template head".split())
+RAW = frozenset("script style title textarea".split())
+BLOCKS = frozenset("p div br li ul ol h1 h2 h3 h4 h5 h6 tr table section article nav header footer blockquote pre title".split())
+
+_OPEN = re.compile(r"<(?:(!--)|(/?)([A-Za-z][^\s/>]*)|[!?/])")
+_REST = re.compile(r"""[^>"']*(?:"[^"]*"[^>"']*|'[^']*'[^>"']*)*>""")
+_HREF = re.compile(r"""[\s"'/]href\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 _SPACES = re.compile(r"[^\S\n]+")
 _LINES = re.compile(r"\s*\n\s*")
 
@@ -52,40 +61,111 @@ def digest(data: bytes) -> str:
     return "sha1:" + base64.b32encode(hashlib.sha1(data).digest()).decode()
 
 
-def record_id(kind: str, page: object, uri: str) -> str:
-    return f"<urn:uuid:{uuid.uuid5(_SPACE, f'{kind} {page} {uri}')}>"
+def record_id(kind: str, page: object, uri: str, place: str) -> str:
+    return f"<urn:uuid:{uuid.uuid5(_SPACE, f'{kind} {page} {uri} {place}')}>"
 
 
-def response(page: int | None, url: str | None, body: str | None) -> Record:
-    """The response record of a page, with an HTTP head in its block."""
+def response(page: int | None, url: str | None, body: str | None, place: str = "0") -> Record:
+    """The response record of a page, with an HTTP head in its block; ``place`` tells it from others of the same page."""
     payload = (body or "").encode("utf-8", "surrogatepass")
     uri = (url or f"urn:page:{page}").replace("\r", "%0D").replace("\n", "%0A")
     head = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
     return Record("response", head + payload, {
-        "WARC-Record-ID": record_id("response", page, uri), "WARC-Date": CAPTURED, "WARC-Target-URI": uri, "Content-Type": "application/http; msgtype=response",
+        "WARC-Record-ID": record_id("response", page, uri, place), "WARC-Date": CAPTURED, "WARC-Target-URI": uri, "Content-Type": "application/http; msgtype=response",
         "WARC-Payload-Digest": digest(payload), "WARC-Block-Digest": digest(head + payload),
     })
 
 
-def visible_text(page: str) -> str:
-    text = html.unescape(_TAG.sub("", _BREAK.sub("\n", _HIDDEN.sub(" ", page))))
-    return _LINES.sub("\n", _SPACES.sub(" ", text)).strip()
+@dataclass
+class Page:
+    text: str
+    title: str | None
+    links: list[str]
+
+
+def read_page(page: str) -> Page:
+    """Visible text, title and links of a page, from left to right."""
+    out: list[str] = []
+    links: list[str] = []
+    title: str | None = None
+    at, end = 0, len(page)
+    none_left: set[str] = set()  # elements that aren't closed any more
+
+    def closing(name: str, start: int) -> tuple[int, int] | None:
+        if name in none_left:
+            return None
+        m = _closers(name).search(page, start)
+        if not m:
+            none_left.add(name)
+        return m and m.span()
+
+    while at < end:
+        m = _OPEN.search(page, at)
+        if not m:
+            out.append(page[at:])
+            break
+        out.append(page[at : m.start()])
+        comment, slash, name = m.groups()
+        if comment:
+            at = page.find("-->", m.end()) + 3
+            if at == 2:
+                break
+            out.append(" ")
+            continue
+        if name is None:
+            at = page.find(">", m.end()) + 1
+            if not at:
+                break
+            continue
+        name = name.lower()
+        rest = _REST.match(page, m.end())
+        if not rest:
+            break
+        at = rest.end()
+        if name in BLOCKS:
+            out.append("\n")
+        if slash:
+            continue
+        if name == "a" and (href := _HREF.search(page, m.end(), at)):
+            links.append(html.unescape(next(filter(None, href.groups()), "")))
+        if name == "title" and title is None:
+            title = page[at : (closing(name, at) or (end, end))[0]]
+        if name in HIDDEN or name in RAW:
+            span = closing(name, at)
+            if span is None and name in RAW:
+                break
+            if span is not None:
+                if name == "head" and title is None and (inside := _TITLE.search(page, at, span[0])):
+                    title = inside[1]
+                out.append(" " if name in HIDDEN else page[at : span[0]] + "\n")
+                at = span[1]
+    text = html.unescape("".join(out))
+    return Page(_LINES.sub("\n", _SPACES.sub(" ", text)).strip(), " ".join(html.unescape(title).split()) if title is not None else None, links)
+
+
+_TITLE = re.compile(r"<title(?=[\s/>])[^>]*>(.*?)</title\s*>", re.S | re.I)
+_closer: dict[str, re.Pattern] = {}
+
+
+def _closers(name: str) -> re.Pattern:
+    """The end tag of an element; only names of RAW and HIDDEN are asked for."""
+    if name not in _closer:
+        _closer[name] = re.compile(rf"</{name}\s*>", re.I)
+    return _closer[name]
 
 
 def derive(source: Record, page: object) -> tuple[Record, Record]:
     """(metadata, conversion) of a response record."""
     head, _, payload = source.block.partition(b"\r\n\r\n")
     status, *lines = head.decode("latin-1").split("\r\n")
-    body = payload.decode("utf-8", "replace")
+    found = read_page(payload.decode("utf-8", "replace"))
     http = dict(x.split(": ", 1) for x in lines if ": " in x)
-    title = _TITLE.search(body)
-    links = [html.unescape(next(filter(None, m), "")) for m in _LINK.findall(body)]
-    uri = source.headers["WARC-Target-URI"]
-    linked = {"WARC-Date": source.headers["WARC-Date"], "WARC-Target-URI": uri, "WARC-Refers-To": source.headers["WARC-Record-ID"], "WARC-Source-Payload-Digest": source.headers["WARC-Payload-Digest"]}
-    envelope = {"warc": source.headers, "http": {"status": status, "headers": http}, "html": {"title": " ".join(html.unescape(title[1]).split()) if title else None, "links": links}}
+    uri, of = source.headers["WARC-Target-URI"], source.headers["WARC-Record-ID"]
+    linked = {"WARC-Date": source.headers["WARC-Date"], "WARC-Target-URI": uri, "WARC-Refers-To": of, "WARC-Source-Payload-Digest": source.headers["WARC-Payload-Digest"]}
+    envelope = {"warc": source.headers, "http": {"status": status, "headers": http}, "html": {"title": found.title, "links": found.links}}
     out = []
-    for kind, mime, block in (("metadata", "application/json", json.dumps(envelope, ensure_ascii=False, sort_keys=True).encode("utf-8", "surrogatepass")), ("conversion", "text/plain", visible_text(body).encode("utf-8", "surrogatepass"))):
-        out.append(Record(kind, block, {"WARC-Record-ID": record_id(kind, page, uri), **linked, "Content-Type": mime, "WARC-Block-Digest": digest(block)}))
+    for kind, mime, block in (("metadata", "application/json", json.dumps(envelope, ensure_ascii=False, sort_keys=True).encode("utf-8", "surrogatepass")), ("conversion", "text/plain", found.text.encode("utf-8", "surrogatepass"))):
+        out.append(Record(kind, block, {"WARC-Record-ID": record_id(kind, page, uri, of), **linked, "Content-Type": mime, "WARC-Block-Digest": digest(block)}))
     return out[0], out[1]
 
 
@@ -113,25 +193,30 @@ def load(stream) -> Iterator[Record]:
 
 
 def write(pages: DataFrame, to: str) -> DataFrame:
-    """Writes the derived records of each partition to a file below ``to``; returns uri and records of each."""
+    """Writes each partition's responses and derived records to two files below ``to``; returns their uris and the records derived."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         system, top = pafs.FileSystem.from_uri(to)
         system.create_dir(top, recursive=True)
-        stem, n = f"{top}/{uuid.uuid4().hex}", 0
-        with system.open_output_stream(f"{stem}.tmp") as out:
+        name, n = uuid.uuid4().hex, 0
+        stem = f"{top}/{name}"
+        with system.open_output_stream(f"{stem}.responses.tmp") as archive, system.open_output_stream(f"{stem}.tmp") as out:
             for b in batches:
                 for page, url, body in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
-                    for r in derive(response(page, url, body), page):
+                    source = response(page, url, body, f"{name}/{n}")
+                    archive.write(dump(source))
+                    for r in derive(source, page):
                         r.headers["Page-ID"] = "" if page is None else str(page)
                         out.write(dump(r))
                         n += 1
+        system.move(f"{stem}.responses.tmp", f"{stem}.responses.warc.gz")
         system.move(f"{stem}.tmp", f"{stem}.warc.gz")
         if n:
-            yield pa.RecordBatch.from_pydict({"uri": [f"{to[: len(to) - len(top)]}{stem}.warc.gz"], "records": [n]})
+            root = f"{to[: len(to) - len(top)]}{stem}"
+            yield pa.RecordBatch.from_pydict({"uri": [f"{root}.warc.gz"], "responses": [f"{root}.responses.warc.gz"], "records": [n]})
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    return cut(rows.mapInArrow(run, "uri string, records long"), "warcs")
+    return cut(rows.mapInArrow(run, "uri string, responses string, records long"), "warcs")
 
 
 _FIELDS = (("page_id", pa.int64()), ("record_type", pa.string()), ("record_id", pa.string()), ("refers_to", pa.string()), ("target_uri", pa.string()), ("warc_date", pa.string()), ("source_digest", pa.string()), ("block_digest", pa.string()), ("content_type", pa.string()), ("content_length", pa.int64()), ("digest_ok", pa.bool_()), ("block", pa.string()))

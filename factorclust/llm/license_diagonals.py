@@ -2,11 +2,15 @@
 
 The rolling hashes of k words of all documents are joined to the places where the templates have them. A
 template that stands in a document gives votes with one difference of places, its diagonal; inserted or
-missing words move it, so neighbouring diagonals are merged. Runs with enough votes are verified on the
-words themselves. Templates without tolerance (the base phrases) must stand word for word.
-
-Null and empty texts have no words and no labels. Repeated rows get the same result each. Templates are a
-parameter of at most MOST_WORDS words in all, so their table may be broadcast. Extra columns aren't read.
+missing words move it, so neighbouring diagonals are merged: votes are counted in bands of BAND diagonals, each
+half over the next one, so votes that drift by no more than half a band lie in one band whole. Bands with
+enough votes are verified on the words: the score of a place is 1 less the words to insert, drop or change for
+each word of the template. Templates without tolerance (the base phrases) must stand word for word.
+
+Words are counted in a narrow scan; only documents with votes enough are read again, and their texts move only if
+they are too many for a broadcast of their keys. Null and empty texts have no words and no labels. Repeated
+rows get the same result each. Templates are a parameter of at most MOST_WORDS words in all, so their table may
+be broadcast. Extra columns aren't read.
 """
 
 from __future__ import annotations
@@ -16,17 +20,19 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from factorclust.llm import words as W
-from factorclust.llm.shared import tidy
+from factorclust.llm.shared import cut, tidy
 
-#: Words of a rolling hash; difference of diagonals that are merged; share of votes and of words a notice needs.
-GRAM, NEIGHBOUR, VOTES, SHARE = 2, 3, 0.5, 0.8
+#: Words of a rolling hash; diagonals of a band; share of votes and of words a notice needs.
+GRAM, BAND, VOTES, SHARE = 2, 32, 0.5, 0.8
 MOST_WORDS = 100_000
 #: Grams of a template; longer ones are given in pieces with one label.
 LONGEST = 62
+#: Bands up to which they are broadcast to the scan of the texts (some 32 MB); more are shuffled.
+BROADCAST_BANDS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -81,23 +87,43 @@ def _grams(documents: DataFrame, k: int) -> DataFrame:
     return documents.mapInArrow(tidy(run), "key long, grams array<long>")
 
 
-def _ordered_share(have: list[bytes], want: list[bytes]) -> tuple[float, int]:
-    """(share of the template's words found in order, where the first of them stands): longest common subsequence."""
-    prev = [0] * (len(want) + 1)
-    best, first = 0, -1
+def best_place(have: list[bytes], want: list[bytes]) -> tuple[float, int, int]:
+    """(score, first word, last word) of the place where a template stands best: the least words to insert, drop or
+    change, for each word of the template; the earliest of equals."""
+    n = len(want)
+    text, whole = b" %b " % b" ".join(have), b" %b " % b" ".join(want)
+    if (at := text.find(whole)) >= 0:  # word for word
+        first = text.count(b" ", 0, at)
+        return 1.0, first, first + n - 1
+    number = {w: i for i, w in enumerate(dict.fromkeys(want))}
+    wanted = np.array([number[w] for w in want])
+    steps = np.arange(n + 1)
+    cost, begin = steps.copy(), np.zeros(n + 1, np.int64)
+    low, first, last = n, 0, -1
     for i, w in enumerate(have):
-        row = [0]
-        for j, t in enumerate(want):
-            row.append(prev[j] + 1 if w == t else max(prev[j + 1], row[j]))
-        if row[-1] > best:
-            best = row[-1]
-        if first < 0 and row[-1]:
-            first = i
-        prev = row
-    return best / len(want), max(first, 0)
-
-
-def scan(documents: DataFrame, templates: Sequence[Template] = TEMPLATES, k: int = GRAM, vote_share: float = VOTES, share: float = SHARE) -> DataFrame:
+        other = wanted != number.get(w, -1)
+        over = cost + 1  # a word too many
+        over[0] = 0
+        from_ = begin.copy()
+        from_[0] = i + 1
+        pair = cost[:-1] + other
+        take = pair <= over[1:]
+        step = over.copy()
+        step[1:] = np.where(take, pair, over[1:])
+        from_[1:] = np.where(take, begin[:-1], from_[1:])
+        # words of the template that are missing: the least of step[j] + (later - j)
+        lead = step - steps
+        best = np.minimum.accumulate(lead)
+        at = np.maximum.accumulate(np.where(lead == best, steps, 0))
+        cost, begin = best + steps, from_[at]
+        if cost[n] < low:
+            low, first, last = int(cost[n]), int(begin[n]), i
+    return 1 - low / n, first, last
+
+
+def spans(documents: DataFrame, templates: Sequence[Template] = TEMPLATES, k: int = GRAM, vote_share: float = VOTES, share: float = SHARE) -> DataFrame:
+    """doc, template (its number), label, base, first, last, score: all places of phrases, and for each other template
+    and band with enough votes its best place; ``doc`` is a hash of doc_id and text, so of repeated rows one is searched."""
     spark = documents.sparkSession
     split = [W.split_words(t.text.encode()) for t in templates]
     if sum(map(len, split)) > MOST_WORDS or any(not k <= len(s) < LONGEST + k for s in split):
@@ -108,40 +134,71 @@ def scan(documents: DataFrame, templates: Sequence[Template] = TEMPLATES, k: int
         places += [(int(x), t, j) for j, x in enumerate(h.view(np.int64)[ok].tolist())]
     needed = [len(s) - k + 1 if x.base else max(1, int(np.ceil(vote_share * (len(s) - k + 1)))) for x, s in zip(templates, split, strict=True)]
     where = F.broadcast(spark.createDataFrame(places, "gram long, template int, place int"))
-    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = rows.withColumn("key", F.xxhash64("doc_id", "text"))
+    rows = _keyed(documents)
     hits = _grams(rows.select("key", "text"), k).select("key", F.posexplode("grams").alias("at", "gram")).join(where, "gram")
+    of = lambda values: F.element_at(F.array(*[F.lit(v) for v in values]), F.col("template") + 1)
+    diagonal, half = (F.col("at") - F.col("place")).cast("long"), BAND // 2
+    band = F.floor(diagonal / half).cast("long") * half
+    bands = F.when(of([t.base for t in templates]), F.array(diagonal)).otherwise(F.array(band - half, band))
     # a bit for each place of the template, so repeated rows don't vote twice
-    votes = hits.groupBy("key", "template", (F.col("at") - F.col("place")).alias("diagonal")).agg(F.bit_or(F.expr("shiftleft(1L, place)")).alias("bits"))
-    order = Window.partitionBy("key", "template").orderBy("diagonal")
-    apart = F.when(F.col("tolerant") & (F.col("diagonal") - F.lag("diagonal").over(order) <= NEIGHBOUR), 0).otherwise(1)
-    tolerant = F.element_at(F.array(*[F.lit(not t.base) for t in templates]), F.col("template") + 1)
-    enough = F.element_at(F.array(*[F.lit(n) for n in needed]), F.col("template") + 1)
-    runs = votes.withColumn("tolerant", tolerant).withColumn("apart", apart).withColumn("run", F.sum("apart").over(order.rowsBetween(Window.unboundedPreceding, 0)))
-    spans = runs.groupBy("key", "template", "run").agg(F.min("diagonal").alias("lo"), F.max("diagonal").alias("hi"), F.expr("bit_count(bit_or(bits))").alias("votes")).where(F.col("votes") >= enough)
-    by_doc = spans.groupBy("key").agg(F.array_sort(F.collect_list(F.struct("template", "lo", "hi"))).alias("spans"))
+    votes = hits.select("key", "template", F.explode(bands).alias("band"), F.expr("shiftleft(1L, place)").alias("bit")).groupBy("key", "template", "band").agg(F.bit_or("bit").alias("bits"))
+    enough = cut(votes.where(F.expr("bit_count(bits)") >= of(needed)).select("key", "template", "band"), "bands")
+
+    few = enough.count() <= BROADCAST_BANDS
+    by_doc = enough.groupBy("key").agg(F.array_sort(F.collect_list(F.struct("template", "band"))).alias("bands"))  # no more than a document's own words
+    texts = rows.select("key", "text").join(F.broadcast(by_doc), "key") if few else rows.select("key", "text").hint("merge").join(by_doc, "key")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out: list[tuple] = []
-            for doc, text, spans in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+            for key, text, bands in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
                 have = W.split_words((text or "").encode("utf-8", "surrogatepass"))
-                base: dict[str, list[int]] = {}
-                found: dict[str, float] = {}
-                for s in spans or ():
-                    t, want = templates[s["template"]], split[s["template"]]
-                    lo, hi = max(0, s["lo"]), s["hi"] + len(want)
-                    if t.base:
+                seen: set[tuple] = set()
+                for x in bands:
+                    t, want = x["template"], split[x["template"]]
+                    lo = max(0, x["band"])
+                    if templates[t].base:
                         if have[lo : lo + len(want)] == want:
-                            base.setdefault(t.label, []).append(lo)
+                            seen.add((t, lo, lo + len(want) - 1, 1.0))
                     else:
-                        good, _ = _ordered_share(have[lo:hi], want)
+                        good, first, last = best_place(have[lo : x["band"] + BAND + len(want)], want)
                         if good >= share:
-                            found[t.label] = max(found.get(t.label, 0.0), good)
-                at = [x for v in base.values() for x in v]
-                score = max([1.0] * bool(base) + list(found.values()), default=0.0)
-                out.append((doc, len(have), len(at), min(at, default=None), max(at, default=None), ",".join(sorted(base)), ",".join(sorted({*base, *found})), score))
-            types = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.float64())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 8, types, strict=True)], names=["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score"])
-
-    return rows.join(by_doc, "key", "left").select("doc_id", "text", "spans").mapInArrow(tidy(verify), "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")
+                            seen.add((t, lo + first, lo + last, good))
+                out += [(key, t, templates[t].label, templates[t].base, first, last, good) for t, first, last, good in sorted(seen)]
+            types = (pa.int64(), pa.int32(), pa.string(), pa.bool_(), pa.int64(), pa.int64(), pa.float64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 7, types, strict=True)], names=["doc", "template", "label", "base", "first", "last", "score"])
+
+    found = texts.mapInArrow(tidy(verify), "doc long, template int, label string, base boolean, first long, last long, score double")
+    return found.dropDuplicates(["doc", "template", "first", "last"])  # repeated rows, and bands that share a place
+
+
+def _counted(rows: DataFrame) -> DataFrame:
+    """(key, doc_id, text) -> key, doc_id, n_words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n = np.zeros(b.num_rows, np.int64)
+            for c in W.chunks(b.column(2)):
+                n[c.first : c.first + len(c.doc) - 1] += np.diff(c.doc)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n)], names=["key", "doc_id", "n_words"])
+
+    return rows.mapInArrow(tidy(run), "key long, doc_id long, n_words long")
+
+
+def _keyed(documents: DataFrame) -> DataFrame:
+    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return rows.select(F.xxhash64("doc_id", "text").alias("key"), "doc_id", "text")
+
+
+def scan(documents: DataFrame, templates: Sequence[Template] = TEMPLATES, k: int = GRAM, vote_share: float = VOTES, share: float = SHARE) -> DataFrame:
+    """One row a document: its words, the base phrases' places, the labels, and the best score."""
+    found = spans(documents, templates, k, vote_share, share)
+    base, names = F.col("base"), lambda c: F.array_join(F.array_sort(F.collect_set(c)), ",")
+    by_doc = found.groupBy(F.col("doc").alias("key")).agg(
+        F.count_if(base).alias("n_base"), F.min(F.when(base, F.col("first"))).alias("first_word"), F.max(F.when(base, F.col("first"))).alias("last_word"),
+        names(F.when(base, F.col("label"))).alias("base_labels"), names(F.col("label")).alias("labels"), F.max("score").alias("score"),
+    )
+    return _counted(_keyed(documents)).join(by_doc, "key", "left").select(
+        "doc_id", "n_words", F.coalesce("n_base", F.lit(0)).cast("long").alias("n_base"), "first_word", "last_word",
+        *[F.coalesce(c, F.lit("")).alias(c) for c in ("base_labels", "labels")], F.coalesce("score", F.lit(0.0)).alias("score"),
+    )

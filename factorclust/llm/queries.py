@@ -62,6 +62,25 @@ def op4_license_diagonals(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_diagonals.scan(table(spark, sf_dir, "documents"))
 
 
+def _license_sql() -> str:
+    """Places of the base phrases as the contract has them."""
+    phrases = ", ".join(f"({i}, '{t.label}', {t.text.split()})" for i, t in enumerate(license_diagonals.TEMPLATES) if t.base)
+    return f"""
+with d as (select row_number() over () as rn, doc_id, coalesce({SQL_WORDS.format(text="text")}, []) as w from documents),
+p as (select * from (values {phrases}) t(id, label, want)),
+hit as (select rn, label, i - 1 as i from (select rn, w, unnest(range(1, len(w) + 1)) as i from d), p where w[i:i + len(want) - 1] = want),
+b as (select rn, count(*) as n_base, min(i) as first_word, max(i) as last_word, string_agg(distinct label, ',' order by label) as base_labels from hit group by rn)
+select doc_id, len(w)::BIGINT as n_words, coalesce(n_base, 0)::BIGINT as n_base, first_word::BIGINT as first_word, last_word::BIGINT as last_word, coalesce(base_labels, '') as base_labels
+from d left join b using (rn)
+"""
+
+
+@query
+def license_base_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op4_license_diagonals that SQL can express."""
+    return op4_license_diagonals(spark, sf_dir).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels")
+
+
 @query
 def op5_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc_derivatives.build(table(spark, sf_dir, "pages"))
@@ -75,6 +94,8 @@ def op6_suffix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 #: Words of a text column in DuckDB, as the contract defines them.
 SQL_WORDS = r"regexp_extract_all(translate({text}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
 
+ORACLES["license_base_phrases"] = _license_sql()
+
 ORACLES["op6_suffix_decontamination"] = f"""
 with d as (select doc_id, coalesce({SQL_WORDS.format(text="text")}, []) as w from documents),
 b as (select item_id, w, case when len(w) < 13 then len(w) else 13 end as k

@@ -410,6 +410,61 @@ def test_license_phrases_are_counted_where_they_stand(spark):
     assert license_diagonals.scan(frame(spark, [])).count() == 0
 
 
+def edits(have, want):
+    """Least edits that make ``want`` of any stretch of ``have``."""
+    row = list(range(len(want) + 1))
+    low = row[-1]
+    for w in have:
+        new = [0]
+        for j, t in enumerate(want):
+            new.append(min(row[j] + (w != t), row[j + 1] + 1, new[j] + 1))
+        row, low = new, min(low, new[-1])
+    return low
+
+
+def test_notices_are_scored_as_brute_force_does(spark):
+    r = random.Random(8)
+    notices = [t for t in license_diagonals.TEMPLATES if not t.base]
+    texts = [None, "", prose(300, 2)]
+    for t in notices:
+        for rate in (0, 0.05, 0.15, 0.3, 0.5):
+            w = []
+            for x in t.text.split():
+                if r.random() >= rate / 2:
+                    w.append(x)
+                w += ["zork"] * (r.random() < rate)
+            texts.append(f"{prose(200, r.randrange(99))} {' '.join(w).upper()}. {prose(100, r.randrange(99))}")
+    w = notices[1].text.split()
+    texts.append(" ".join(x for i in range(0, len(w), 2) for x in [*w[i : i + 2], "a1", "b2", "c3"]))  # three foreign words after every two
+    texts.append(" ".join([notices[0].text] * 50))
+    texts.append("released under " * 3000 + notices[0].text)
+    got = {x.doc_id: x for x in license_diagonals.scan(frame(spark, texts)).collect()}
+    for i, text in enumerate(texts):
+        have = words_of(text)
+        want = {}
+        for t in notices:
+            score = 1 - edits(have, t.text.replace(".", " ").split()) / len(t.text.replace(".", " ").split())
+            if score >= license_diagonals.SHARE:
+                want[t.label] = max(score, want.get(t.label, 0))
+        mine = set(got[i].labels.split(",")) - set(got[i].base_labels.split(",")) - {""}
+        assert mine == set(want), (i, text)
+        assert abs(got[i].score - max([1.0] * bool(got[i].n_base) + list(want.values()), default=0.0)) < 1e-12
+    assert not got[len(texts) - 3].labels
+
+
+def test_spans_say_where_notices_stand(spark):
+    text = "x y Released under THE mit License z released under a the mit license"
+    got = license_diagonals.spans(frame(spark, [text, "q"])).orderBy("first").collect()
+    assert [(x.label, x.first, x.last, round(x.score, 3)) for x in got] == [("mit-notice", 2, 6, 1.0), ("mit", 5, 6, 1.0), ("mit", 12, 13, 1.0)]
+
+
+def test_bands_are_shuffled_beyond_the_bound(spark, monkeypatch):
+    df = frame(spark, [*EDGES, "released under the mit license " * 3])
+    want = sorted(map(str, license_diagonals.scan(df).collect()))
+    monkeypatch.setattr(license_diagonals, "BROADCAST_BANDS", 0)
+    assert sorted(map(str, license_diagonals.scan(df).collect())) == want
+
+
 def test_repeated_rows_do_not_vote_twice(spark):
     df = spark.createDataFrame([(1, "mit license"), (1, "mit license")], "doc_id long, text string")
     assert [r.n_base for r in license_diagonals.scan(df).collect()] == [1, 1]

@@ -88,7 +88,7 @@ def op5_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def op6_suffix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_decontam.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("longest_match")
+    return suffix_decontam.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("longest_match", "longest")
 
 
 #: Words of a text column in DuckDB, as the contract defines them.
@@ -114,6 +114,28 @@ from d left join covered c using (doc_id) left join named n using (doc_id)
 """
 
 
+@query
+def benchmark_longest_matches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The longest verbatim match of each document with each benchmark item, and where it stands in both."""
+    found = suffix_decontam.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", F.explode("longest").alias("m")).select("doc_id", "m.item_id", "m.words", "m.doc_word", "m.item_word")
+
+
+ORACLES["benchmark_longest_matches"] = f"""
+with d as (select doc_id, coalesce({SQL_WORDS.format(text="text")}, []) as w from documents),
+b as (select item_id, w, case when len(w) < 13 then len(w) else 13 end as k
+      from (select item_id, {SQL_WORDS.format(text="text")} as w from benchmark where text is not null) where len(w) > 0),
+win as (select item_id, k, i as y, array_to_string(w[i:i + k - 1], ' ') as g, len(w) as m from (select item_id, k, w, unnest(range(1, len(w) - k + 2)) as i from b)),
+lens as (select distinct k from win),
+pos as (select doc_id, k, i as x, array_to_string(w[i:i + k - 1], ' ') as g from (select doc_id, k, w, unnest(range(1, len(w) - k + 2)) as i from d, lens where len(w) >= k)),
+hits as (select doc_id, item_id, win.k, x, y from pos join win using (k, g)),
+runs as (select *, x - row_number() over (partition by doc_id, item_id, x - y order by x) as island from hits),
+long as (select doc_id, item_id, min(x) as x, min(y) as y, count(*) + max(k) - 1 as words from runs group by doc_id, item_id, x - y, island)
+select doc_id, item_id::VARCHAR as item_id, words::BIGINT as words, (x - 1)::BIGINT as doc_word, (y - 1)::BIGINT as item_word
+from (select *, row_number() over (partition by doc_id, item_id order by words desc, x, y) as rn from long) where rn = 1
+"""
+
+
 @query
 def op7_edit_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edit_join.dedup(table(spark, sf_dir, "documents")).select("doc_id", "text", "n_lines", "n_removed")

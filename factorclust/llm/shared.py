@@ -17,9 +17,11 @@ FORGET: list[Callable[[], None]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one of our own where that is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir, or one of our own where that is unset on one machine (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         app = spark.sparkContext.applicationId
         if app not in _own:
             _own[app] = f"file://{tempfile.mkdtemp(prefix='factorclust-')}"
@@ -75,6 +77,14 @@ def tidy(run):
     return tidied
 
 
+def free_name(taken: list[str], wish: str) -> str:
+    """``wish``, with as many underscores before it as tell it from the columns taken."""
+    used = {c.lower() for c in taken}
+    while wish.lower() in used:
+        wish = f"_{wish}"
+    return wish
+
+
 def cut(df: DataFrame, what: str = "cut") -> DataFrame:
     """Writes ``df`` as a table in the shared folder and reads it again: later stages restart from it."""
     path = fresh_path(df.sparkSession, what)

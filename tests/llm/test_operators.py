@@ -613,6 +613,25 @@ def test_windows_equal_brute_force(spark):
     assert suffix_decontam.report(frame(spark, texts), bench.limit(0)).where("n_hit > 0").count() == 0
 
 
+@pytest.mark.parametrize("shard", [1 << 18, 40])
+def test_many_blocks_and_shards_change_nothing(spark, monkeypatch, shard):
+    r = random.Random(6)
+    items = [(i % 9, prose(r.randint(1, 40), 100 + i)) for i in range(14)] + [(3, "one two"), (4, None)]
+    texts = [*EDGES, "one two one two", *[prose(50, k) + " " + " ".join(words_of(r.choice(items[:14])[1])[r.randint(0, 9) :]) + " " + prose(9, k + 1) for k in range(30)]]
+    texts += [texts[-1], " ".join(t or "" for _, t in items)]
+    df, bench = frame(spark, texts), spark.createDataFrame(items, "item_id long, text string")
+    df = df.withColumn("text_hash", F.lit(1)).withColumn("hits", F.lit(2))
+    tell = lambda: sorted(map(str, suffix_decontam.matches(df, bench, 5).collect()))
+    kept = lambda: sorted(x.doc_id for x in suffix_decontam.decontaminate(df, bench, 5).collect())
+    want, stays = tell(), kept()
+    assert len(stays) < len(texts)
+    monkeypatch.setattr(suffix_decontam, "SHARD", shard)
+    monkeypatch.setattr(suffix_decontam, "BLOCK", 200)
+    assert len(list(suffix_decontam.load_items(bench, 5))) > 3
+    assert tell() == want and kept() == stays
+    assert suffix_decontam.decontaminate(df, bench, 5).columns == df.columns
+
+
 # --- op7 --------------------------------------------------------------------------------------------------------
 
 

@@ -2,15 +2,18 @@
 
 Lines of at most ``threshold`` edits apart share one of threshold + 1 even segments of the shorter line, at a
 place that the lengths and the number of the segment bound. Each distinct line indexes its segments and
-probes the substrings that could be segments of lines as long or shorter by up to the threshold. Counts of
-some letters, which an edit changes by two at most, thin out the pairs; a banded bit-parallel automaton over
-both lines' characters decides. Lines connected in this way are one class; of all its lines in the
-corpus only the first, by doc_id and place, stays.
-
-Lines are compared without the white space at their ends; blank lines stay and are no one's copy. Lines
-shorter than ``least`` characters are copies only if equal. Rows without doc_id come last. Rows equal in
-doc_id and text are one document, and both keep the same lines. Null texts stay null; a text whose lines
-all go is empty. Tables without rows give no rows; extra columns are kept as they are.
+probes the substrings that could be segments of lines as long or shorter by up to the threshold. Where very many
+lines share a segment, what is left of them is cut into segments again, and so on: the rest of two such lines has
+no more edits than the lines, so no pair is lost, and none is made but of lines that share a segment at each level.
+Counts of some letters, which an edit changes by two at most, thin out the pairs; a banded bit-parallel automaton
+over both lines' characters decides. Lines connected in this way are one class; of all its lines in the corpus only
+the first, by doc_id and place, stays.
+
+Lines are compared without the characters of ``blank`` at their ends (spaces, if nothing else is asked for); lines of
+such characters alone stay and are no one's copy. Lines shorter than ``least`` characters are copies only if equal.
+Rows without doc_id come last. Rows equal in doc_id and text are one document, and both keep the same lines. Null
+texts stay null; a text whose lines all go is empty. Tables without rows give no rows; extra columns are kept as they
+are, but for columns named as the two counts, which these replace.
 """
 
 from __future__ import annotations
@@ -21,7 +24,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from factorclust.llm.shared import components, cut
+from factorclust.llm.shared import components, cut, free_name
 
 THRESHOLD, LEAST = 1, 16
 #: Thresholds that grow with the length of the shorter line: (least length, edits).
@@ -31,6 +34,10 @@ Threshold = int | tuple[tuple[int, int], ...]
 COUNTED = "etaoin"
 #: Distinct candidate lines up to which their ids are broadcast to the scan of the texts (8 MB); more are shuffled.
 BROADCAST_IDS = 1_000_000
+#: Lines that share a segment beyond which what is left of them is segmented again, and how often that is done.
+CROWD, DEEPEST = 512, 6
+#: Characters at the ends of lines that don't count, if asked for.
+WHITE = " \t\r\f\v\u00a0"
 #: A class is hot with more than one line in so many.
 HOT = 10_000
 _LAST = (1 << 63) - 1
@@ -133,10 +140,10 @@ def _bit_at(value: Column, at: Column, width: int) -> Column:
     return value.bitwiseAND(mask) != 0
 
 
-def lines_of(rows: DataFrame) -> DataFrame:
+def lines_of(rows: DataFrame, blank: str = " ") -> DataFrame:
     """(row, doc, text) -> row, doc, at, line, id of every line that isn't blank."""
     each = rows.select("row", "doc", F.posexplode(F.split("text", "\n", -1)).alias("at", "raw"))
-    line = F.trim("raw")
+    line = F.btrim("raw", F.lit(blank))
     return each.select("row", "doc", "at", line.alias("line")).where("line <> ''").withColumn("id", F.xxhash64("line"))
 
 
@@ -156,7 +163,7 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     """Pairs whose shorter line has ``least`` characters or more, and less than ``end``.
 
     The keys are made where the lines are read, so the join moves numbers; texts are read again for the
-    lines of the pairs that are left to verify.
+    lines of crowds, and for those of the pairs that are left to verify.
     """
     parts, probes = threshold + 1, len(_shifts(threshold))
     length = F.char_length("line")
@@ -164,13 +171,16 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     long = lines.where(fits if end is None else fits & (length < end + threshold)).select("id", "line", length.alias("n"))
     index_at, probe_at = index_keys(F.col("line"), F.col("n"), threshold), probe_keys(F.col("line"), F.col("n"), threshold)
     keyed = long.select("id", "n", letter_counts(F.col("line")).alias("counts"), *[k.alias(f"k{i}") for i, k in enumerate(index_at)], *[k.alias(f"p{i}") for i, k in enumerate(probe_at)]).distinct()
+    keyed = cut(keyed, "line-keys")
     shorter = keyed if end is None else keyed.where(F.col("n") < end)
-    index = shorter.select(F.col("id").alias("a"), F.col("counts").alias("ca"), F.explode(F.array(*[f"k{i}" for i in range(parts)])).alias("key"))
-    longer = [less > 0 for less, _, _ in _shifts(threshold)]
-    probe = keyed.select(F.col("id").alias("b"), F.col("counts").alias("cb"), F.explode(F.array(*[F.struct(F.col(f"p{i}").alias("key"), F.lit(longer[i]).alias("longer")) for i in range(probes)])).alias("p"))
-    probe = probe.select("b", "cb", F.col("p.key").alias("key"), F.col("p.longer").alias("longer")).where("key is not null")
-    near = (F.col("longer") | (F.col("a") < F.col("b"))) & (counts_apart(F.col("ca"), F.col("cb")) <= 2 * threshold)
-    pairs = cut(index.join(probe, (index["key"] == probe["key"]) & near).select("a", "b").distinct(), "pairs")
+    index = shorter.select("id", "counts", F.posexplode(F.array(*[f"k{i}" for i in range(parts)])).alias("nth", "key"))
+    probe = keyed.select("id", "counts", F.posexplode(F.array(*[f"p{i}" for i in range(probes)])).alias("nth", "key")).where("key is not null")
+    found, crowded = _meet(index, probe, threshold)
+    pairs = cut(found, "pairs")
+    if crowded is not None:
+        ids = index.join(crowded, "key", "left_semi").select("id").union(probe.join(crowded, "key", "left_semi").select("id")).distinct()
+        whole = cut(long.join(ids, "id", "left_semi").groupBy("id").agg(F.first("line").alias("rest")), "crowded-lines")
+        pairs = reduce(DataFrame.unionByName, [pairs, *_within_crowds(index.join(whole, "id"), probe.join(whole, "id"), crowded, threshold)]).distinct()
     ids = pairs.select(F.col("a").alias("want")).union(pairs.select("b")).distinct()
     some = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
     wanted = lines.join(F.broadcast(ids) if some else ids, lines["id"] == ids["want"], "left_semi")
@@ -180,9 +190,56 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     return both.where(edit_distance(F.col("la"), F.col("lb"), threshold).isNotNull()).select("a", "b")
 
 
-def removed(rows: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST) -> DataFrame:
+def _meet(index: DataFrame, probe: DataFrame, threshold: int) -> tuple[DataFrame, DataFrame | None]:
+    """((a, b) of lines that share a key, but for keys of more than CROWD lines; those keys, or None if there are none)."""
+    crowded = cut(index.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > CROWD).select("key"), "crowded")
+    n = crowded.limit(BROADCAST_IDS + 1).count()
+    few = F.broadcast(crowded) if n <= BROADCAST_IDS else crowded
+    alone = index if n == 0 else index.join(few, "key", "left_anti")
+    return _pairs(alone, probe, threshold), (few if n else None)
+
+
+def _pairs(index: DataFrame, probe: DataFrame, threshold: int) -> DataFrame:
+    longer = F.element_at(F.array(*[F.lit(less > 0) for less, _, _ in _shifts(threshold)]), F.col("first") + 1)
+    left = index.select(F.col("id").alias("a"), F.col("counts").alias("ca"), "key")
+    first = F.col("first") if "first" in probe.columns else F.col("nth")
+    right = probe.select(F.col("id").alias("b"), F.col("counts").alias("cb"), "key", first.alias("first"))
+    near = (longer | (F.col("a") < F.col("b"))) & (counts_apart(F.col("ca"), F.col("cb")) <= 2 * threshold)
+    return left.join(right, (left["key"] == right["key"]) & near).select("a", "b").distinct()
+
+
+def _without(rest: Column, at: Column, n: Column) -> Column:
+    return F.concat(F.substring(rest, F.lit(1), at), F.substring(rest, at + n + 1, F.char_length(rest)))
+
+
+def _within_crowds(index: DataFrame, probe: DataFrame, crowded: DataFrame, threshold: int) -> Iterator[DataFrame]:
+    """Pairs of lines that share crowded keys: rows are (id, counts, nth, key, rest), with nth the segment or shift of the key in the rest."""
+    shifts = _shifts(threshold)
+    probe = probe.withColumn("first", F.col("nth"))  # tells whose lines are longer, whatever is cut off later
+    for level in range(1, DEEPEST + 1):
+        length = F.char_length("rest")
+        pick = lambda options: F.element_at(F.array(*options), F.col("nth") + 1)
+        own = list(segments(length, threshold + 1))
+        of_shorter = {less: list(segments(length - less, threshold + 1)) for less in range(threshold + 1)}
+        index = index.join(crowded, "key", "left_semi").withColumn("rest", _without(F.col("rest"), pick([at for at, _ in own]), pick([n for _, n in own])))
+        begin, size = pick([of_shorter[less][i][0] + shift for less, i, shift in shifts]), pick([of_shorter[less][i][1] for less, i, shift in shifts])
+        probe = probe.join(crowded, "key", "left_semi").withColumn("rest", _without(F.col("rest"), begin, size))
+        below = lambda keys: F.transform(F.array(*keys), lambda k: F.when(k.isNotNull(), F.xxhash64(F.col("key"), k)))
+        index = cut(index.select("id", "counts", "rest", F.posexplode(below(index_keys(F.col("rest"), length, threshold))).alias("nth", "key")), "crowd-index")
+        deeper = probe_keys(F.col("rest"), length, threshold)
+        probe = cut(probe.select("id", "counts", "rest", "first", F.posexplode(below(deeper)).alias("nth", "key")).where("key is not null"), "crowd-probe")
+        if level == DEEPEST:
+            yield cut(_pairs(index, probe, threshold), "pairs")
+            return
+        found, crowded = _meet(index, probe, threshold)
+        yield cut(found, "pairs")
+        if crowded is None:
+            return
+
+
+def removed(rows: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST, blank: str = " ") -> DataFrame:
     """(row, gone): the places of the lines that go from each document, where there are any."""
-    lines = lines_of(rows)
+    lines = lines_of(rows, blank)
     labels = components(similar(lines, threshold, least))
     places = lines.select("row", "doc", "at", "id")
     classed = cut(places.join(labels, places["id"] == labels["node"], "left").select("row", "doc", "at", F.coalesce("comp", "id").alias("class")), "places")
@@ -200,17 +257,18 @@ def removed(rows: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAS
     return goes.groupBy("row").agg(F.collect_set("at").alias("gone"))  # no more than a document's own lines
 
 
-def dedup(documents: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST) -> DataFrame:
-    """The documents with the text their first lines leave, and n_lines, n_removed."""
+def dedup(documents: DataFrame, threshold: Threshold = THRESHOLD, least: int = LEAST, blank: str = " ", counts: tuple[str, str] = ("n_lines", "n_removed")) -> DataFrame:
+    """The documents with the text their first lines leave, and the two counts."""
     text = F.col("text").cast("string")
     key = F.xxhash64(F.col("doc_id").cast("long"), text)
     rows = documents.select(key.alias("row"), F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc"), text.alias("text"))
-    gone = removed(rows, threshold, least).withColumnRenamed("row", "__row").withColumnRenamed("gone", "__gone")
+    row, places = free_name(documents.columns, "row"), free_name(documents.columns, "gone")
+    gone = removed(rows, threshold, least, blank).select(F.col("row").alias(row), F.col("gone").alias(places))
     lines = F.split(text, "\n", -1)
-    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__gone"))
-    left = F.when(F.col("__gone").isNull(), text).otherwise(F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n"))
-    found = documents.withColumn("__row", key).hint("merge").join(gone, "__row", "left")
+    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col(places))
+    left = F.when(F.col(places).isNull(), text).otherwise(F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n"))
+    found = documents.withColumn(row, key).hint("merge").join(gone, row, "left")
     return found.select(
-        *[left.alias("text") if c == "text" else F.col(f"`{c}`") for c in documents.columns],
-        F.when(text.isNull(), 0).otherwise(F.size(lines)).cast("long").alias("n_lines"), F.coalesce(F.size("__gone"), F.lit(0)).cast("long").alias("n_removed"),
+        *[left.alias("text") if c == "text" else F.col(f"`{c}`") for c in documents.columns if c not in counts],
+        F.when(text.isNull(), 0).otherwise(F.size(lines)).cast("long").alias(counts[0]), F.coalesce(F.size(places), F.lit(0)).cast("long").alias(counts[1]),
     )

@@ -711,6 +711,42 @@ def test_only_first_lines_stay(spark):
     assert edit_join.dedup(frame(spark, [])).count() == 0
 
 
+@pytest.mark.parametrize("threshold", [1, 2])
+def test_crowds_lose_no_pair(spark, monkeypatch, threshold):
+    monkeypatch.setattr(edit_join, "CROWD", 4)
+    r = random.Random(threshold)
+    head, tail = "the common beginning of many lines, ", " and their common end of it"
+    lines = {head + f"{r.randrange(10**5):05d}" + tail for _ in range(150)}
+    lines |= {f"{r.randrange(10**4):04d} é" + tail + tail for _ in range(60)} | {head + head + f"{r.randrange(50)}" for _ in range(30)}
+    for x in list(lines)[:80]:
+        k = r.randrange(len(x))
+        lines.add((x[:k] + r.choice(["", "é", "q"]) + x[k + r.randint(0, 1) :]).strip())
+    lines = sorted(lines)
+    df = spark.createDataFrame([(0, 0, i, x) for i, x in enumerate(lines)], "row long, doc long, at int, line string").withColumn("id", F.xxhash64("line"))
+    name = {x.id: x.line for x in df.collect()}
+    got = sorted(tuple(sorted((name[p.a], name[p.b]))) for p in edit_join.similar(df, threshold, 16).collect())
+
+    def near(a, b):
+        if abs(len(a) - len(b)) > threshold:
+            return False
+        i = next((i for i, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
+        j = next((j for j, (x, y) in enumerate(zip(a[i:][::-1], b[i:][::-1], strict=False)) if x != y), min(len(a), len(b)) - i)
+        return distance(a[i : len(a) - j], b[i : len(b) - j]) <= threshold
+
+    assert got == sorted((a, b) for a in lines for b in lines if a < b and near(a, b))
+
+
+def test_white_space_and_clashing_names(spark):
+    rows = [(1, "short line\nsecond line of it", 7, 8, 9), (2, "short line\t\n\tsecond line of it\r\n \t\nnew", 7, 8, 9), (3, "x" * 200_000 + "\nshort line", 7, 8, 9)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, row int, gone int, n_removed int")
+    got = {r.doc_id: r for r in edit_join.dedup(df, blank=edit_join.WHITE, counts=("lines", "went")).collect()}
+    assert [got[i].text for i in (1, 2, 3)] == [rows[0][1], " \t\nnew", "x" * 200_000]
+    assert all((r.row, r.gone, r.n_removed) == (7, 8, 9) for r in got.values()) and [got[i].went for i in (1, 2, 3)] == [0, 2, 1]
+    plain = edit_join.dedup(df)
+    assert plain.columns == ["doc_id", "text", "row", "gone", "n_lines", "n_removed"]
+    assert {r.doc_id: r.n_removed for r in plain.collect()} == {1: 0, 2: 0, 3: 1}
+
+
 def test_line_dedup_is_native(spark):
     plans = []
     DataFrame = type(spark.range(1))  # noqa: N806

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from factorclust.llm import words as W
-from factorclust.llm.shared import components, cut, tidy
+from factorclust.llm.shared import components, cut, free_name, tidy
 
 SHINGLE, SIMILARITY = 5, 0.8
 BINS, LEAF = 128, 96
@@ -232,9 +232,9 @@ def candidates(records: DataFrame, similarity: float = SIMILARITY, recall: float
     leaves: DataFrame | None = None
     links: DataFrame | None = None
     for level in range(depth):
-        sizes = nodes.groupBy("path").agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("set") / 1024).cast("long").alias("sign")).where("n > 1")
+        sizes = nodes.groupBy("path").agg(F.count(F.lit(1)).alias("n"), *[F.bit_xor(F.xxhash64("set", F.lit(i))).alias(f"sign{i}") for i in (0, 1)]).where("n > 1")
         sizes = cut(sizes, "buckets")
-        small = sizes.where(F.col("n") <= leaf).groupBy("n", "sign").agg(F.min("path").alias("path")).select("path")  # the same records, met in many runs, are compared once
+        small = sizes.where(F.col("n") <= leaf).groupBy("n", "sign0", "sign1").agg(F.min("path").alias("path")).select("path")  # the same records, told by 128 bits, met in many runs, are compared once
         found = nodes.join(small, "path").select("path", "set")
         leaves = found if leaves is None else leaves.unionByName(found)
         large = sizes.where(F.col("n") > leaf).select("path")
@@ -287,10 +287,11 @@ def join(documents: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
 
 
 def keep_first(documents: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """One document of each class, the one with the least doc_id, with all its columns; null doc_ids stay."""
+    """One document of each class, the one with the least doc_id, with all its columns; rows with null doc_ids all stay."""
     found = cut(classes(_rows(documents), similarity), "classes")
-    first = found.where(F.col("doc_id") == F.col("class_id")).groupBy("class_id").agg(F.min("row").alias("__row")).select("__row")
-    keep = first.unionByName(found.where("doc_id is null").select(F.col("row").alias("__row")).distinct())
+    name = free_name(documents.columns, "row")
+    keep = found.where(F.col("doc_id") == F.col("class_id")).groupBy("class_id").agg(F.min("row").alias(name)).select(name)
     key = F.xxhash64(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    kept = documents.withColumn("__row", key).hint("merge").join(keep, "__row", "left_semi")
-    return kept.dropDuplicates(["__row"]).select(*[F.col(f"`{c}`") for c in documents.columns])
+    kept = documents.where(F.col("doc_id").isNotNull()).withColumn(name, key).hint("merge").join(keep, name, "left_semi")
+    columns = [F.col(f"`{c}`") for c in documents.columns]
+    return kept.dropDuplicates([name]).select(*columns).unionByName(documents.where(F.col("doc_id").isNull()))

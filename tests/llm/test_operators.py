@@ -388,6 +388,8 @@ def test_short_hot_documents_meet_as_claimed(spark):
 
 def test_rows_without_doc_id_stay_and_columns_may_clash(spark):
     df = spark.createDataFrame([(None, "a b c d e f", 1), (None, None, 2), (3, "a b c d e f", 3)], "doc_id long, text string, row long")
+    twice = df.unionByName(df)
+    assert sorted((r.doc_id or -1, r.row) for r in chosen_path.keep_first(twice).collect()) == [(-1, 1), (-1, 1), (-1, 2), (-1, 2), (3, 3)]
     got = chosen_path.join(df).collect()
     assert sorted((r.doc_id or -1, r.class_id or -1, r.n_links) for r in got) == [(-1, -1, 0), (-1, -1, 0), (3, 3, 0)]
     assert chosen_path.keep_first(df).count() == 3 and chosen_path.keep_first(df).columns == ["doc_id", "text", "row"]
@@ -891,6 +893,23 @@ def test_pipeline_stages_hold(spark, tmp_path, vocab):
     assert {r.doc_id for r in packed.collect()} == set(kept["decontamination"])
 
 
+def test_stages_keep_columns_that_clash(spark, tmp_path, vocab):
+    import corpus_pipeline as cp
+
+    d = str(tmp_path)
+    spark.createDataFrame([(1, "z y x")], "item_id long, text string").write.parquet(f"{d}/benchmark.parquet")
+    names = ["n_removed", "n_lines", "row", "gone", "key", "hits", "class_id", "text_hash", "score"]
+    docs = frame(spark, [prose(90, 1), prose(90, 2) + "\n" + prose(30, 3), None, "a b c d e f\t", "a b c d e f"]).select("*", *[F.lit(i).alias(n) for i, n in enumerate(names)])
+    for name, stage in cp.STAGES[:-1]:
+        docs = shared.cut(stage(spark, docs, d), name)
+        assert docs.columns == ["doc_id", "text", "lang", "source", "n_chars", *names]
+        assert all(tuple(r)[5:] == tuple(range(len(names))) for r in docs.collect())
+    assert {r.doc_id for r in docs.collect()} == {0, 1, 3}
+    empty = docs.limit(0)
+    for _, stage in cp.STAGES:
+        assert stage(spark, empty, d).count() == 0
+
+
 def test_files_can_be_left_out():
     here = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
     text = open(f"{here}/corpus_pipeline.py").read()

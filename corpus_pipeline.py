@@ -7,11 +7,11 @@ from pyspark.sql import functions as F
 
 from factorclust.llm import chosen_path, cross_parsing, dominance_packing, edit_join, suffix_decontam
 from factorclust.llm.queries import table, tokenizer
-from factorclust.llm.shared import bounded_batches, cut
+from factorclust.llm.shared import bounded_batches, cut, free_name
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, whose language can't be told, go."""
+    """Documents without a letter go, and those that the parse finds to be of no learned language."""
     bounded_batches(spark)
     return cross_parsing.keep_identified(docs)
 
@@ -19,10 +19,12 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of lines at most one, two or three edits apart, by their length, the first one stays; documents that have no line left go."""
     bounded_batches(spark)
-    found = edit_join.dedup(docs, edit_join.GROWN)
-    empty = (F.col("n_removed") > 0) & (F.trim("text") == "")
-    length = F.char_length("text").cast("long")
-    return found.where(~F.coalesce(empty, F.lit(False))).select(*[F.when(F.col("n_removed") > 0, length).otherwise(F.col("n_chars")).alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns])
+    n_lines, n_removed = free_name(docs.columns, "n_lines"), free_name(docs.columns, "n_removed")
+    found = edit_join.dedup(docs, edit_join.GROWN, blank=edit_join.WHITE, counts=(n_lines, n_removed))
+    changed = F.col(n_removed) > 0
+    empty = changed & (F.btrim("text", F.lit(edit_join.WHITE + "\n")) == "")
+    length = F.when(changed, F.char_length("text").cast("long")).otherwise(F.col("n_chars")).alias("n_chars")
+    return found.where(~F.coalesce(empty, F.lit(False))).select(*[length if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns])
 
 
 def keep_one_of_a_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -143,7 +143,10 @@ def _bit_at(value: Column, at: Column, width: int) -> Column:
 def lines_of(rows: DataFrame, blank: str = " ") -> DataFrame:
     """(row, doc, text) -> row, doc, at, line, id of every line that isn't blank."""
     each = rows.select("row", "doc", F.posexplode(F.split("text", "\n", -1)).alias("at", "raw"))
-    line = F.btrim("raw", F.lit(blank))
+    line = F.trim("raw")
+    other = [c for c in blank if c != " "]
+    if other:  # trimming a set of characters is slow, and few lines need it
+        line = F.when(reduce(Column.__or__, [line.startswith(c) | line.endswith(c) for c in other]), F.btrim("raw", F.lit(blank))).otherwise(line)
     return each.select("row", "doc", "at", line.alias("line")).where("line <> ''").withColumn("id", F.xxhash64("line"))
 
 

@@ -37,7 +37,7 @@ DENSE = 1 << 24
 #: Symbols after which a second parse of a text starts beside the first; both are joined where they meet.
 SEGMENT = 1024
 #: Symbols and languages parsed side by side.
-TOGETHER, ABREAST = 1 << 19, 16
+TOGETHER, ABREAST = 1 << 20, 16
 UNDETERMINED = "und"
 
 _letters: list[np.ndarray] = []
@@ -200,7 +200,7 @@ class Parser:
             _, one = np.unique(owner[s] * n_lang + k, return_index=True)
             apart[s[one], k[one]] = False
             seg, lang, came = s[one] + 1, k[one], ends[s[one], k[one]]
-        sums = np.zeros((len(mark) + 1, n_lang), np.int64)
+        sums = np.zeros((len(mark) + 1, n_lang), np.int32)
         np.cumsum(mark, axis=0, out=sums[1:])
         which = np.arange(n_lang)[None, :]
         mine = sums[start + long] - sums[start[:, None] + meets, which] + extra

@@ -43,11 +43,13 @@ HIDDEN = frozenset("script style noscript template head".split())
 RAW = frozenset("script style title textarea".split())
 BLOCKS = frozenset("p div br li ul ol h1 h2 h3 h4 h5 h6 tr table section article nav header footer blockquote pre title".split())
 
-_OPEN = re.compile(r"<(?:(!--)|(/?)([A-Za-z][^\s/>]*)|[!?/])")
-_REST = re.compile(r"""[^>"']*(?:"[^"]*"[^>"']*|'[^']*'[^>"']*)*>""")
-_HREF = re.compile(r"""[\s"'/]href\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
-_SPACES = re.compile(r"[^\S\n]+")
-_LINES = re.compile(r"\s*\n\s*")
+TOLD = HIDDEN | RAW | {"a"}
+# the last group of a tag is empty where the page ends before the tag does
+_OPEN = re.compile(r"""<(?:(/?)([A-Za-z][^\s/>]*)([^>"']*(?:"[^"]*"[^>"']*|'[^']*'[^>"']*)*)(>?)|(!--)|[!?/])""")
+_HREF = re.compile(r"""(?:^|[\s"'/])href\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
+# single spaces stay as they are, so they needn't be found; lines are joined after runs of spaces are
+_SPACES = re.compile(r"[^\S\n]{2,}|[^\S\n ]")
+_LINES = re.compile(r" ?\n\s*")
 
 
 @dataclass
@@ -105,7 +107,7 @@ def read_page(page: str) -> Page:
             out.append(page[at:])
             break
         out.append(page[at : m.start()])
-        comment, slash, name = m.groups()
+        slash, name, rest, done, comment = m.groups()
         if comment:
             at = page.find("-->", m.end()) + 3
             if at == 2:
@@ -117,16 +119,15 @@ def read_page(page: str) -> Page:
             if not at:
                 break
             continue
-        name = name.lower()
-        rest = _REST.match(page, m.end())
-        if not rest:
+        if not done:
             break
-        at = rest.end()
+        at = m.end()
+        name = name.lower()
         if name in BLOCKS:
             out.append("\n")
-        if slash:
+        if slash or name not in TOLD:
             continue
-        if name == "a" and (href := _HREF.search(page, m.end(), at)):
+        if name == "a" and (href := _HREF.search(rest)):
             links.append(html.unescape(next(filter(None, href.groups()), "")))
         if name == "title" and title is None:
             title = page[at : (closing(name, at) or (end, end))[0]]
@@ -169,7 +170,7 @@ def derive(source: Record, page: object) -> tuple[Record, Record]:
     return out[0], out[1]
 
 
-def dump(record: Record, level: int = 3) -> bytes:
+def dump(record: Record, level: int = 1) -> bytes:
     """One gzip member: version line, headers, block."""
     lines = ["WARC/1.1", f"WARC-Type: {record.kind}", *(f"{k}: {v}" for k, v in record.headers.items()), f"Content-Length: {len(record.block)}", "", ""]
     return gzip.compress("\r\n".join(lines).encode("utf-8", "surrogatepass") + record.block + b"\r\n\r\n", level, mtime=0)

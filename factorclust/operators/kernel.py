@@ -13,17 +13,23 @@ import numpy as np
 
 #: Norm of the update at or below which normalisation breaks down.
 BREAKDOWN = 1e-20
+#: The step times K and the penalty, where none is given. Chosen without labels, as the largest of 0.3, 0.5 and 0.8 (with
+#: dual tolerances from 1e-3 to 3e-2) at which runs of K = 10 and 20 on mixtures and planted tables met the stop rule.
+STEP = 0.8
 
 
 @dataclass(frozen=True)
 class Config:
-    """Parameters of a fit. ``step`` may be a number, None (0.5 / (K penalty)) or "bound" (theta over the smoothness bound)."""
+    """Parameters of a fit. ``step`` may be a number, None (STEP / (K penalty)) or "bound" (theta over the smoothness bound).
+
+    ``storage`` "single" keeps points and factor as 32-bit numbers; steps and sums are made in 64 bits all the same.
+    """
 
     k: int
     rank: int | None = None
     step: float | str | None = None
     penalty: float = 1.0
-    tol_dual: float = 1e-3
+    tol_dual: float = 3e-2
     tol_conv: float = 1e-3
     min_iter: int = 10
     max_iter: int = 3000
@@ -33,6 +39,15 @@ class Config:
     theta: float = 0.9
     init: str = "uniform"
     seed: int = 0
+    storage: str = "double"
+
+    @property
+    def fixed_step(self) -> float:
+        return STEP / (self.k * self.penalty) if self.step is None else float(self.step)
+
+    @property
+    def dtype(self) -> np.dtype:
+        return np.dtype({"double": np.float64, "single": np.float32}[self.storage])
 
     @property
     def r(self) -> int:
@@ -84,7 +99,8 @@ def sums_of(z: np.ndarray, new: np.ndarray, old: np.ndarray, dual: np.ndarray) -
 
 
 def fused_step(z: np.ndarray, raw: np.ndarray, dual: np.ndarray, c: Control) -> tuple[np.ndarray, np.ndarray, Sums]:
-    f = raw * c.scale
+    z = z.astype(np.float64, copy=False)
+    f = raw.astype(np.float64, copy=False) * c.scale
     resid = f @ c.colsum - 1
     if c.fire:
         dual = dual + c.weight * resid
@@ -95,7 +111,8 @@ def fused_step(z: np.ndarray, raw: np.ndarray, dual: np.ndarray, c: Control) ->
     new -= c.step * np.outer(eff, c.colsum)
     new -= c.step * c.shift
     np.maximum(new, 0, out=new)
-    return new, dual, sums_of(z, new, f, dual)
+    new = new.astype(raw.dtype, copy=False)  # the sums are those of what is kept
+    return new, dual, sums_of(z, new.astype(np.float64, copy=False), f, dual)
 
 
 class Driver:
@@ -111,7 +128,7 @@ class Driver:
     def _step(self) -> float:
         c = self.cfg
         bound = 2 + 2 * self.dual_norm + c.penalty * (6 * c.k + 2)
-        step = 0.5 / (c.k * c.penalty) if c.step is None else c.theta / bound if c.step == "bound" else float(c.step)
+        step = c.theta / bound if c.step == "bound" else c.fixed_step
         self.bound_ok = step < 1 / bound
         return step
 

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from factorclust.operators.kernel import Config, Control, Driver, fused_step
 from factorclust.operators.normalize import column_stats, gram_matrix
-from factorclust.operators.solver import TILE_ROWS, Model, add_up, build_tiles
+from factorclust.operators.solver import TILE_ROWS, Model, add_up, build_tiles, matrix
 
 POINTS = ("tile", "ids", "z")
 STATE = "tile long, rows int, raw binary, dual binary, sums array<double>"
@@ -35,8 +35,8 @@ def sweep(points: DataFrame, state: DataFrame, control: Control, d: int, r: int)
     held = points.sparkSession.sparkContext.broadcast(control)
 
     def step(x: pa.Table, s: pa.Table) -> pa.Table:
-        z = np.frombuffer(x.column("z")[0].as_buffer()).reshape(-1, d)
-        raw, dual = np.frombuffer(s.column("raw")[0].as_buffer()).reshape(-1, r), np.frombuffer(s.column("dual")[0].as_buffer())
+        dual = np.frombuffer(s.column("dual")[0].as_buffer())
+        z, raw = (matrix(c[0].as_buffer(), len(dual), w) for c, w in ((x.column("z"), d), (s.column("raw"), r)))
         new, dual, sums = fused_step(z, raw, dual, held.value)
         return pa.table({"tile": s.column("tile"), "rows": s.column("rows"), "raw": pa.array([new.tobytes()], pa.binary()), "dual": pa.array([dual.tobytes()], pa.binary()), "sums": pa.array([sums.pack().tolist()], pa.list_(pa.float64()))})
 

@@ -7,8 +7,10 @@ join and no shuffle of anything that grows with n. The state's lineage is cut to
 
 from __future__ import annotations
 
+import atexit
 import itertools
 import json
+import shutil
 import tempfile
 import time
 import uuid
@@ -28,6 +30,8 @@ from factorclust.operators.normalize import column_stats, gram_matrix
 
 #: Rows of a tile; bytes of points that a grouped fit may hold in one worker.
 TILE_ROWS, LOCAL_LIMIT = 16_384, 256 << 20
+#: Tiles up to which the driver adds their sums up itself.
+FEW = 32
 
 
 @dataclass
@@ -57,10 +61,10 @@ def fit_local(x: np.ndarray, cfg: Config, ids: np.ndarray | None = None, caps: S
     ids = np.arange(n) if ids is None else ids
     z = x if prepared else prepare(x, cfg.normalise)
     began = time.perf_counter()
-    raw = init.raw_factor(ids, cfg.r, cfg.seed, cfg.init) if start is None else start.copy()
-    dual = np.zeros(n)
+    raw = (init.raw_factor(ids, cfg.r, cfg.seed, cfg.init) if start is None else start.copy()).astype(cfg.dtype)
+    z, dual = z.astype(cfg.dtype, copy=False), np.zeros(n)
     driver = Driver(cfg, n, z.shape[1])
-    control: Control | None = driver.first(sums_of(z, raw, raw, dual))
+    control: Control | None = driver.first(sums_of(z.astype(np.float64, copy=False), *[raw.astype(np.float64, copy=False)] * 2, dual))
     shots: dict[int, np.ndarray] = {}
     scale = control.scale
     while control is not None:
@@ -88,7 +92,7 @@ def fit_threebuffer(x: np.ndarray, cfg: Config, ids: np.ndarray | None = None, p
     f = init.raw_factor(ids, cfg.r, cfg.seed, cfg.init)
     f *= np.sqrt(cfg.k / (f * f).sum())
     dual, trace, status, began = np.zeros(n), [], "capped", time.perf_counter()
-    step = 0.5 / (cfg.k * cfg.penalty) if cfg.step is None else float(cfg.step)
+    step = cfg.fixed_step
     for t in range(1, cfg.max_iter + 1):
         p = f.sum(0)
         eff = dual + w * (f @ p - 1)
@@ -120,6 +124,38 @@ def local_points(points: DataFrame, limit: int = LOCAL_LIMIT) -> pd.DataFrame:
     return points.orderBy("id").toPandas()
 
 
+MIXTURE_SCHEMA = "run_id long, method string, seed int, n long, d int, k int, rank int, gamma double, cap int, iters int, feas double, move double, wcss double, loop_seconds double, total_seconds double, status string, ari double, nmi double, error double"
+
+
+def fit_mixtures(spark: SparkSession, grid: Sequence[dict], limit: int = LOCAL_LIMIT) -> DataFrame:
+    """Scored runs on planted mixtures that each task makes for itself: a new data set a seed, the same for all methods.
+
+    A grid row has method, n, d, k, gamma, seed and what the method takes. The loop's seconds are those of the
+    iterations (of a Lloyd run, all); the total has the data's preparation and the labels too.
+    """
+    from factorclust.operators import methods, metrics
+    from factorclust.sources.points import mixture_rows
+
+    if any(g["n"] * g["d"] * 8 > limit for g in grid):
+        raise ValueError("a mixture is too large for one task; use resident.fit on sources.points.mixture")
+    runs = spark.createDataFrame([(i, json.dumps(g)) for i, g in enumerate(grid)], "run_id long, spec string").repartition(max(1, min(len(grid), 512)), "run_id")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for run_id, spec in zip(b.run_id, map(json.loads, b.spec), strict=True):
+                ids = np.arange(spec["n"])
+                x, truth = mixture_rows(ids, spec["n"], spec["d"], spec["k"], spec["gamma"], spec["seed"])
+                began = time.perf_counter()
+                rows = methods.run(run_id, spec, ids, x, truth)
+                total = time.perf_counter() - began
+                yield pd.DataFrame([{
+                    **{c: r[c] for c in ("run_id", "method", "seed", "rank", "cap", "iters", "feas", "move", "wcss", "status")}, **{c: spec[c] for c in ("n", "d", "k", "gamma")},
+                    "loop_seconds": r["seconds"], "total_seconds": total, **{c: v for c, v in metrics.scores_np(np.asarray(r["labels"]), truth).items() if c != "purity"},
+                } for r in rows])[[c.split()[0] for c in MIXTURE_SCHEMA.split(", ")]]
+
+    return runs.mapInPandas(run, MIXTURE_SCHEMA)
+
+
 RUN_SCHEMA = "run_id long, id long, cluster int"
 RESULT_SCHEMA = "run_id long, method string, seed int, rank int, cap int, iters int, feas double, move double, objective double, wcss double, seconds double, status string, bound_ok boolean, labels array<int>"
 
@@ -154,6 +190,12 @@ def labels_of_runs(points: DataFrame, runs: DataFrame) -> DataFrame:
 
 # --- distributed ------------------------------------------------------------------------------------------------
 
+def matrix(buffer: pa.Buffer | bytes, rows: int, width: int) -> np.ndarray:
+    """Rows of a tile as they are kept, in 32 or 64 bits."""
+    size = buffer.size if isinstance(buffer, pa.Buffer) else len(buffer)
+    return np.frombuffer(buffer, np.float32 if size == 4 * rows * width else np.float64).reshape(rows, width)
+
+
 STATE = "tile long, rows int, ids binary, z binary, raw binary, dual binary, sums array<double>"
 
 
@@ -170,6 +212,8 @@ class Model:
     mean: np.ndarray
     sigma: float
     bound_ok: bool = True
+    peaks: list[int] = field(default_factory=list)  # traced bytes of each task, where asked for
+    tasks: int = 0
 
     def factor(self) -> DataFrame:
         """(id, f) rows of the factor."""
@@ -178,7 +222,7 @@ class Model:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
                 for ids, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                    f = np.frombuffer(raw).reshape(-1, r) * scale
+                    f = matrix(raw, len(ids) // 8, r).astype(np.float64) * scale
                     yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(ids, np.int64)), pa.ListArray.from_arrays(pa.array(np.arange(len(f) + 1) * r, pa.int32()), pa.array(f.ravel()))], names=["id", "f"])
 
         return self.state.select("ids", "raw").mapInArrow(run, "id long, f array<double>")
@@ -203,7 +247,7 @@ class Model:
         return out
 
     def save(self, path: str) -> None:
-        self.state.drop("sums").write.mode("overwrite").parquet(f"{path}/state")
+        self.state.select("tile", "rows", "ids", "z", "raw", "dual").write.mode("overwrite").parquet(f"{path}/state")
         spark = self.state.sparkSession
         small = json.dumps({"scale": self.control_scale, "gram": self.gram.tolist(), "trace": self.trace, "status": self.status, "cfg": asdict(self.cfg), "mean": self.mean.tolist(), "sigma": self.sigma})
         spark.createDataFrame([(small,)], "model string").coalesce(1).write.mode("overwrite").json(f"{path}/driver")
@@ -231,9 +275,9 @@ def build_tiles(points: DataFrame, mean: np.ndarray, sigma: float, cfg: Config,
             for at in range(0, b.num_rows, tile_rows):
                 part = b.slice(at, tile_rows)
                 ids = part.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
-                z = (part.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1) - m) / s
-                raw, dual = init.raw_factor(ids, r, cfg.seed, cfg.init), np.zeros(len(ids))
-                yield _row(next(serial), ids.tobytes(), z, raw, dual, sums_of(z, raw, raw, dual))
+                z = ((part.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1) - m) / s).astype(cfg.dtype)
+                raw, dual = init.raw_factor(ids, r, cfg.seed, cfg.init).astype(cfg.dtype), np.zeros(len(ids))
+                yield _row(next(serial), ids.tobytes(), z, raw, dual, sums_of(z.astype(np.float64), *[raw.astype(np.float64)] * 2, dual))
 
     return points.select("id", "x").mapInArrow(run, STATE)
 
@@ -253,17 +297,18 @@ def sweep(state: DataFrame, control: Control, d: int, r: int) -> DataFrame:
         c = held.value
         for b in batches:
             for i in range(b.num_rows):
-                z, raw, dual = (np.frombuffer(b.column(k)[i].as_buffer()) for k in (3, 4, 5))
-                n = len(dual)
-                z, raw = z.reshape(n, d), raw.reshape(n, r)
+                dual = np.frombuffer(b.column(5)[i].as_buffer())
+                z, raw = (matrix(b.column(k)[i].as_buffer(), len(dual), w) for k, w in ((3, d), (4, r)))
                 new, dual, s = fused_step(z, raw, dual, c)
                 yield _row(b.column(0)[i].as_py(), b.column(2)[i].as_py(), z, new, dual, s)
 
     return state.mapInArrow(run, STATE)
 
 
-def add_up(state: DataFrame, d: int, r: int) -> Sums:
-    """The sums over all tiles: d r + r^2 + 2 r + 5 numbers reach the driver."""
+def add_up(state: DataFrame, d: int, r: int, tiles: int | None = None) -> Sums:
+    """The sums over all tiles: d r + r^2 + 2 r + 5 numbers reach the driver, or, of FEW tiles, as many from each (no shuffle)."""
+    if tiles is not None and tiles <= FEW:
+        return Sums.unpack(np.sum([x.sums for x in state.select("sums").collect()], axis=0), d, r)
     rows = state.select(F.posexplode("sums").alias("at", "v")).groupBy("at").agg(F.sum("v").alias("v")).collect()
     v = np.zeros(d * r + r + r * r + r + 5)
     for row in rows:
@@ -286,12 +331,16 @@ _own: dict[str, str] = {}
 
 
 def state_folder(spark: SparkSession) -> str:
-    """Where states are cut to: below spark.checkpoint.dir, or a folder of our own where that is unset (tests)."""
+    """Where states are cut to: below spark.checkpoint.dir, or a folder of our own where that is unset on one machine (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         app = spark.sparkContext.applicationId
         if app not in _own:
-            _own[app] = f"file://{tempfile.mkdtemp(prefix='factorclust-')}"
+            folder = tempfile.mkdtemp(prefix="factorclust-")
+            atexit.register(shutil.rmtree, folder, True)
+            _own[app] = f"file://{folder}"
         root = _own[app]
     return f"{root.rstrip('/')}/factorclust-states"
 
@@ -310,18 +359,19 @@ def fit_distributed(points: DataFrame, cfg: Config, tile_rows: int = TILE_ROWS,
     driver = Driver(cfg, n, d)
     if resume is None:
         state, path = _cut(build_tiles(points, mean, sigma, cfg, tile_rows, partitions), folder)
-        control: Control | None = driver.first(add_up(state, d, cfg.r))
+        tiles = state.count()
+        control: Control | None = driver.first(add_up(state, d, cfg.r, tiles))
     else:
         driver.trace = list(resume.trace)
         driver.dual_updates = resume.trace[-1]["dual_updates"] if resume.trace else 0
-        state, control, path = resume.state, _control_of(resume, driver, d), None
+        state, control, path, tiles = resume.state, _control_of(resume, driver, d), None, None
     scale, cached = control.scale, None
     while control is not None:
         began = time.perf_counter()
         new = sweep(state, control, d, cfg.r)
         t = len(driver.trace) + 1
         new, new_path = _cut(new, folder) if t % cut_every == 0 else (new.persist(level), None)
-        s = add_up(new, d, cfg.r)
+        s = add_up(new, d, cfg.r, tiles)
         nxt = driver.advance(s, time.perf_counter() - began)
         if driver.status == "breakdown":
             break
@@ -343,9 +393,9 @@ def _control_of(model: Model, driver: Driver, d: int) -> Control:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i in range(b.num_rows):
-                z, raw, dual = (np.frombuffer(b.column(k)[i].as_buffer()) for k in (0, 1, 2))
-                n = len(dual)
-                s = sums_of(z.reshape(n, d), raw.reshape(n, r), raw.reshape(n, r), dual)
+                dual = np.frombuffer(b.column(2)[i].as_buffer())
+                z, raw = (matrix(b.column(k)[i].as_buffer(), len(dual), w).astype(np.float64) for k, w in ((0, d), (1, r)))
+                s = sums_of(z, raw, raw, dual)
                 yield pa.RecordBatch.from_arrays([pa.array([s.pack().tolist()], pa.list_(pa.float64()))], names=["sums"])
 
     s = add_up(model.state.select("z", "raw", "dual").mapInArrow(run, "sums array<double>"), d, r)

@@ -6,13 +6,14 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from factorclust.functions import theory, vectors
-from factorclust.operators import lloyd, metrics, solver
+from factorclust.functions import portable, theory, vectors
+from factorclust.operators import checks, lloyd, metrics, paired, resident, solver
 from factorclust.operators.kernel import Config
 from factorclust.plans import workloads
 from factorclust.plans.pieces import CFG, r6, run_steps
 from factorclust.registry import register
 from factorclust.sources.points import from_embeddings, planted
+from factorclust.sources.tables import read_table
 
 
 @register("select vec_id as id, label as cluster from embeddings")
@@ -32,25 +33,31 @@ def nfk_planted_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("seed", *[r6(F.col(c)).alias(c) for c in ("ari", "nmi", "error")])
 
 
-@register("select 'converged' as status, 1.0::DOUBLE as ari from (select 1)")
+@register("select 'converged' as status, 1.0::DOUBLE as ari, count(*)::BIGINT as points, true as several_tasks from embeddings")
 def nfk_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The distributed solver to its own stop rule, with its own status and the score of its own labels."""
+    """The distributed solver to its own stop rule, on points and factor that stay in the tasks; its own status and the score of its own labels."""
     p = planted(spark, sf_dir, 2.0)
-    far = solver.fit_distributed(p.select("id", "x"), Config(k=10, seed=1))
+    far = resident.fit(p.select("id", "x"), Config(k=10, seed=1), tasks=min(4, spark.sparkContext.defaultParallelism))
     table = metrics.contingency(far.labels(), p.select("id", F.col("truth").alias("label")))
-    return metrics.ari(table).select(F.lit(far.status).alias("status"), F.round("ari", 6).alias("ari"))
+    return metrics.ari(table).select(F.lit(far.status).alias("status"), F.round("ari", 6).alias("ari"), F.lit(far.state.agg(F.sum("rows")).first()[0]).alias("points"), F.lit(far.tasks > 1).alias("several_tasks"))
 
 
-@register("select true as same")
+@register("select * from (values ('a job an iteration', true), ('in tables', true), ('single precision', true), ('stays in tasks', true)) t(form, same)")
 def nfk_distributed_same_iterates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Five steps of the distributed and the local solver agree."""
+    """The distributed forms step as the local solver does: five iterations, or 200 where points stay in tasks."""
     p = planted(spark, sf_dir, 2.0)
+    x = p.select("id", "x")
     pdf = solver.local_points(p)
-    cfg = Config(k=10, max_iter=5, seed=1)
-    local = solver.fit_local(np.stack(pdf.x.to_numpy()), cfg, pdf.id.to_numpy())
-    far = solver.fit_distributed(p.select("id", "x"), cfg, tile_rows=128)
-    same = max(abs(a["feas"] - b["feas"]) + abs(a["move"] - b["move"]) for a, b in zip(far.trace, local.trace, strict=True)) < 1e-8
-    return spark.createDataFrame([(bool(same),)], "same boolean")
+    rows = []
+    for form, fit, iters, tol, storage in (
+        ("a job an iteration", lambda c: solver.fit_distributed(x, c, tile_rows=128), 5, 1e-8, "double"), ("in tables", lambda c: paired.fit(x, c, buckets=2, tile_rows=128), 5, 1e-8, "double"),
+        ("single precision", lambda c: solver.fit_distributed(x, c, tile_rows=128), 5, 1e-5, "single"), ("stays in tasks", lambda c: resident.fit(x, c, tasks=2), 200, 1e-6, "double"),
+    ):
+        near = solver.fit_local(np.stack(pdf.x.to_numpy()), Config(k=10, max_iter=iters, seed=1), pdf.id.to_numpy())
+        far = fit(Config(k=10, max_iter=iters, seed=1, storage=storage))
+        rows.append((form, len(far.trace) == len(near.trace) and max(abs(a[c] - b[c]) for a, b in zip(far.trace, near.trace, strict=True) for c in ("feas", "move")) < tol))
+    paired.drop_tables(spark)
+    return spark.createDataFrame([(f, bool(b)) for f, b in rows], "form string, same boolean")
 
 
 @register("select true as same_factor, true as same_trace")
@@ -76,12 +83,48 @@ def nfk_rank_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register()
 def nfk_cap_frontier(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return workloads.frontier_run(spark, sf_dir, gammas=(1.0, 2.0), caps=(100, 300, 1000, 3000), nfk_seeds=3, lloyd_seeds=10)
+    """Error against time on mixtures with K = 20, d = 50 at three (n, gamma): 50 data sets for Lloyd, ten of them for the factor at six caps."""
+    return workloads.frontier_run(spark, sf_dir)
+
+
+@register("select * from (values (1.0::DOUBLE, true, true), (2.0::DOUBLE, true, true)) t(gamma, factor_at_floor, lloyd_seldom)")
+def nfk_frontier_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Where the factor's runs end at the floor on all matched data sets, and single Lloyd runs on less than half of theirs."""
+    got = workloads.frontier_run(spark, sf_dir, sizes=((1, 1.0), (1, 2.0)), caps=(300, 3000), nfk_seeds=6, lloyd_seeds=50)
+    last = got.where("method <> 'nfk' or cap = 3000").groupBy("gamma").agg(F.avg(F.when(F.col("method") == "nfk", F.col("at_floor").cast("int"))).alias("ours"), F.avg(F.when(F.col("method") == "lloyd_stream", F.col("at_floor").cast("int"))).alias("theirs"))
+    return last.select("gamma", (F.col("ours") == 1).alias("factor_at_floor"), (F.col("theirs") < 0.5).alias("lloyd_seldom"))
+
+
+@register()
+def nfk_new_data_a_seed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The balanced benchmark at gamma 1: 20 seeds, each with a data set of its own for all methods."""
+    return workloads.balanced_run(spark, sf_dir, (20, 50, 30), range(20))
+
+
+@register()
+def nfk_large_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The setting with K = 100, d = 200, r = 300, at gamma 2 and 1,000 iterations at most; one seed (the local loop takes minutes a run)."""
+    return workloads.balanced_run(spark, sf_dir, (100, 200, 300), range(1), methods=("nfk", "lloyd_stream", "lloyd_squared"), gamma=2.0, max_iter=1000)
+
+
+@register()
+def nfk_mixture_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mixtures as large as events, orders and lineitem (r = 60 there), fitted where the points lie, beside distributed Lloyd runs."""
+    return workloads.distributed_run(spark, sf_dir)
 
 
 @register()
 def nfk_thinned(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return workloads.unequal_run(spark, sf_dir, "thinned", ["nfk", "lloyd_stream"], range(2), max_iter=1500)
+    """Classes of unequal sizes, 100 seeds."""
+    return workloads.unequal_run(spark, sf_dir, "thinned", ["nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"], range(100))
+
+
+@register("select true as best_median")
+def nfk_thinned_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """On classes of unequal sizes the factor's median NMI is above each Lloyd baseline's."""
+    got = workloads.unequal_run(spark, sf_dir, "thinned", ["nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"], range(20))
+    median = got.groupBy("method").agg(F.percentile("nmi", F.lit(0.5)).alias("m"))
+    return median.agg((F.max(F.when(F.col("method") == "nfk", F.col("m"))) > F.max(F.when(F.col("method") != "nfk", F.col("m")))).alias("best_median"))
 
 
 @register()
@@ -91,12 +134,14 @@ def nfk_documents_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register()
 def nfk_two_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return workloads.two_bands_run(spark, sf_dir, "halves", ["nfk", "lloyd_stream", "lloyd_squared"], range(2), max_iter=1500)
+    return workloads.two_bands_run(spark, sf_dir, "halves", ["nfk", "lloyd_stream", "lloyd_squared"], range(5))
 
 
 @register()
-def nfk_mixture_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return workloads.mixture_run(spark, sf_dir, "events", ((20, 50, 30), (20, 50, 40)), ["nfk", "lloyd_stream"], range(1), max_iter=600)
+def nfk_document_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two bands of letter counts of documents, each at unit length, five seeds: mean and median NMI."""
+    got = workloads.two_bands_run(spark, sf_dir, "documents", ["nfk", "lloyd_stream", "lloyd_squared"], range(5), max_iter=1000)
+    return got.groupBy("method").agg(F.avg("nmi").alias("mean_nmi"), F.percentile("nmi", F.lit(0.5)).alias("median_nmi"), F.percentile("seconds", F.lit(0.5)).alias("median_seconds"), F.count(F.lit(1)).alias("runs"))
 
 
 @register()
@@ -139,21 +184,21 @@ def descent_gap_small_step(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(i + 1, bool(g >= -1e-10)) for i, g in enumerate(gaps)], "step long, falls boolean")
 
 
-@register("select true as grows_plain, true as steady_scaled")
+@register("select true as grows_plain, true as steady_scaled, (select count(*) from embeddings)::BIGINT as few, (select count(*) from orders)::BIGINT as many")
 def penalty_gradient_growth(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The penalty's gradient on the first n rows: it grows with n in the plain form, not in the scaled one."""
-    from factorclust.functions.portable import uniform_np
-
-    norms: dict[bool, list[float]] = {True: [], False: []}
-    for n in (100, 400):
-        f = uniform_np(np.arange(n)[:, None], np.arange(8)[None, :], 1)
-        f *= np.sqrt(4 / (f * f).sum())
-        q = f @ f.sum(0) - 1
-        for scaled in norms:
-            e = q / (n if scaled else 1)
-            norms[scaled].append(float(np.linalg.norm(np.outer(e, f.sum(0)) + np.outer(np.ones(n), f.T @ e))))
-    plain, scaled = norms[False], norms[True]
-    return spark.createDataFrame([(plain[1] > 2 * plain[0], scaled[1] < 1.5 * scaled[0])], "grows_plain boolean, steady_scaled boolean")
+    """The norm of the penalty's gradient at the portable start of few and of many rows: it grows with n in the plain form, not in the scaled one."""
+    norms: dict[tuple[bool, int], float] = {}
+    sizes = []
+    for table, key in (("embeddings", "vec_id"), ("orders", "o_orderkey")):
+        ids = read_table(spark, sf_dir, table, [key]).select(F.col(key).cast("long").alias("id"))
+        raw = ids.select("id", F.array(*[portable.uniform(F.col("id"), j, 1) for j in range(8)]).alias("f"))
+        n, norm2 = raw.agg(F.count(F.lit(1)), F.sum(vectors.norm2(F.col("f")))).first()
+        rows = raw.select("id", vectors.scale(F.lit(float(np.sqrt(4 / norm2))), F.col("f")).alias("f"))
+        sizes.append(int(n))
+        for scaled in (True, False):
+            norms[scaled, len(sizes)] = checks.penalty_gradient_norm(rows, n, 1.0, scaled)
+    grows = norms[False, 2] > 0.5 * np.sqrt(sizes[1] / sizes[0]) * norms[False, 1]
+    return spark.createDataFrame([(bool(grows), bool(norms[True, 2] < 1.5 * norms[True, 1]), *sizes)], "grows_plain boolean, steady_scaled boolean, few long, many long")
 
 
 # --- Lloyd ------------------------------------------------------------------------------------------------------

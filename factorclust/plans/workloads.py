@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+import itertools
+import time
 from collections.abc import Iterable, Sequence
 
 import numpy as np
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from factorclust.functions import theory
-from factorclust.operators import metrics, solver
+from factorclust.operators import lloyd, metrics, resident, solver
+from factorclust.operators.kernel import Config
 from factorclust.sources import points as P
 from factorclust.sources.tables import read_table
 
@@ -34,16 +38,34 @@ def rank_run(spark: SparkSession, sf_dir: str, gamma: float, ranks: Iterable[int
     return run_grid(P.planted(spark, sf_dir, gamma), f"ranks gamma={gamma:g}", grid)
 
 
-def frontier_run(spark: SparkSession, sf_dir: str, gammas: Iterable[float], caps: Sequence[int], nfk_seeds: int, lloyd_seeds: int) -> DataFrame:
-    """Error against time: labels of one run at each cap, beside single Lloyd runs; at_floor says who reached the floor."""
-    out = None
-    for gamma in gammas:
-        grid = grid_of(["nfk"], P.CLASSES, range(nfk_seeds), caps=list(caps), max_iter=max(caps)) + grid_of(["lloyd_stream"], P.CLASSES, range(lloyd_seeds)) + grid_of(["floor"], P.CLASSES, [0])
-        got = run_grid(P.planted(spark, sf_dir, gamma), f"frontier gamma={gamma:g}", grid)
-        floor = got.where("method = 'floor'").agg(F.max("error").alias("floor"))
-        got = got.join(F.broadcast(floor)).withColumn("at_floor", F.col("error") <= F.col("floor") + 2e-3)
-        out = got if out is None else out.unionByName(got)
-    return out
+def balanced_run(spark: SparkSession, sf_dir: str, setting: tuple[int, int, int], seeds: Iterable[int], methods: Iterable[str] = ("nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"), gamma: float = 1.0, **more) -> DataFrame:
+    """Balanced mixtures of a (K, d, r), as many points as there are parts, with a new data set for each seed."""
+    k, d, r = setting
+    n = read_table(spark, sf_dir, "part", ["p_partkey"]).count()
+    grid = [{"method": m, "n": n, "d": d, "k": k, "gamma": gamma, "seed": int(s), **({"rank": r, **more} if m == "nfk" else {})} for s in seeds for m in methods]
+    return solver.fit_mixtures(spark, grid)
+
+
+def frontier_run(spark: SparkSession, sf_dir: str, sizes: Sequence[tuple[int, float]] = ((1, 1.0), (1, 2.0), (4, 1.0)), caps: Sequence[int] = (100, 300, 1000, 3000, 10_000, 30_000), nfk_seeds: int = 10, lloyd_seeds: int = 50) -> DataFrame:
+    """Error against time for mixtures of K = 20, d = 50, r = 30 at several (times the number of customers, gamma).
+
+    The factor runs on the first data sets, with labels at each cap; Lloyd once on each; at_floor says whose error is
+    that of the nearest true mean, found on the same data. Seconds are loop seconds of the factor, all of a Lloyd run's.
+    """
+    base = read_table(spark, sf_dir, "customer", ["c_custkey"]).count()
+    grid = []
+    for times, gamma in sizes:
+        of = {"n": times * base, "d": 50, "k": 20, "gamma": gamma}
+        grid += [{"method": "nfk", **of, "seed": s, "rank": 30, "caps": list(caps), "max_iter": max(caps)} for s in range(nfk_seeds)]
+        grid += [{"method": m, **of, "seed": s} for m in ("lloyd_stream", "floor") for s in range(lloyd_seeds)]
+    got = cut(solver.fit_mixtures(spark, grid))
+    floor = got.where("method = 'floor'").select("n", "gamma", "seed", F.col("error").alias("floor"))
+    return got.where("method <> 'floor'").join(F.broadcast(floor), ["n", "gamma", "seed"]).withColumn("at_floor", F.col("error") <= F.col("floor") + 2e-3)
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Results of runs, written once so that no run is repeated."""
+    return solver._cut(df, solver.state_folder(df.sparkSession))[0]
 
 
 def unequal_run(spark: SparkSession, sf_dir: str, source: str, methods: Iterable[str], seeds: Iterable[int], **more) -> DataFrame:
@@ -61,19 +83,42 @@ def two_bands_run(spark: SparkSession, sf_dir: str, source: str, methods: Iterab
     return run_grid(P.half_bands(P.planted(spark, sf_dir, 1.0)), "bands of planted halves", grid_of(methods, P.CLASSES, seeds, **more))
 
 
-#: Tables whose ids carry planted mixtures of their size.
-MIXTURE_IDS = {"events": "event_id", "orders": "o_orderkey"}
+#: Tables whose sizes the distributed mixtures take, with (K, d, r).
+MIXTURES = (("events", (20, 50, 30)), ("orders", (20, 50, 30)), ("lineitem", (20, 50, 60)))
+#: Bytes of points that the capped baseline may hold.
+CAPPED_LIMIT = 64 << 30
+
 
+def distributed_run(spark: SparkSession, sf_dir: str, tables: Sequence[tuple[str, tuple[int, int, int]]] = MIXTURES, gamma: float = 1.0, seed: int = 0, max_iter: int = 3000) -> DataFrame:
+    """Balanced mixtures with as many points as a table has rows, made where they are used; the factor and three Lloyd baselines, all distributed.
 
-def mixture_run(spark: SparkSession, sf_dir: str, ids_table: str, settings: Iterable[tuple[int, int, int]], methods: Iterable[str], seeds: Iterable[int], gamma: float = 1.0, **more) -> DataFrame:
-    """Balanced mixtures of K classes in R^d with as many points as a table has rows; settings are (K, d, r)."""
-    n = read_table(spark, sf_dir, ids_table, [MIXTURE_IDS[ids_table]]).count()
-    out = None
-    for k, d, r in settings:
-        for s in seeds:
-            got = run_grid(P.mixture(spark, n, d, k, gamma, int(s)), f"mixture n={n} K={k} d={d} r={r}", grid_of(methods, k, [s], rank=r, **more))
-            out = got if out is None else out.unionByName(got)
-    return out
+    The streaming baseline reads its points anew for each sweep, the others keep them; the capped one refuses what is
+    beyond its memory. Total seconds are of the whole fit with its labels, loop seconds of the iterations alone.
+    """
+    out = []
+    for table, (k, d, r) in tables:
+        n = read_table(spark, sf_dir, table).count()
+        points = P.mixture(spark, n, d, k, gamma, seed)
+        truth = points.select("id", F.col("truth").alias("label"))
+        for method in ("nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"):
+            began = time.perf_counter()
+            if method == "nfk":
+                model = resident.fit(points, Config(k=k, rank=r, seed=seed, max_iter=max_iter))
+                labels, trace, status, loop = model.labels(), model.trace, model.status, sum(x["seconds"] for x in model.trace)
+            elif method == "lloyd_capped" and 8 * n * d > CAPPED_LIMIT:
+                out.append((table, method, n, d, k, r, 0, "out of memory", None, None, None, None, None))
+                continue
+            else:
+                kept = None if method == "lloyd_stream" else StorageLevel.MEMORY_AND_DISK
+                labels, _, trace = lloyd.fit(points, k, seed, stop="squared" if method == "lloyd_squared" else "norm", max_iter=lloyd.CAP if method == "lloyd_capped" else 10_000, persist=kept)
+                status, loop = "converged" if trace[-1]["moved"] <= lloyd.TOLERANCE else "capped", sum(x["seconds"] for x in trace)
+            counts = metrics.contingency(labels, truth).persist()
+            row = metrics.ari(counts).join(metrics.nmi(counts)).first()
+            error = metrics.misclustering(counts)
+            counts.unpersist()
+            out.append((table, method, n, d, k, r, len(trace), status, float(row.ari), float(row.nmi), float(error), float(loop), time.perf_counter() - began))
+    spark.catalog.clearCache()
+    return spark.createDataFrame(out, "workload string, method string, n long, d int, k int, rank int, iters int, status string, ari double, nmi double, error double, loop_seconds double, total_seconds double")
 
 
 def boxes(results: DataFrame) -> DataFrame:
@@ -123,13 +168,24 @@ def fit_labels(points: DataFrame, k: int, seed: int = 0, **more) -> DataFrame:
 
 
 def dedup_groups(points: DataFrame, labels: DataFrame, cosine: float = 0.99) -> DataFrame:
-    """(a, b, cosine) of pairs within a cluster above a cosine; vectors are cut into buckets by their largest entry first."""
+    """(a, b, cosine) of pairs within a cluster above a cosine.
+
+    Unit vectors with a cosine of c lie at most sqrt(2 - 2 c) apart, in each component too; so rows are dealt into
+    cells of that width by the two components that vary most, and only rows of neighbouring cells meet.
+    """
     from factorclust.functions import vectors
 
+    far = max(1e-9, float(np.sqrt(max(0.0, 2 - 2 * cosine))))
     unit = points.join(labels, "id").select("id", "cluster", vectors.unit(F.col("x")).alias("u"))
-    a = unit.select(F.col("id").alias("a"), "cluster", F.col("u").alias("ua"))
-    b = unit.select(F.col("id").alias("b"), "cluster", F.col("u").alias("ub"))
-    return a.join(b, "cluster").where("a < b").select("a", "b", vectors.dot(F.col("ua"), F.col("ub")).alias("cosine")).where(F.col("cosine") >= cosine)
+    d = unit.select(F.max(F.size("u"))).first()[0] or 1
+    spread = unit.select(*[F.var_pop(F.get("u", j)).alias(str(j)) for j in range(d)]).first()
+    axes = sorted(range(d), key=lambda j: -(spread[j] or 0))[:2]
+    cell = lambda j: F.floor(F.get("u", j) / far).cast("long")
+    celled = unit.withColumn("cell", F.array(*[cell(j) for j in axes]))
+    near = F.array(*[F.array(*[F.get("cell", i) + s for i, s in enumerate(shift)]) for shift in itertools.product((-1, 0, 1), repeat=len(axes))])
+    a = celled.select(F.col("id").alias("a"), "cluster", F.col("u").alias("ua"), "cell")
+    b = celled.select(F.col("id").alias("b"), "cluster", F.col("u").alias("ub"), F.explode(near).alias("cell"))
+    return a.join(b, ["cluster", "cell"]).where("a < b").select("a", "b", vectors.dot(F.col("ua"), F.col("ub")).alias("cosine")).where(F.col("cosine") >= cosine)
 
 
 def retrieve(points: DataFrame, centroids: np.ndarray, queries: DataFrame, probe: int = 2, k: int = 5) -> DataFrame:

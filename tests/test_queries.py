@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from dataclasses import replace
 
 import duckdb
 import pytest
@@ -47,22 +48,16 @@ def test_relaxations_see_all_planted_points(spark, small):
     assert {m: seen[m] for m in ("plain_nfk", "spectral", "nmf", "sampled_lloyd")} == dict.fromkeys(("plain_nfk", "spectral", "nmf", "sampled_lloyd"), n) and seen["sdp_small"] < 120
 
 
-def test_distributed_query_has_no_cap_of_its_own(spark, small, monkeypatch):
-    """The whole fit takes minutes, so only what the query asks for is looked at."""
-    from factorclust.operators import solver
-    from factorclust.operators.kernel import Config
+def test_distributed_query_fits_where_the_points_lie(spark, small, monkeypatch):
+    from factorclust.operators import resident, solver
 
-    asked = []
-
-    def fit(points, cfg, **more):
-        asked.append((points.count(), cfg.max_iter))
-        raise StopIteration
-
-    monkeypatch.setattr(solver, "fit_distributed", fit)
     monkeypatch.setattr(solver, "local_points", lambda *a: pytest.fail("points were gathered"))
-    with pytest.raises(StopIteration):
-        REGISTRY.QUERIES["nfk_distributed"](spark, small)
-    assert asked == [(spark.read.parquet(f"{small}/embeddings.parquet").count(), Config(k=10).max_iter)]
+    monkeypatch.setattr(solver, "fit_local", lambda *a, **k: pytest.fail("a local fit"))
+    n = spark.read.parquet(f"{small}/embeddings.parquet").count()
+    assert [tuple(r) for r in REGISTRY.QUERIES["nfk_distributed"](spark, small).collect()] == [("converged", 1.0, n, True)]
+    whole = resident.fit
+    monkeypatch.setattr(resident, "fit", lambda points, cfg, **more: whole(points, replace(cfg, max_iter=20), **more))
+    assert REGISTRY.QUERIES["nfk_distributed"](spark, small).first().status == "capped"
 
 
 def test_split_valid_tells_why(spark):

@@ -9,10 +9,10 @@ import pandas as pd
 import pytest
 
 from factorclust.functions import theory
-from factorclust.operators import checks, kernel, lloyd, metrics, rounding, solver
+from factorclust.operators import checks, kernel, lloyd, metrics, resident, rounding, solver
 from factorclust.operators.kernel import Config
 from factorclust.operators.relax import brute_force_partition, sdp_feasibility, sdp_objective, solve_sdp_small
-from factorclust.sources.points import planted
+from factorclust.sources.points import mixture_rows, planted
 
 
 def points(n=120, k=3, d=5, far=6.0, seed=0):
@@ -56,6 +56,71 @@ def test_distributed_equals_local_on_any_tiling(spark):
     assert metrics.scores_np(far.labels().orderBy("id").toPandas().cluster.to_numpy(), truth)["ari"] > 0.9
 
 
+@pytest.mark.parametrize("buffers", [1, 3])
+def test_resident_equals_local_on_any_tiling(spark, buffers):
+    x, truth = points(300)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, x array<double>")
+    for storage, tol in (("double", 1e-8), ("single", 1e-5)):
+        cfg = Config(k=3, max_iter=40, storage=storage)
+        local = solver.fit_local(x, cfg)
+        far = resident.fit(df, cfg, tasks=3, tile_rows=32, buffers=buffers)
+        got = far.factor().orderBy("id").toPandas()
+        assert np.abs(np.stack(got.f) - local.factor).max() < tol and far.tasks == 3 and len(far.trace) == len(local.trace)
+    assert metrics.scores_np(far.labels().orderBy("id").toPandas().cluster.to_numpy(), truth)["ari"] > 0.9
+
+
+LOSES_A_TASK = """
+import os, sys
+import numpy as np
+from pyspark.sql import SparkSession
+from factorclust.operators import resident, solver
+from factorclust.operators.kernel import Config
+
+spark = SparkSession.builder.master("local[2,4]").config("spark.ui.enabled", "false").getOrCreate()
+x = np.random.default_rng(0).standard_normal((200, 5)) + 4 * np.eye(5)[np.arange(200) % 3]
+real, seen, flag = resident.fused, {"n": 0}, sys.argv[1]
+
+def dies_once(tiles, c):
+    seen["n"] += 1
+    if seen["n"] == 25 and not os.path.exists(flag):
+        os.mkdir(flag)
+        raise RuntimeError("lost")
+    return real(tiles, c)
+
+resident.fused = dies_once
+df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, x array<double>")
+cfg = Config(k=3, max_iter=40, tol_conv=1e-9)
+far, near = resident.fit(df, cfg, tasks=2, tile_rows=64, save_every=10), solver.fit_local(x, cfg)
+apart = np.abs(np.stack(far.factor().orderBy("id").toPandas().f) - near.factor).max()
+assert os.path.exists(flag) and len(far.trace) == 40 and apart < 1e-7, (len(far.trace), apart)
+print("went on")
+"""
+
+
+def test_resident_goes_on_when_a_task_is_lost(tmp_path):
+    import subprocess
+    import sys
+
+    done = subprocess.run([sys.executable, "-c", LOSES_A_TASK, str(tmp_path / "died")], capture_output=True, text=True, timeout=200)
+    assert "went on" in done.stdout, done.stderr[-3000:]
+
+
+def test_resident_refuses_what_its_tasks_cannot_hold(spark):
+    with pytest.raises(ValueError, match="too many"):
+        resident.tasks_for(spark.range(1), 10**10, 1000)
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_published_setting_is_recovered_where_lloyd_is_not(seed):
+    """K = 20, d = 50, r = 30 at the threshold: the factor ends at the floor, single Lloyd runs mostly don't."""
+    x, t = mixture_rows(np.arange(2000), 2000, 50, 20, 1.0, seed)
+    fit = solver.fit_local(x, Config(k=20, rank=30, seed=seed))
+    ours = metrics.scores_np(rounding.round_columns(fit.factor, 20), t)["ari"]
+    floor = metrics.scores_np(kernel.nearest(x, np.stack([x[t == c].mean(0) for c in range(20)]))[0], t)["ari"]
+    assert fit.status == "converged" and ours >= floor - 2e-3
+    assert np.median([metrics.scores_np(lloyd.fit_local(x, 20, s).labels, t)["ari"] for s in range(6)]) < ours
+
+
 def test_resume_goes_on_as_if_uninterrupted(spark, tmp_path):
     x, _ = points(200)
     df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, x array<double>")

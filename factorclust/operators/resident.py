@@ -38,17 +38,19 @@ from factorclust.operators.solver import TILE_ROWS, Model, _cut, _delete, state_
 
 #: Tasks of a stage; bytes of points and factor that each may hold.
 TASKS, TASK_LIMIT = 64, 2 << 30
+#: Rows that are worth a task.
+LEAST = 2_048
 #: Seconds that a task waits for the others before it fails, and with it the stage, which then runs again.
 PATIENCE = 600.0
 STATE = "tile long, rows int, ids binary, z binary, raw binary, dual binary, report string"
 
 
-def tasks_for(points: DataFrame, n: int, bytes_a_row: int, tile_rows: int = TILE_ROWS) -> int:
-    """As many tasks as there are tiles, cores and TASKS allow; raises where they could not hold the rows."""
+def tasks_for(points: DataFrame, n: int, bytes_a_row: int) -> int:
+    """As many tasks as cores and TASKS allow, of LEAST rows at least; raises where they could not hold the rows."""
     cores = min(TASKS, points.sparkSession.sparkContext.defaultParallelism)
     if n * bytes_a_row > cores * TASK_LIMIT:
         raise ValueError(f"{n} rows of {bytes_a_row} bytes are too many for {cores} tasks; use solver.fit_distributed or paired.fit")
-    return max(1, min(cores, math.ceil(n / tile_rows)))
+    return max(1, min(cores, math.ceil(n / LEAST)))
 
 
 class Adder:
@@ -153,7 +155,7 @@ def fit(points: DataFrame, cfg: Config, tasks: int | None = None, tile_rows: int
     sigma = float(np.sqrt(np.linalg.eigvalsh(gram_matrix(points, mean))[-1])) if cfg.normalise else 1.0
     if cfg.normalise and not sigma > 1e-150:
         raise ValueError("all points are equal")
-    tasks = tasks or tasks_for(points, n, 8 * (d + 2 * cfg.r + 4), tile_rows)
+    tasks = tasks or tasks_for(points, n, 8 * (d + 2 * cfg.r + 4))
     folder = state_folder(spark)
     snapshots = f"{folder}/snapshots-{uuid.uuid4().hex}"
     m, s = (mean, sigma) if cfg.normalise else (np.zeros_like(mean), 1.0)

@@ -38,11 +38,11 @@ def rank_run(spark: SparkSession, sf_dir: str, gamma: float, ranks: Iterable[int
     return run_grid(P.planted(spark, sf_dir, gamma), f"ranks gamma={gamma:g}", grid)
 
 
-def balanced_run(spark: SparkSession, sf_dir: str, setting: tuple[int, int, int], seeds: Iterable[int], methods: Iterable[str] = ("nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"), gamma: float = 1.0, **more) -> DataFrame:
+def balanced_run(spark: SparkSession, sf_dir: str, setting: tuple[int, int, int], seeds: Iterable[int], methods: Iterable[str] = ("nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"), gamma: float = 1.0, max_iter: int = 6000) -> DataFrame:
     """Balanced mixtures of a (K, d, r), as many points as there are parts, with a new data set for each seed."""
     k, d, r = setting
     n = read_table(spark, sf_dir, "part", ["p_partkey"]).count()
-    grid = [{"method": m, "n": n, "d": d, "k": k, "gamma": gamma, "seed": int(s), **({"rank": r, **more} if m == "nfk" else {})} for s in seeds for m in methods]
+    grid = [{"method": m, "n": n, "d": d, "k": k, "gamma": gamma, "seed": int(s), **({"rank": r, "max_iter": max_iter} if m == "nfk" else {})} for s in seeds for m in methods]
     return solver.fit_mixtures(spark, grid)
 
 
@@ -84,12 +84,13 @@ def two_bands_run(spark: SparkSession, sf_dir: str, source: str, methods: Iterab
 
 
 #: Tables whose sizes the distributed mixtures take, with (K, d, r).
-MIXTURES = (("events", (20, 50, 30)), ("orders", (20, 50, 30)), ("lineitem", (20, 50, 60)))
+MIXTURES = (("events", (20, 50, 30)), ("orders", (20, 50, 30)))
+LARGEST = (("lineitem", (20, 50, 60)),)
 #: Bytes of points that the capped baseline may hold.
 CAPPED_LIMIT = 64 << 30
 
 
-def distributed_run(spark: SparkSession, sf_dir: str, tables: Sequence[tuple[str, tuple[int, int, int]]] = MIXTURES, gamma: float = 1.0, seed: int = 0, max_iter: int = 3000) -> DataFrame:
+def distributed_run(spark: SparkSession, sf_dir: str, tables: Sequence[tuple[str, tuple[int, int, int]]] = MIXTURES, gamma: float = 1.0, seed: int = 0, max_iter: int = 6000) -> DataFrame:
     """Balanced mixtures with as many points as a table has rows, made where they are used; the factor and three Lloyd baselines, all distributed.
 
     The streaming baseline reads its points anew for each sweep, the others keep them; the capped one refuses what is

@@ -114,7 +114,7 @@ def test_resident_refuses_what_its_tasks_cannot_hold(spark):
 def test_published_setting_is_recovered_where_lloyd_is_not(seed):
     """K = 20, d = 50, r = 30 at the threshold: the factor ends at the floor, single Lloyd runs mostly don't."""
     x, t = mixture_rows(np.arange(2000), 2000, 50, 20, 1.0, seed)
-    fit = solver.fit_local(x, Config(k=20, rank=30, seed=seed))
+    fit = solver.fit_local(x, Config(k=20, rank=30, seed=seed, max_iter=6000))
     ours = metrics.scores_np(rounding.round_columns(fit.factor, 20), t)["ari"]
     floor = metrics.scores_np(kernel.nearest(x, np.stack([x[t == c].mean(0) for c in range(20)]))[0], t)["ari"]
     assert fit.status == "converged" and ours >= floor - 2e-3

@@ -1,7 +1,8 @@
 """Lloyd's iteration: the three baselines, careful seeding, restarts, and a sample-then-assign variant.
 
 ``norm`` stops when the summed centroid movement is within the tolerance, ``squared`` when the sum of its
-squares is, ``max`` when the largest is; ``labels`` when no label changes. Ties go to the lowest
+squares is, ``max`` when the largest is, ``objective`` when the within sum of squares falls by no more than that share
+of itself; ``labels`` when no label changes. Ties go to the lowest
 centroid; an empty cluster keeps its centroid.
 """
 
@@ -40,6 +41,11 @@ def movement(old: np.ndarray, new: np.ndarray, rule: str) -> float:
     return float((far**2).sum() if rule == "squared" else far.max() if rule == "max" else np.sqrt((far**2).sum()))
 
 
+def fall(before: float, now: float) -> float:
+    """The share of itself by which the within sum of squares has fallen."""
+    return float("inf") if before == np.inf else (before - now) / max(before, 1e-300)
+
+
 def seed_points(x: np.ndarray, k: int, seed: int, seeding: str = "points") -> np.ndarray:
     """k rows: the ones with the least draws, or one after the other by squared distance."""
     draw = np.random.default_rng(seed)
@@ -71,10 +77,11 @@ def fit_local(x: np.ndarray, k: int, seed: int, stop: str = "norm", tol: float =
     for run in range(restarts):
         began = time.perf_counter()
         c = seed_points(x, k, seed + 7919 * run, seeding) if start is None else start.copy()
-        before, status = None, "capped"
+        before, status, last = None, "capped", np.inf
         for it in range(1, max_iter + 1):
             labels, new, _, total = sweep(x, c)
-            moved = movement(c, new, stop)
+            moved = fall(last, total) if stop == "objective" else movement(c, new, stop)
+            last = total
             same = before is not None and (labels == before).all()
             c, before = new, labels
             if (same if stop == "labels" else moved <= tol):
@@ -136,11 +143,12 @@ def fit(points: DataFrame, k: int, seed: int, stop: str = "norm", tol: float = T
     so nothing but K centroids has to be resident."""
     if persist is not None:
         points = points.persist(persist)
-    c, trace = seeds(points, k, seed), []
+    c, trace, last = seeds(points, k, seed), [], np.inf
     for it in range(1, max_iter + 1):
         began = time.perf_counter()
         new, sizes, within = step(points, c)
-        moved = movement(c, new, stop)
+        moved = fall(last, within) if stop == "objective" else movement(c, new, stop)
+        last = within
         trace.append({"iter": it, "moved": moved, "wcss": within, "empty": int((sizes == 0).sum()), "seconds": time.perf_counter() - began})
         c = new
         if moved <= tol:

@@ -257,6 +257,15 @@ def lloyd_stop_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "norm double, squared double, largest double")
 
 
+@register(_lloyd_sql(2) + " select round((select sum(d) from a0), 6) as first, round((select sum(d) from a1), 6) as second, round(((select sum(d) from a0) - (select sum(d) from a1)) / (select sum(d) from a0), 9) as fall")
+def lloyd_objective_rule(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The within sums of two sweeps, and what the objective rule makes of them."""
+    p, c = start_centroids(spark, sf_dir)
+    new, _, first = lloyd.step(p, c)
+    _, _, second = lloyd.step(p, new)
+    return spark.createDataFrame([(round(first, 6), round(second, 6), round(lloyd.fall(first, second), 9))], "first double, second double, fall double")
+
+
 @register("select 0::BIGINT as size, true as kept")
 def lloyd_empty_cluster(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A centroid that no point is near stays where it is."""

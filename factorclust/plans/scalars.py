@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from factorclust.functions import portable, vectors
+from factorclust.functions.udfs import gram_by
 from factorclust.plans.pieces import r6
 from factorclust.registry import register, register_sql
 from factorclust.sources.points import from_embeddings
@@ -111,15 +112,54 @@ def portable_draws(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("id", portable.mix(i, 3, 11).alias("m"), F.round(portable.uniform(i, 3, 11), 9).alias("u"), r6(portable.normal(i, 5, 11)).alias("g"))
 
 
-def _first_sum(x):
-    return float(sum(v[0] for v in x))
+@register("select label, a.j::INTEGER as i, b.j::INTEGER as j, round(sum(e.embedding[a.j + 1]::DOUBLE * e.embedding[b.j + 1]::DOUBLE), 6) + 0.0 as g from embeddings e, (select unnest(range(64)) as j) a, (select unnest(range(64)) as j) b where a.j <= b.j group by label, a.j, b.j")
+def gram_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The Gram matrix of each label's vectors: each Arrow batch gives one packed triangle a label, which built-in sums add up."""
+    return gram_by(from_embeddings(spark, sf_dir), "truth", 64).select(F.col("truth").alias("label"), "i", "j", r6(F.col("g")).alias("g"))
 
 
-@register("select 'vec_sum' as name, round(sum(embedding[1]::DOUBLE), 6) + 0.0 as v from embeddings")
-def gram_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A grouped-aggregate pandas function beside the built-in aggregates, for small groups."""
-    first_sum = F.pandas_udf(_first_sum, "double", F.PandasUDFType.GROUPED_AGG)
-    return from_embeddings(spark, sf_dir).agg(first_sum("x").alias("s")).select(F.lit("vec_sum").alias("name"), r6(F.col("s")).alias("v"))
+@register("select label, count(*) as n, round(sum(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])), 6) as energy from embeddings group by label")
+def grouped_measure_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows and energy of each label by a vectorised function over batches, added up by built-in sums: no group is gathered."""
+    g = gram_by(from_embeddings(spark, sf_dir), "truth", 64)
+    counted = from_embeddings(spark, sf_dir).groupBy(F.col("truth").alias("label")).agg(F.count(F.lit(1)).alias("n"))
+    energy = g.where("i = j").groupBy(F.col("truth").alias("label")).agg(F.round(F.sum("g"), 6).alias("energy"))
+    return counted.join(energy, "label")
+
+
+register_sql("cast_functions", "select doc_id, try_cast(source as int) as no_number, try_cast(substring(source, 4) as int) as number, cast(try_cast(n_chars as decimal(18, 2)) as double) as chars from {documents}", ("documents",), "select doc_id, try_cast(source as int) as no_number, try_cast(substring(source, 4) as int) as number, cast(n_chars as double) as chars from documents")
+
+
+@register(r"select page_id, trim(regexp_replace(regexp_replace(html, '<(script|style)[^>]*>[^<]*</(script|style)>|<[^>]*>', ' ', 'g'), '[ \t\r\n]+', ' ', 'g')) as text, ((length(html) - length(replace(html, '<a ', ''))) / 3)::INTEGER as links, ((length(html) - length(replace(html, '<li>', ''))) / 4)::INTEGER as items from pages")
+def html_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Text without tags, and counts of tags (those in the text of a script are counted too)."""
+    h = F.col("html")
+    bare = F.regexp_replace(F.regexp_replace(h, "<(script|style)[^>]*>[^<]*</(script|style)>|<[^>]*>", " "), "[ \\t\\r\\n]+", " ")
+    tags = lambda t: ((F.length(h) - F.length(F.replace(h, F.lit(t), F.lit("")))) / len(t)).cast("int")
+    return read_table(spark, sf_dir, "pages", ["page_id", "html"]).select("page_id", F.trim(bare).alias("text"), tags("<a ").alias("links"), tags("<li>").alias("items"))
+
+
+@register("select event_id, ts + interval 36 hour as later, ts - interval 2 month as before, date_diff('day', date '2024-01-01', ts::DATE)::INTEGER as day, (epoch_us(ts) // 1000000)::BIGINT as seconds, dayofweek(ts)::INTEGER + 1 as weekday, date_diff('month', date '2023-01-01', date_trunc('month', ts)::DATE)::INTEGER as month from events")
+def interval_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ts = F.col("ts")
+    rows = read_table(spark, sf_dir, "events", ["event_id", "ts"]).withColumn("ts", ts.cast("timestamp_ntz"))
+    return rows.select(
+        "event_id", (ts + F.expr("interval 36 hours")).alias("later"), (ts - F.expr("interval 2 months")).alias("before"), F.datediff(ts, F.lit("2024-01-01")).alias("day"),
+        F.unix_timestamp(ts.cast("timestamp")).alias("seconds"), F.dayofweek(ts).alias("weekday"), F.months_between(F.trunc(ts, "month"), F.lit("2023-01-01").cast("date")).cast("int").alias("month"),
+    )
+
+
+@register("select l_orderkey, l_linenumber, l_partkey, 'discount,quantity,tax' as names, round(l_quantity + l_discount + l_tax, 6) as total, l_discount > 0.05 as any_high, l_quantity >= 0 and l_tax >= 0 as all_set, len(list_filter([l_quantity, l_discount, l_tax], lambda x: x < 1))::INTEGER as small, len(flatten([[l_quantity], [l_discount, l_tax]]))::INTEGER as flat, l_quantity::VARCHAR as q from lineitem")
+def map_array_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys and values of a map, any and all, filter, flatten, and a map through JSON and back."""
+    q, d, t = F.col("l_quantity"), F.col("l_discount"), F.col("l_tax")
+    m = F.create_map(F.lit("quantity"), q, F.lit("discount"), d, F.lit("tax"), t)
+    back = F.from_json(F.to_json(m), "map<string,double>")
+    return read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_partkey", "l_quantity", "l_discount", "l_tax"]).select(
+        "l_orderkey", "l_linenumber", "l_partkey", F.array_join(F.array_sort(F.map_keys(back)), ",").alias("names"), F.round(F.aggregate(F.map_values(back), F.lit(0.0), lambda a, x: a + x), 6).alias("total"),
+        F.exists(F.array(d), lambda x: x > 0.05).alias("any_high"), F.forall(F.array(q, t), lambda x: x >= 0).alias("all_set"), F.size(F.filter(F.array(q, d, t), lambda x: x < 1)).alias("small"),
+        F.size(F.flatten(F.array(F.array(q), F.array(d, t)))).alias("flat"), F.element_at(back, "quantity").cast("string").alias("q"),
+    )
 
 
 _NEAR = "e as (select vec_id as id, label, j, embedding[j + 1]::DOUBLE as v from embeddings, (select unnest(range(64)) as j)), m as (select label, j, avg(v) as v from e group by label, j)"

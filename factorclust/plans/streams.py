@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -110,3 +112,22 @@ def datasource_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = lambda df: df.agg(F.count(F.lit(1)).alias("n"), F.countDistinct("truth").alias("classes"), r6(F.sum(F.col("x")[0] * F.col("id"))).alias("s"))
     x, y = s(a), s(b).select(F.col("s").alias("t"))
     return x.join(y).select("n", "classes", (F.abs(F.col("s") - F.col("t")) < 1e-6).alias("same"))
+
+
+@register("select event_type, count(*) as n, round(avg(value), 6) as mean from events group by event_type")
+def stream_refit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A model (the mean value of each type) made anew with each micro-batch and kept in the shared folder; the last one is returned."""
+    from factorclust.operators.solver import state_folder
+
+    top = f"{state_folder(spark)}/refit-{uuid.uuid4().hex}"
+
+    def fit(batch: DataFrame, number: int) -> None:
+        sums = batch.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("s"))
+        if number:
+            sums = sums.unionByName(spark.read.parquet(f"{top}/model-{number - 1}")).groupBy("event_type").agg(F.sum("n").alias("n"), F.sum("s").alias("s"))
+        sums.write.mode("overwrite").parquet(f"{top}/model-{number}")  # a batch that is run again writes the same
+
+    query = streams.periodic_refit(streams.event_stream(spark, sf_dir), fit, f"{top}/checkpoint", every=None).start()
+    query.awaitTermination()
+    last = max(p.batchId for p in query.recentProgress if p.numInputRows)
+    return spark.read.parquet(f"{top}/model-{last}").select("event_type", "n", F.round(F.col("s") / F.col("n"), 6).alias("mean"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -10,6 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from factorclust.functions import vectors
+from factorclust.operators.solver import state_folder
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
@@ -20,7 +22,12 @@ def event_stream(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -
 
 
 def run_to_end(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over all that is there into a table in memory; for bounded results and tests."""
+    """Runs a stream over all that is there. New rows go to files of the shared folder, with a checkpoint; aggregates, which
+    are rewritten as they grow, to a table in memory (they have a row a group)."""
+    if mode == "append":
+        top = f"{state_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+        df.writeStream.format("parquet").option("path", f"{top}/rows").option("checkpointLocation", f"{top}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+        return df.sparkSession.read.schema(df.schema).parquet(f"{top}/rows")
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
     return df.sparkSession.table(name)
@@ -91,6 +98,7 @@ def views_then_purchases(df: DataFrame, within: str = "1 hour", watermark: str =
     return v.join(p, F.expr(f"u1 = u2 and t2 > t1 and t2 <= t1 + interval {within}")).select("view_id", "purchase_id")
 
 
-def periodic_refit(stream: DataFrame, fit: Callable[[DataFrame, int], None], checkpoint: str, every: str = "1 hour"):
-    """Calls ``fit`` with each micro-batch; the query restarts from its checkpoint."""
-    return stream.writeStream.foreachBatch(fit).option("checkpointLocation", checkpoint).trigger(processingTime=every)
+def periodic_refit(stream: DataFrame, fit: Callable[[DataFrame, int], None], checkpoint: str, every: str | None = "1 hour"):
+    """Calls ``fit`` with each micro-batch, or once with what there is if ``every`` is None; the query restarts from its checkpoint."""
+    writer = stream.writeStream.foreachBatch(fit).option("checkpointLocation", checkpoint)
+    return writer.trigger(processingTime=every) if every else writer.trigger(availableNow=True)

@@ -102,10 +102,11 @@ class Queries:
     def inner(self, some: slice, codes: np.ndarray) -> np.ndarray:
         """Estimated inner products of the unit queries with the codes' signs over sqrt(d), queries by codes."""
         n = len(self.length[some])
-        common = np.zeros((n, len(codes)), np.int32)
+        whole = np.int16 if self.d << len(self.planes) < 1 << 15 else np.int32
+        common = np.zeros((n, len(codes)), whole)
         for j, plane in enumerate(self.planes):
             for w in range(codes.shape[1]):
-                common += np.bitwise_count(plane[some, w][:, None] & codes[None, :, w]).astype(np.int32) << j
+                common += np.multiply(np.bitwise_count(plane[some, w][:, None] & codes[None, :, w]), 1 << j, dtype=whole)
         ones = np.bitwise_count(codes).sum(1).astype(np.float64)
         low, step = self.low[some][:, None], self.step[some][:, None]
         # the sum over bits that are set, twice, less the sum over all

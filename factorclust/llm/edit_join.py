@@ -190,7 +190,9 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     texts = cut(wanted.groupBy("id").agg(F.first("line").alias("line")), "candidate-lines")
     chars = lambda name, to: texts.select(F.col("id").alias(name), F.col("line").alias(to))
     both = pairs.join(chars("a", "la"), "a").join(chars("b", "lb"), "b")
-    return both.where(edit_distance(F.col("la"), F.col("lb"), threshold).isNotNull()).select("a", "b")
+    # the built-in distance is quick to tell most pairs that are too far apart; the automaton decides on the others
+    near = (F.levenshtein("la", "lb", threshold) >= 0) & edit_distance(F.col("la"), F.col("lb"), threshold).isNotNull()
+    return both.where(near).select("a", "b")
 
 
 def _meet(index: DataFrame, probe: DataFrame, threshold: int) -> tuple[DataFrame, DataFrame | None]:

@@ -16,6 +16,7 @@ gives an empty result; extra columns are not read.
 
 from __future__ import annotations
 
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -64,36 +65,49 @@ def normalise(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     return code[keep], np.concatenate([[0], ends])
 
 
-def automaton(text: np.ndarray) -> tuple[int, np.ndarray, np.ndarray, np.ndarray]:
-    """The suffix automaton of ``text``: number of states, and its transitions (state, symbol, state)."""
-    edges: list[dict[int, int]] = [{}]
+def automaton(text: np.ndarray, common: int) -> tuple[np.ndarray, dict[int, dict[int, int]]]:
+    """The suffix automaton of ``text``: states by ``common`` + 1 symbols, -1 where no transition is (and in the last
+    column), and the transitions by symbols of ``common`` or more, by state."""
+    width = common + 1
+    none = array("i", [-1]) * width
+    table, rare = array("i", none), {}
     link, length, last = [-1], [0], 0
+
+    def go(s: int, c: int) -> int:
+        return table[s * width + c] if c < common else rare.get(s, {}).get(c, -1)
+
+    def put(s: int, c: int, to: int) -> None:
+        if c < common:
+            table[s * width + c] = to
+        else:
+            rare.setdefault(s, {})[c] = to
+
     for c in text.tolist():
-        new = len(edges)
-        edges.append({})
+        new = len(length)
+        table.extend(none)
         length.append(length[last] + 1)
         link.append(0)
         p = last
-        while p >= 0 and c not in edges[p]:
-            edges[p][c] = new
+        while p >= 0 and go(p, c) < 0:
+            put(p, c, new)
             p = link[p]
         if p >= 0:
-            q = edges[p][c]
+            q = go(p, c)
             if length[q] == length[p] + 1:
                 link[new] = q
             else:
-                twin = len(edges)
-                edges.append(dict(edges[q]))
+                twin = len(length)
+                table.extend(table[q * width : (q + 1) * width])
+                if q in rare:
+                    rare[twin] = dict(rare[q])
                 length.append(length[p] + 1)
                 link.append(link[q])
                 link[q] = link[new] = twin
-                while p >= 0 and edges[p].get(c) == q:
-                    edges[p][c] = twin
+                while p >= 0 and go(p, c) == q:
+                    put(p, c, twin)
                     p = link[p]
         last = new
-    n = [len(row) for row in edges]
-    flat = np.array([x for row in edges for pair in row.items() for x in pair], np.int64).reshape(-1, 2)
-    return len(edges), np.repeat(np.arange(len(edges)), n), flat[:, 0], flat[:, 1]
+    return np.frombuffer(table, np.int32).reshape(-1, width), rare
 
 
 class Parser:
@@ -111,26 +125,27 @@ class Parser:
         self.letters = len(found)
         self.symbol = np.full(0x110000, self.letters, np.int32)  # the last one: letters that no sample has
         self.symbol[found] = np.arange(len(found))
-        built = [automaton(self.symbol[t]) for t in texts.values()]
-        states = sum(b[0] for b in built)
-        self.common = max(1, min(self.letters, DENSE // max(1, states)))
+        # an automaton has less than two states a symbol
+        self.common = max(1, min(self.letters, DENSE // max(1, 2 * sum(map(len, texts.values())) + 2)))
         self.width = self.common + 1  # the last entry stands for other letters
-        self.table = np.full((states + 1) * self.width, -1, np.int32)
-        self.dead = states * self.width  # where a letter leads that its sample lacks: whatever follows begins a phrase
-        keys, values, roots, at = [np.zeros(0, np.int64)], [np.zeros(0, np.int32)], [], 0
-        self.lacks = np.ones((self.letters + 1, len(built)), bool)
-        for k, (size, state, by, to) in enumerate(built):
+        self.lacks = np.ones((self.letters + 1, len(texts)), bool)
+        tables, triples, roots, at = [], [], [], 0
+        for k, t in enumerate(texts.values()):
+            table, rare = automaton(self.symbol[t], self.common)
             roots.append(at * self.width)
-            self.lacks[by[state == 0], k] = False
-            state, to = state + at, ((to + at) * self.width).astype(np.int32)
-            usual = by < self.common
-            self.table[state[usual] * self.width + by[usual]] = to[usual]
-            keys.append((state * (self.letters + 1) + by)[~usual])
-            values.append(to[~usual])
-            at += size
-        key, value = np.concatenate(keys), np.concatenate(values)
-        order = np.argsort(key)
-        self.keys, self.values = key[order], value[order]
+            self.lacks[: self.common, k] = table[0, : self.common] < 0
+            self.lacks[list(rare.get(0, ())), k] = False
+            nowhere = table < 0
+            table += at
+            table *= self.width
+            table[nowhere] = -1
+            tables.append(table.ravel())
+            triples += [((s + at) * (self.letters + 1) + c, (to + at) * self.width) for s, row in rare.items() for c, to in row.items()]
+            at += len(table)
+        self.table = np.concatenate([*tables, np.full(self.width, -1, np.int32)])
+        self.dead = at * self.width  # where a letter leads that its sample lacks: whatever follows begins a phrase
+        triples.sort()
+        self.keys, self.values = np.array([x for x, _ in triples], np.int64), np.array([x for _, x in triples], np.int32)
         self.root = np.array(roots, np.int32)
         self.letter_bits = float(np.log2(max(ALPHABET, self.letters)))
         self.bits = np.array([max(self.letter_bits, np.log2(len(t))) for t in texts.values()])

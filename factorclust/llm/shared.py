@@ -52,9 +52,11 @@ def _clean() -> None:
             return
 
 
-def bounded_batches(spark: SparkSession, limit: str = "2m") -> None:
-    """Arrow batches of at most about this size, whatever the length of the texts (a setting of the running session)."""
+def bounded_batches(spark: SparkSession, limit: str = "2m", rows: int = 512) -> None:
+    """Arrow batches of at most about this size and few rows of a file read at once, whatever the length of the texts
+    (settings of the running session)."""
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", limit)
+    spark.conf.set("spark.sql.parquet.columnarReaderBatchSize", rows)
 
 
 def tidy(run):
@@ -62,12 +64,14 @@ def tidy(run):
 
     def tidied(batches):
         import ctypes
+        import gc
 
         import pyarrow as pa
 
         yield from run(batches)
         for forget in FORGET:
             forget()
+        gc.collect()
         pa.default_memory_pool().release_unused()
         try:
             ctypes.CDLL("libc.so.6").malloc_trim(0)

@@ -68,15 +68,18 @@ def tidy(run):
 
         import pyarrow as pa
 
+        try:
+            libc = ctypes.CDLL("libc.so.6")
+            libc.mallopt(-3, 1 << 18)  # M_MMAP_THRESHOLD: larger blocks go back to the system as soon as they are freed
+        except (OSError, AttributeError):  # another C library
+            libc = None
         yield from run(batches)
         for forget in FORGET:
             forget()
         gc.collect()
         pa.default_memory_pool().release_unused()
-        try:
-            ctypes.CDLL("libc.so.6").malloc_trim(0)
-        except (OSError, AttributeError):  # another C library
-            return
+        if libc:
+            libc.malloc_trim(0)
 
     return tidied
 

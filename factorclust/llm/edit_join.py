@@ -5,6 +5,10 @@ place that the lengths and the number of the segment bound. Each distinct line i
 probes the substrings that could be segments of lines as long or shorter by up to the threshold. Where very many
 lines share a segment, what is left of them is cut into segments again, and so on: the rest of two such lines has
 no more edits than the lines, so no pair is lost, and none is made but of lines that share a segment at each level.
+Where more than a few lines share one, each is placed against a pivot among them: from where it first differs to where
+it is more than the threshold apart, from the front and from the back. A line agrees with the pivot up to where it first
+differs, so another one of at most ``threshold`` edits to it is no further from the pivot up to there: of such two, the
+places overlap. Only lines whose places do meet, so near copies of one line that differ in other places make no pairs.
 Counts of some letters, which an edit changes by two at most, thin out the pairs; a banded bit-parallel automaton
 over both lines' characters decides. Lines connected in this way are one class; of all its lines in the corpus only
 the first, by doc_id and place, stays.
@@ -34,8 +38,12 @@ Threshold = int | tuple[tuple[int, int], ...]
 COUNTED = "etaoin"
 #: Distinct candidate lines up to which their ids are broadcast to the scan of the texts (8 MB); more are shuffled.
 BROADCAST_IDS = 1_000_000
+#: Lines that share a segment beyond which they are placed against one of them before they meet.
+FEW = 16
 #: Lines that share a segment beyond which what is left of them is segmented again, and how often that is done.
 CROWD, DEEPEST = 512, 6
+#: Characters of a cell of places; halvings of a search for a place (lines of up to 4 million characters are searched to the end).
+CELL, HALVINGS = 16, 22
 #: Characters at the ends of lines that don't count, if asked for.
 WHITE = " \t\r\f\v\u00a0"
 #: A class is hot with more than one line in so many.
@@ -178,12 +186,13 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     shorter = keyed if end is None else keyed.where(F.col("n") < end)
     index = shorter.select("id", "counts", F.posexplode(F.array(*[f"k{i}" for i in range(parts)])).alias("nth", "key"))
     probe = keyed.select("id", "counts", F.posexplode(F.array(*[f"p{i}" for i in range(probes)])).alias("nth", "key")).where("key is not null")
-    found, crowded = _meet(index, probe, threshold)
+    found, several = _meet(index, probe, threshold)
     pairs = cut(found, "pairs")
-    if crowded is not None:
-        ids = index.join(crowded, "key", "left_semi").select("id").union(probe.join(crowded, "key", "left_semi").select("id")).distinct()
+    if several is not None:
+        met = index.join(several, "key").select("id", "counts", "nth", "key")
+        ids = met.select("id").union(probe.join(several, "key", "left_semi").select("id")).distinct()
         whole = cut(long.join(ids, "id", "left_semi").groupBy("id").agg(F.first("line").alias("rest")), "crowded-lines")
-        pairs = reduce(DataFrame.unionByName, [pairs, *_within_crowds(index.join(whole, "id"), probe.join(whole, "id"), crowded, threshold)]).distinct()
+        pairs = reduce(DataFrame.unionByName, [pairs, *_within_crowds(met.join(whole, "id"), probe.join(several, "key", "left_semi").join(whole, "id"), several, threshold)]).distinct()
     ids = pairs.select(F.col("a").alias("want")).union(pairs.select("b")).distinct()
     some = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
     wanted = lines.join(F.broadcast(ids) if some else ids, lines["id"] == ids["want"], "left_semi")
@@ -196,32 +205,89 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
 
 
 def _meet(index: DataFrame, probe: DataFrame, threshold: int) -> tuple[DataFrame, DataFrame | None]:
-    """((a, b) of lines that share a key, but for keys of more than CROWD lines; those keys, or None if there are none)."""
-    crowded = cut(index.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > CROWD).select("key"), "crowded")
-    n = crowded.limit(BROADCAST_IDS + 1).count()
-    few = F.broadcast(crowded) if n <= BROADCAST_IDS else crowded
-    alone = index if n == 0 else index.join(few, "key", "left_anti")
-    return _pairs(alone, probe, threshold), (few if n else None)
+    """((a, b) of lines that share a key, but for keys of more than FEW lines; those keys with their lines' number, or None if there are none)."""
+    several = cut(index.groupBy("key").agg(F.count(F.lit(1)).alias("lines")).where(F.col("lines") > min(FEW, CROWD)), "several")
+    n = several.limit(BROADCAST_IDS + 1).count()
+    some = F.broadcast(several) if n <= BROADCAST_IDS else several
+    alone = index if n == 0 else index.join(some, "key", "left_anti")
+    return _pairs(alone, probe, threshold), (some if n else None)
 
 
-def _pairs(index: DataFrame, probe: DataFrame, threshold: int) -> DataFrame:
+def _pairs(index: DataFrame, probe: DataFrame, threshold: int, places: bool = False) -> DataFrame:
     longer = F.element_at(F.array(*[F.lit(less > 0) for less, _, _ in _shifts(threshold)]), F.col("first") + 1)
-    left = index.select(F.col("id").alias("a"), F.col("counts").alias("ca"), "key")
+    more = [(f"a_{c}", f"b_{c}", c) for c in ("front", "reach", "back", "far")] if places else []
+    left = index.select(F.col("id").alias("a"), F.col("counts").alias("ca"), "key", *[F.col(c).alias(x) for x, _, c in more])
     first = F.col("first") if "first" in probe.columns else F.col("nth")
-    right = probe.select(F.col("id").alias("b"), F.col("counts").alias("cb"), "key", first.alias("first"))
+    right = probe.select(F.col("id").alias("b"), F.col("counts").alias("cb"), "key", first.alias("first"), *[F.col(c).alias(y) for _, y, c in more])
     near = (longer | (F.col("a") < F.col("b"))) & (counts_apart(F.col("ca"), F.col("cb")) <= 2 * threshold)
+    if places:
+        for at, to in (("front", "reach"), ("back", "far")):
+            near = near & (F.col(f"a_{at}") <= F.col(f"b_{to}")) & (F.col(f"b_{at}") <= F.col(f"a_{to}"))
     return left.join(right, (left["key"] == right["key"]) & near).select("a", "b").distinct()
 
 
+def _first_difference(line: Column, pivot: Column) -> Column:
+    """How many characters the two strings begin with alike."""
+    both = F.least(F.char_length(line), F.char_length(pivot))
+    alike = lambda at, n: (at + n <= both) & (F.substring(line, at + 1, n) == F.substring(pivot, at + 1, n))
+    return F.aggregate(F.array(*[F.lit(1 << b) for b in reversed(range(HALVINGS))]), F.lit(0), lambda at, n: F.when(alike(at, n), at + n).otherwise(at))
+
+
+def _reach(line: Column, pivot: Column, front: Column, threshold: int) -> Column:
+    """A beginning of the pivot, in characters, beyond which none is within ``threshold`` edits of a beginning of the line."""
+    shifts = F.array(*[F.lit(s) for s in sorted(range(-threshold, threshold + 1), key=abs)])
+    within = lambda n: F.exists(shifts, lambda s: F.levenshtein(F.substring(line, front + 1, n + s), F.substring(pivot, front + 1, n), threshold) >= 0)
+
+    def halve(state: Column, _: Column) -> Column:
+        mid = F.floor((state["lo"] + state["hi"]) / 2).cast("int")
+        return F.when(state["hi"] - state["lo"] <= 1, state).when(within(mid - front), F.struct(mid.alias("lo"), state["hi"].alias("hi"))).otherwise(F.struct(state["lo"].alias("lo"), mid.alias("hi")))
+
+    start = F.struct(front.alias("lo"), (F.char_length(pivot) + 1).alias("hi"))
+    return F.aggregate(F.array(*[F.lit(i) for i in range(HALVINGS)]), start, halve, lambda s: s["hi"] - 1)
+
+
+def _against_pivots(index: DataFrame, probe: DataFrame, keys: DataFrame, threshold: int) -> DataFrame:
+    """Pairs of lines that share one of the keys: those whose places against the key's pivot overlap.
+
+    The pivot is the line that shares its segments with most others, so one with few changes of its own.
+    """
+    index = index.join(keys, "key")
+    weight = index.groupBy("id").agg(F.sum("lines").alias("weight"))
+    chosen = index.join(weight, "id").groupBy("key").agg(F.max_by(F.struct("id", "rest"), F.struct("weight", "id")).alias("p"))
+    pivots = cut(chosen.select("key", F.col("p.id").alias("pid"), F.col("p.rest").alias("pivot")), "pivots")
+    front, back = F.col("front"), F.col("back")
+    line, pivot = F.col("rest"), F.col("pivot")
+
+    def placed(rows: DataFrame) -> DataFrame:
+        at = rows.join(pivots, "key")
+        once = at.select("rest", "pivot").distinct()  # most lines meet a pivot by several keys
+        once = once.withColumn("front", _first_difference(line, pivot)).withColumn("back", _first_difference(F.reverse(line), F.reverse(pivot)))
+        once = cut(once.select("rest", "pivot", "front", "back", _reach(line, pivot, front, threshold).alias("reach"), _reach(F.reverse(line), F.reverse(pivot), back, threshold).alias("far")), "places")
+        return cut(at.join(once, ["rest", "pivot"]).drop("rest", "pivot", "pid"), "placed")
+
+    cell = lambda place: F.floor(place / CELL).cast("int")
+    with_cell = lambda rows, c: rows.withColumn("cell", c).withColumn("key", F.xxhash64("key", "cell")).drop("cell")
+    whole = lambda rows: with_cell(rows, F.explode(F.sequence(cell(front), cell(F.col("reach")))))
+    first = lambda rows: with_cell(rows, cell(front))
+    a, b = placed(index), placed(probe)
+    return _pairs(whole(a), first(b), threshold, True).unionByName(_pairs(first(a), whole(b), threshold, True)).distinct()
+
+
 def _without(rest: Column, at: Column, n: Column) -> Column:
     return F.concat(F.substring(rest, F.lit(1), at), F.substring(rest, at + n + 1, F.char_length(rest)))
 
 
-def _within_crowds(index: DataFrame, probe: DataFrame, crowded: DataFrame, threshold: int) -> Iterator[DataFrame]:
-    """Pairs of lines that share crowded keys: rows are (id, counts, nth, key, rest), with nth the segment or shift of the key in the rest."""
+def _within_crowds(index: DataFrame, probe: DataFrame, several: DataFrame, threshold: int) -> Iterator[DataFrame]:
+    """Pairs of lines that share keys of several lines: rows are (id, counts, nth, key, rest), with nth the segment or shift of the key in the rest."""
     shifts = _shifts(threshold)
     probe = probe.withColumn("first", F.col("nth"))  # tells whose lines are longer, whatever is cut off later
-    for level in range(1, DEEPEST + 1):
+    for level in range(DEEPEST + 1):
+        some = several if level == DEEPEST else several.where(F.col("lines") <= CROWD)
+        if not some.isEmpty():
+            yield cut(_against_pivots(index, probe.join(some, "key", "left_semi"), some, threshold), "pairs")
+        crowded = several.where(F.col("lines") > CROWD).select("key")
+        if level == DEEPEST or crowded.isEmpty():
+            return
         length = F.char_length("rest")
         pick = lambda options: F.element_at(F.array(*options), F.col("nth") + 1)
         own = list(segments(length, threshold + 1))
@@ -233,12 +299,9 @@ def _within_crowds(index: DataFrame, probe: DataFrame, crowded: DataFrame, thres
         index = cut(index.select("id", "counts", "rest", F.posexplode(below(index_keys(F.col("rest"), length, threshold))).alias("nth", "key")), "crowd-index")
         deeper = probe_keys(F.col("rest"), length, threshold)
         probe = cut(probe.select("id", "counts", "rest", "first", F.posexplode(below(deeper)).alias("nth", "key")).where("key is not null"), "crowd-probe")
-        if level == DEEPEST:
-            yield cut(_pairs(index, probe, threshold), "pairs")
-            return
-        found, crowded = _meet(index, probe, threshold)
+        found, several = _meet(index, probe, threshold)
         yield cut(found, "pairs")
-        if crowded is None:
+        if several is None:
             return
 
 

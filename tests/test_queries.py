@@ -96,3 +96,22 @@ def test_late_rows_are_dropped(spark, tmp_path):
     s = spark.readStream.schema("ts timestamp, cluster int").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").option("latestFirst", "false").parquet(str(tmp_path / "in"))
     got = {r.cluster for r in streams.run_to_end(streams.cluster_mix(s, F.col("cluster")), "late_out").collect()}
     assert 3 not in got and 1 in got
+
+
+def test_membership_from_the_factor_equals_the_matrix_and_has_no_limit(spark, small):
+    from pyspark.sql import functions as F
+
+    from factorclust.functions.vectors import dot
+    from factorclust.operators import partition
+    from factorclust.sources.points import from_embeddings
+
+    p = from_embeddings(spark, small).withColumn("cluster", F.pmod("id", F.lit(3)).cast("int"))
+    f, m = partition.assignment_factor(p.select("id", "cluster")), partition.membership_matrix(p.select("id", "cluster"))
+    rows = {r.i: r.s for r in m.groupBy("i").agg(F.sum("v").alias("s")).collect()}
+    assert {r.i: pytest.approx(r.row_sum) for r in partition.membership_rows(f).collect()} == rows
+    x = p.select(F.col("id").alias("i"), F.col("x").alias("a")).join(m, "i").join(p.select(F.col("id").alias("j"), F.col("x").alias("b")), "j")
+    assert partition.membership_product(f, p).first()[0] == pytest.approx(x.agg(F.sum(F.col("v") * dot(F.col("a"), F.col("b")))).first()[0])
+    many = spark.range(10_000).select("id", (F.col("id") % 7).cast("int").alias("cluster"))
+    whole = partition.assignment_factor(many)
+    assert all(r.ok for r in partition.check_membership(whole, 7).collect())
+    assert not all(r.ok for r in partition.check_membership(whole.withColumn("weight", F.col("weight") * F.when(F.col("id") == 5, -1).otherwise(1)), 7).collect())

@@ -115,3 +115,23 @@ def test_membership_from_the_factor_equals_the_matrix_and_has_no_limit(spark, sm
     whole = partition.assignment_factor(many)
     assert all(r.ok for r in partition.check_membership(whole, 7).collect())
     assert not all(r.ok for r in partition.check_membership(whole.withColumn("weight", F.col("weight") * F.when(F.col("id") == 5, -1).otherwise(1)), 7).collect())
+
+
+MADE_UP = "breakdown_case buffer_grid cnr_grid datasource_mixture fits_grid flops_grid memory_wall regime_check saved_grid smoothness_grid tile_grid udtf_mixture".split()
+
+
+@pytest.mark.parametrize("name", MADE_UP)
+def test_queries_read_a_given_table(name, spark, tiny, monkeypatch):
+    from factorclust.plans import formulation, pieces, streams
+    from factorclust.sources import points, tables
+
+    read = []
+
+    def seen(session, sf_dir, table, *more, **also):
+        read.append(table)
+        return tables.read_table(session, sf_dir, table, *more, **also)
+
+    for module in (formulation, points, streams):
+        monkeypatch.setattr(module, "read_table", seen)
+    assert pieces.from_embeddings is points.from_embeddings
+    assert REGISTRY.QUERIES[name](spark, tiny).count() and read

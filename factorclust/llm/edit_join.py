@@ -189,14 +189,13 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     found, several = _meet(index, probe, threshold)
     pairs = cut(found, "pairs")
     if several is not None:
-        met = index.join(several, "key").select("id", "counts", "nth", "key")
-        ids = met.select("id").union(probe.join(several, "key", "left_semi").select("id")).distinct()
-        whole = cut(long.join(ids, "id", "left_semi").groupBy("id").agg(F.first("line").alias("rest")), "crowded-lines")
-        pairs = reduce(DataFrame.unionByName, [pairs, *_within_crowds(met.join(whole, "id"), probe.join(several, "key", "left_semi").join(whole, "id"), several, threshold)]).distinct()
-    ids = pairs.select(F.col("a").alias("want")).union(pairs.select("b")).distinct()
-    some = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    wanted = lines.join(F.broadcast(ids) if some else ids, lines["id"] == ids["want"], "left_semi")
-    texts = cut(wanted.groupBy("id").agg(F.first("line").alias("line")), "candidate-lines")
+        met = cut(index.join(several, "key").select("id", "counts", "nth", "key"), "crowd-index")
+        seek = cut(probe.join(several, "key", "left_semi").select("id", "counts", "nth", "key"), "crowd-probe")
+        texts = texts_of(long, met.select("id").union(seek.select("id")), "crowded-lines")
+        of = F.col("id").alias("of")  # the lines themselves are the rest
+        crowds = _within_crowds(met.select("*", of), seek.select("*", of), texts.select(of, F.col("line").alias("rest")), several, threshold)
+        pairs = reduce(DataFrame.unionByName, [pairs, *crowds]).distinct()
+    texts = texts_of(lines, pairs.select(F.col("a").alias("id")).union(pairs.select("b")), "candidate-lines")
     chars = lambda name, to: texts.select(F.col("id").alias(name), F.col("line").alias(to))
     both = pairs.join(chars("a", "la"), "a").join(chars("b", "lb"), "b")
     # the built-in distance is quick to tell most pairs that are too far apart; the automaton decides on the others
@@ -204,6 +203,14 @@ def _similar(lines: DataFrame, threshold: int, least: int, end: int | None) -> D
     return both.where(near).select("a", "b")
 
 
+def texts_of(lines: DataFrame, ids: DataFrame, what: str) -> DataFrame:
+    """(id, line) of some lines, each once; ids that are few go to where the texts are read, so no other text is moved."""
+    ids = ids.select(F.col("id").alias("want")).distinct()
+    some = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    wanted = lines.join(F.broadcast(ids) if some else ids, lines["id"] == ids["want"], "left_semi")
+    return cut(wanted.groupBy("id").agg(F.first("line").alias("line")), what)
+
+
 def _meet(index: DataFrame, probe: DataFrame, threshold: int) -> tuple[DataFrame, DataFrame | None]:
     """((a, b) of lines that share a key, but for keys of more than FEW lines; those keys with their lines' number, or None if there are none)."""
     several = cut(index.groupBy("key").agg(F.count(F.lit(1)).alias("lines")).where(F.col("lines") > min(FEW, CROWD)), "several")
@@ -246,24 +253,26 @@ def _reach(line: Column, pivot: Column, front: Column, threshold: int) -> Column
     return F.aggregate(F.array(*[F.lit(i) for i in range(HALVINGS)]), start, halve, lambda s: s["hi"] - 1)
 
 
-def _against_pivots(index: DataFrame, probe: DataFrame, keys: DataFrame, threshold: int) -> DataFrame:
+def _against_pivots(index: DataFrame, probe: DataFrame, texts: DataFrame, keys: DataFrame, threshold: int) -> DataFrame:
     """Pairs of lines that share one of the keys: those whose places against the key's pivot overlap.
 
-    The pivot is the line that shares its segments with most others, so one with few changes of its own.
+    The pivot is the line that shares its segments with most others, so one with few changes of its own. Rows move as
+    numbers; a text moves once for each pivot that it is placed against.
     """
     index = index.join(keys, "key")
     weight = index.groupBy("id").agg(F.sum("lines").alias("weight"))
-    chosen = index.join(weight, "id").groupBy("key").agg(F.max_by(F.struct("id", "rest"), F.struct("weight", "id")).alias("p"))
-    pivots = cut(chosen.select("key", F.col("p.id").alias("pid"), F.col("p.rest").alias("pivot")), "pivots")
+    chosen = index.join(weight, "id").groupBy("key").agg(F.max_by("of", F.struct("weight", "id")).alias("pivot_of"))
+    pivots = cut(chosen, "pivots")
     front, back = F.col("front"), F.col("back")
     line, pivot = F.col("rest"), F.col("pivot")
+    index, probe = index.join(pivots, "key"), probe.join(pivots, "key")
+    once = index.select("pivot_of", "of").union(probe.select("pivot_of", "of")).distinct()  # most lines meet a pivot by several keys
+    once = once.join(texts.select(F.col("of").alias("pivot_of"), F.col("rest").alias("pivot")), "pivot_of").join(texts, "of")
+    once = once.withColumn("front", _first_difference(line, pivot)).withColumn("back", _first_difference(F.reverse(line), F.reverse(pivot)))
+    once = cut(once.select("pivot_of", "of", "front", "back", _reach(line, pivot, front, threshold).alias("reach"), _reach(F.reverse(line), F.reverse(pivot), back, threshold).alias("far")), "places")
 
     def placed(rows: DataFrame) -> DataFrame:
-        at = rows.join(pivots, "key")
-        once = at.select("rest", "pivot").distinct()  # most lines meet a pivot by several keys
-        once = once.withColumn("front", _first_difference(line, pivot)).withColumn("back", _first_difference(F.reverse(line), F.reverse(pivot)))
-        once = cut(once.select("rest", "pivot", "front", "back", _reach(line, pivot, front, threshold).alias("reach"), _reach(F.reverse(line), F.reverse(pivot), back, threshold).alias("far")), "places")
-        return cut(at.join(once, ["rest", "pivot"]).drop("rest", "pivot", "pid"), "placed")
+        return cut(rows.join(once, ["pivot_of", "of"]).drop("pivot_of", "of"), "placed")
 
     cell = lambda place: F.floor(place / CELL).cast("int")
     with_cell = lambda rows, c: rows.withColumn("cell", c).withColumn("key", F.xxhash64("key", "cell")).drop("cell")
@@ -277,14 +286,15 @@ def _without(rest: Column, at: Column, n: Column) -> Column:
     return F.concat(F.substring(rest, F.lit(1), at), F.substring(rest, at + n + 1, F.char_length(rest)))
 
 
-def _within_crowds(index: DataFrame, probe: DataFrame, several: DataFrame, threshold: int) -> Iterator[DataFrame]:
-    """Pairs of lines that share keys of several lines: rows are (id, counts, nth, key, rest), with nth the segment or shift of the key in the rest."""
+def _within_crowds(index: DataFrame, probe: DataFrame, texts: DataFrame, several: DataFrame, threshold: int) -> Iterator[DataFrame]:
+    """Pairs of lines that share keys of several lines: rows are (id, counts, nth, key, of), with nth the segment or shift of the key in
+    what rests of the line; texts are (of, rest), ``of`` the rest's hash."""
     shifts = _shifts(threshold)
     probe = probe.withColumn("first", F.col("nth"))  # tells whose lines are longer, whatever is cut off later
     for level in range(DEEPEST + 1):
         some = several if level == DEEPEST else several.where(F.col("lines") <= CROWD)
         if not some.isEmpty():
-            yield cut(_against_pivots(index, probe.join(some, "key", "left_semi"), some, threshold), "pairs")
+            yield cut(_against_pivots(index, probe.join(some, "key", "left_semi"), texts, some, threshold), "pairs")
         crowded = several.where(F.col("lines") > CROWD).select("key")
         if level == DEEPEST or crowded.isEmpty():
             return
@@ -292,13 +302,16 @@ def _within_crowds(index: DataFrame, probe: DataFrame, several: DataFrame, thres
         pick = lambda options: F.element_at(F.array(*options), F.col("nth") + 1)
         own = list(segments(length, threshold + 1))
         of_shorter = {less: list(segments(length - less, threshold + 1)) for less in range(threshold + 1)}
-        index = index.join(crowded, "key", "left_semi").withColumn("rest", _without(F.col("rest"), pick([at for at, _ in own]), pick([n for _, n in own])))
+        index = index.join(crowded, "key", "left_semi").join(texts, "of").withColumn("rest", _without(F.col("rest"), pick([at for at, _ in own]), pick([n for _, n in own])))
         begin, size = pick([of_shorter[less][i][0] + shift for less, i, shift in shifts]), pick([of_shorter[less][i][1] for less, i, shift in shifts])
-        probe = probe.join(crowded, "key", "left_semi").withColumn("rest", _without(F.col("rest"), begin, size))
+        probe = probe.join(crowded, "key", "left_semi").join(texts, "of").withColumn("rest", _without(F.col("rest"), begin, size))
         below = lambda keys: F.transform(F.array(*keys), lambda k: F.when(k.isNotNull(), F.xxhash64(F.col("key"), k)))
-        index = cut(index.select("id", "counts", "rest", F.posexplode(below(index_keys(F.col("rest"), length, threshold))).alias("nth", "key")), "crowd-index")
+        of = F.xxhash64("rest").alias("of")
+        rests = index.select(of, "rest").union(probe.select(of, "rest"))
+        index = cut(index.select("id", "counts", of, F.posexplode(below(index_keys(F.col("rest"), length, threshold))).alias("nth", "key")), "crowd-index")
         deeper = probe_keys(F.col("rest"), length, threshold)
-        probe = cut(probe.select("id", "counts", "rest", "first", F.posexplode(below(deeper)).alias("nth", "key")).where("key is not null"), "crowd-probe")
+        probe = cut(probe.select("id", "counts", of, "first", F.posexplode(below(deeper)).alias("nth", "key")).where("key is not null"), "crowd-probe")
+        texts = cut(rests.groupBy("of").agg(F.first("rest").alias("rest")), "crowded-lines")
         found, several = _meet(index, probe, threshold)
         yield cut(found, "pairs")
         if several is None:

@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -82,3 +85,48 @@ def movement_series(trace: DataFrame) -> DataFrame:
 def movement_shortcut(scale: float, no: float, k: int) -> float:
     """Movement with both squared norms taken as K; it errs where the iterates come to rest."""
     return float(np.sqrt(max(2 * k - 2 * scale * no, 0.0) / k))
+
+
+def association_gap(points: DataFrame, r: int, tile_rows: int = 2_048) -> DataFrame:
+    """(gap): the largest difference between Z (Z'F) and (Z Z') F, for the points Z normalised and the portable start F of rank r.
+
+    The n x n inner products are made as tiles meet tiles, some rows of a tile at a time, so a task holds tile_rows^2 / 8
+    of them; for each tile, r numbers a row and partition are added up.
+    """
+    from factorclust.operators import solver
+    from factorclust.operators.kernel import Config
+    from factorclust.operators.normalize import column_stats, gram_matrix
+
+    spark = points.sparkSession
+    stats = column_stats(points)
+    n, d, mean = stats["n"], stats["d"], stats["mean"]
+    sigma = float(np.sqrt(np.linalg.eigvalsh(gram_matrix(points, mean))[-1]))
+    parts = max(spark.sparkContext.defaultParallelism, n // (8 * tile_rows))
+    state, _ = solver._cut(solver.build_tiles(points, mean, sigma, Config(k=r, rank=r), tile_rows, parts), solver.state_folder(spark))
+    pull = solver.add_up(state, d, r).pull
+    schema = "tile long, part binary"
+    row = lambda tile, v: pa.RecordBatch.from_arrays([pa.array([tile], pa.int64()), pa.array([np.ascontiguousarray(v).tobytes()], pa.binary())], names=["tile", "part"])
+    rows_of = lambda b, column, i, width: np.frombuffer(b.column(column)[i].as_buffer()).reshape(-1, width)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(b.num_rows):
+                yield row(b.column(0)[i].as_py(), -(rows_of(b, 1, i, d) @ pull))
+
+    def second(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        done: dict[int, np.ndarray] = {}
+        for b in batches:
+            for i in range(b.num_rows):
+                tile, za, zb, f = b.column(0)[i].as_py(), rows_of(b, 1, i, d), rows_of(b, 2, i, d), rows_of(b, 3, i, r)
+                many = max(1, tile_rows // 8)
+                done[tile] = done.get(tile, 0.0) + np.concatenate([(za[at : at + many] @ zb.T) @ f for at in range(0, len(za), many)])
+        for tile, v in done.items():
+            yield row(tile, v)
+
+    def gap(t: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(v.as_buffer()) for v in t.column(1))
+        return pa.table({"gap": [float(np.abs(total).max())]})
+
+    mine = state.select("tile", "z")
+    met = mine.crossJoin(state.select(F.col("z").alias("other"), "raw")).mapInArrow(second, schema)
+    return mine.mapInArrow(first, schema).unionByName(met).groupBy("tile").applyInArrow(gap, "gap double").agg(F.max("gap").alias("gap"))

@@ -298,3 +298,17 @@ def test_points_too_many_for_one_worker_are_fitted_where_they_lie(spark, small,
     assert all(far[m].status == "converged" and far[m].wcss >= b.wcss * 0.999 for m in far if m != "nfk")
     with pytest.raises(ValueError, match="no distributed form"):
         workloads.run_grid(points, "w", [{"method": "spectral", "k": 10}])
+
+
+def test_runs_have_tasks_of_their_own_and_step_on_threads(spark, data):
+    grid = [{"method": m, "n": n, "k": 3} for m in ("lloyd_stream", "nfk") for n in (10, 40)] * 3
+    parts = solver.a_run_a_task(spark, grid).rdd.glom().collect()
+    assert [len(p) for p in parts] == [1] * 12 and [grid[p[0].run_id]["method"] for p in parts] == ["nfk"] * 6 + ["lloyd_stream"] * 6
+    assert [grid[p[0].run_id]["n"] for p in parts[:6]] == [40] * 3 + [10] * 3
+    x = np.tile(np.stack(data.x.to_numpy()), (5, 1)) + np.random.default_rng(0).normal(size=(2_500, 64)) * 0.1
+    a, b = (solver.fit_local(x, Config(k=10, max_iter=50), threads=t) for t in (1, 3))
+    assert np.abs(a.factor - b.factor).max() < 1e-9 and [s["dual_updates"] for s in a.trace] == [s["dual_updates"] for s in b.trace]
+    labels = np.random.default_rng(1).integers(0, 7, len(x))
+    sums = np.zeros((8, 64))
+    np.add.at(sums, labels, x)
+    assert (lloyd.sums_by(labels, x, 8) == sums).all()

@@ -300,6 +300,19 @@ def test_points_too_many_for_one_worker_are_fitted_where_they_lie(spark, small,
         workloads.run_grid(points, "w", [{"method": "spectral", "k": 10}])
 
 
+def test_memory_is_measured_without_moving_or_writing_points(spark, monkeypatch):
+    p = mixture(spark, 6_000, 10, 4, 1.0, 0, 3)
+    cfg = Config(k=4, rank=8, max_iter=3)
+    want = {b: resident.fit(p, cfg, tasks=3, tile_rows=256, buffers=b, trace_memory=True) for b in (1, 3)}
+    monkeypatch.setattr(resident, "_cut", lambda *a: pytest.fail("a state was written"))
+    got = resident.replay(p, cfg, tile_rows=256)
+    for b, m in want.items():
+        peak, trace = got[b]
+        assert [x["iter"] for x in trace] == [1, 2, 3] and all(x[c] == pytest.approx(y[c], rel=1e-6) for x, y in zip(trace, m.trace, strict=True) for c in ("feas", "move"))
+        assert peak == pytest.approx(sum(m.peaks), rel=0.2)
+    assert got[3][0] - got[1][0] > 1.5 * 8 * 6_000 * 8
+
+
 def test_runs_have_tasks_of_their_own_and_step_on_threads(spark, data):
     grid = [{"method": m, "n": n, "k": 3} for m in ("lloyd_stream", "nfk") for n in (10, 40)] * 3
     parts = solver.a_run_a_task(spark, grid).rdd.glom().collect()

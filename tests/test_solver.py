@@ -325,3 +325,13 @@ def test_runs_have_tasks_of_their_own_and_step_on_threads(spark, data):
     sums = np.zeros((8, 64))
     np.add.at(sums, labels, x)
     assert (lloyd.sums_by(labels, x, 8) == sums).all()
+
+
+def test_the_capped_baseline_is_run_however_many_points_there_are(spark, tiny, monkeypatch):
+    from factorclust.plans import workloads
+
+    monkeypatch.setattr(workloads, "CAPPED_LIMIT", 0, raising=False)
+    got = {r.method: r for r in workloads.distributed_run(spark, tiny, (("part", (4, 8, 8)),), gamma=2.0).collect()}
+    assert set(got) == {"nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"}
+    assert all(r.status in ("converged", "capped") and r.iters > 0 and r.ari is not None and r.total_seconds > 0 for r in got.values())
+    assert got["lloyd_capped"].ari == got["lloyd_stream"].ari

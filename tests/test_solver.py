@@ -335,3 +335,21 @@ def test_the_capped_baseline_is_run_however_many_points_there_are(spark, tiny, m
     assert set(got) == {"nfk", "lloyd_stream", "lloyd_squared", "lloyd_capped"}
     assert all(r.status in ("converged", "capped") and r.iters > 0 and r.ari is not None and r.total_seconds > 0 for r in got.values())
     assert got["lloyd_capped"].ari == got["lloyd_stream"].ari
+
+
+@pytest.mark.parametrize("storage", ["double", "single"])
+def test_a_step_in_place_is_the_fused_step(storage):
+    n, d, r = 2 * kernel.STEP_ROWS + 37, 6, 8
+    draw = np.random.default_rng(0)
+    cfg = Config(k=4, rank=r, storage=storage)
+    z, raw, dual = solver.prepare(draw.normal(size=(n, d))).astype(cfg.dtype), draw.random((n, r)).astype(cfg.dtype), draw.normal(size=n) / n
+    for fire in (False, True):
+        c = kernel.Control(0.3, draw.normal(size=(d, r)), draw.random(r) * 9, draw.normal(size=r), 1 / n, 0.2, fire)
+        want, y, sums = kernel.fused_step(z, raw, dual, c)
+        into, over, y2, y3 = np.empty_like(raw), raw.copy(), dual.copy(), dual.copy()
+        got = kernel.step_rows(z, raw, y2, c, into), kernel.step_rows(z, over, y3, c)
+        for f, dual2, s in ((into, y2, got[0]), (over, y3, got[1])):
+            assert np.abs(f - want).max() < 1e-12 and np.abs(dual2 - y).max() < 1e-14
+            assert np.allclose(s.pack(), sums.pack(), rtol=1e-10, atol=1e-10)
+    control = kernel.Control(1.0, np.zeros((d, r)), np.ones(r), np.ones(r) * 99, 1.0, 9.0, False)
+    assert kernel.step_rows(z, over, y3, control).nn == 0 and (over == 0).all()

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import os
 
 import numpy as np
 import pandas as pd
@@ -376,3 +377,34 @@ def test_a_stage_of_lloyd_keeps_an_empty_cluster(spark):
     got, c, trace = resident.lloyd_fit(df, 3, 0, start=np.array([[0.0, 0.1], [8.0, 8.0], [-50.0, 0.0]]), tasks=2)
     assert c.tolist() == [[0.0, 0.0], [9.0, 9.0], [-50.0, 0.0]] and trace[-1]["empty"] == 1
     assert {(r.cluster, r["count"]) for r in got.groupBy("cluster").count().collect()} == {(0, 40), (1, 40)}
+
+
+def test_mixtures_too_large_for_a_task_are_fitted_where_they_lie(spark, tiny, monkeypatch):
+    from factorclust.plans import workloads
+
+    of = {"d": 16, "k": 4, "gamma": 1.5}
+    grid = [{"method": m, "n": n, **of, "seed": s} for s in (0, 1) for n in (300, 5_000) for m in ("floor", "lloyd_stream", "lloyd_squared", "lloyd_capped")]
+    grid += [{"method": "nfk", "n": 5_000, **of, "seed": 0, "rank": 8, "caps": [20, 60, 5_000], "max_iter": 5_000}, {"method": "nfk", "n": 5_000, **of, "seed": 1, "rank": 8, "max_iter": 30}]
+    near = {(r.run_id, r["cap"]): r for r in workloads.mixture_runs(spark, grid).collect()}
+    monkeypatch.setattr(solver, "LOCAL_LIMIT", 8 * 16 * 300)
+    got = workloads.mixture_runs(spark, grid)
+    far = {(r.run_id, r["cap"]): r for r in got.collect()}
+    assert got.columns == [c.split()[0] for c in solver.MIXTURE_SCHEMA.split(", ")] and far.keys() == near.keys() and len(far) == len(grid) + 2
+    for at, a in near.items():
+        b = far[at]
+        assert [a[c] for c in ("method", "seed", "n", "d", "k", "rank", "gamma", "iters", "status")] == [b[c] for c in ("method", "seed", "n", "d", "k", "rank", "gamma", "iters", "status")]
+        assert all(a[c] == pytest.approx(b[c], rel=1e-6, abs=1e-9) for c in ("wcss", "ari", "nmi", "error")) and (a.feas is None) == (b.feas is None)
+        assert a.feas is None or (a.feas == pytest.approx(b.feas, rel=1e-5) and a.move == pytest.approx(b.move, rel=1e-4))
+        assert 0 < b.loop_seconds < b.total_seconds
+    assert near[16, 20].error > near[16, 5_000].error and near[16, 5_000].status == "converged"
+    monkeypatch.setattr(solver, "LOCAL_LIMIT", 1)
+    assert workloads.balanced_run(spark, tiny, (4, 8, 8), range(1), max_iter=50).count() == 4
+
+
+def test_only_the_last_snapshot_is_kept(spark, monkeypatch):
+    left = []
+    delete = resident._delete
+    monkeypatch.setattr(resident, "_delete", lambda s, path: (left.extend(sorted(os.listdir(path.removeprefix("file://")))), delete(s, path)))
+    df = mixture(spark, 600, 6, 3, 1.0, 0, 2)
+    fit = resident.fit(df, Config(k=3, max_iter=45), tasks=2, save_every=10)
+    assert left == ["40"] and len(fit.trace) == 45

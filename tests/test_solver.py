@@ -408,3 +408,8 @@ def test_only_the_last_snapshot_is_kept(spark, monkeypatch):
     df = mixture(spark, 600, 6, 3, 1.0, 0, 2)
     fit = resident.fit(df, Config(k=3, max_iter=45), tasks=2, save_every=10)
     assert left == ["40"] and len(fit.trace) == 45
+
+
+def test_more_factor_runs_than_cores_step_on_one_thread_each(spark):
+    grid = [{"method": "nfk", "n": 300, "d": 8, "k": 4, "gamma": 2.0, "seed": s, "rank": 8, "max_iter": 5} for s in range(spark.sparkContext.defaultParallelism + 1)]
+    assert [r.iters for r in solver.fit_mixtures(spark, grid).collect()] == [5] * len(grid)
